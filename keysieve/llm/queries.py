@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import fingerprints, language_id, token_counts
+from . import fingerprints, language_id, mixing, piece_dropout, token_counts, token_records
 from .common import documents
 
 
@@ -28,9 +28,21 @@ def op2_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprints.compare_with_successor(documents(spark, sf_dir))
 
 
+def op3_token_records(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_records.tokenize_to_files(documents(spark, sf_dir), vocabulary("word_bpe_49k.json"), end_id=2)
+
+
 def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.count_tokens(documents(spark, sf_dir), vocabulary("byte_bpe_50k.json"))
 
 
-QUERIES = {f.__name__: f for f in (op1_language_id, op2_fingerprints, op5_token_counts)}
+def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mix(documents(spark, sf_dir), weights=(1, 2, 3)).drop("copies", "source")
+
+
+def op10_piece_dropout(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return piece_dropout.encode(documents(spark, sf_dir), vocabulary("piece_bpe_32k.model"), dropout=0.1, seed=7, digest=True)
+
+
+QUERIES = {f.__name__: f for f in (op1_language_id, op2_fingerprints, op3_token_records, op5_token_counts, op9_mixing, op10_piece_dropout)}
 ORACLES: dict[str, str] = {}
