@@ -218,14 +218,27 @@ def gathered(df: DataFrame) -> DataFrame:
 
 
 class Bits:
-    """A Bloom filter of a fixed number of bits; a full one passes everything, which costs time but loses nothing."""
+    """A Bloom filter of a fixed number of bits in 64 segments; a full one passes everything, which costs time but loses nothing."""
+
+    SEGMENTS = 64
 
     def __init__(self, log2: int, data: np.ndarray | None = None):
         self.log2, self.data = log2, np.zeros(1 << (log2 - 3), np.uint8) if data is None else data
 
-    def _places(self, keys: np.ndarray) -> list[np.ndarray]:
-        a = mix(keys + U64(0x5851F42D4C957F2D))
-        return [a >> U64(64 - self.log2), mix(a) >> U64(64 - self.log2), mix(a ^ keys) >> U64(64 - self.log2)]
+    @staticmethod
+    def size_for(n: int, most_log2: int) -> int:
+        return min(most_log2, max(13, int(np.ceil(np.log2(12 * n + 1)))))
+
+    @staticmethod
+    def segment(keys: np.ndarray) -> np.ndarray:
+        return (mix(keys ^ U64(0x5851F42D4C957F2D)) >> U64(58)).astype(np.int32)
+
+    def _places(self, keys: np.ndarray) -> Iterator[np.ndarray]:
+        first = self.segment(keys).astype(np.uint64) << U64(self.log2 - 6)
+        a = mix(keys + U64(0x2545F4914F6CDD1D))
+        for _ in range(3):
+            yield first | (a >> U64(70 - self.log2))
+            a = mix(a + U64(0x9E3779B97F4A7C15))
 
     def add(self, keys: np.ndarray) -> None:
         for p in self._places(keys):
@@ -238,50 +251,48 @@ class Bits:
         return out
 
 
+def as_keys(column: pa.Array) -> np.ndarray:
+    """A long column as unsigned keys; nulls are 0."""
+    return column.fill_null(0).to_numpy(zero_copy_only=False).astype(np.int64).view(np.uint64)
+
+
 def bits_of(df: DataFrame, column: str, log2: int) -> Bits:
-    """A filter of a long column: each task sends one bit field of fixed size, merged pairwise on the way."""
+    """A filter of a long column; each segment is filled by one task, so the driver gets its fixed size once."""
 
-    def fill(batches):
-        out, any_ = Bits(log2), False
+    def place(batches):
         for b in batches:
-            keys = b.column(0).drop_null().to_numpy(zero_copy_only=False).astype(np.int64).view(np.uint64)
-            out.add(keys)
-            any_ |= len(keys) > 0
-        if any_:
-            yield pa.RecordBatch.from_arrays([pa.array([out.data.tobytes()], pa.binary())], ["b"])
-
-    def merge(batches):
-        total = None
+            keys = as_keys(b.column(0).drop_null())
+            yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64)), pa.array(Bits.segment(keys))], ["key", "segment"])
+
+    def fill(batches):
+        filters: dict[int, Bits] = {}
         for b in batches:
-            for x in b.column(0):
-                one = np.frombuffer(x.as_py(), np.uint8)
-                total = one.copy() if total is None else np.bitwise_or(total, one, out=total)
-        if total is not None:
-            yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()], pa.binary())], ["b"])
-
-    fields = df.select(F.col(column).cast("long")).mapInArrow(fill, "b binary").coalesce(8).mapInArrow(merge, "b binary").collect()
-    out = Bits(log2)
-    for (x,) in fields:
-        out.data |= np.frombuffer(x, np.uint8)
+            keys, own = as_keys(b.column(0)), b.column(1).to_numpy(zero_copy_only=False)
+            for s in np.unique(own).tolist():
+                filters.setdefault(s, Bits(log2)).add(keys[own == s])
+        size = (1 << (log2 - 3)) // Bits.SEGMENTS
+        for s, f in filters.items():
+            yield pa.RecordBatch.from_arrays([pa.array([s], pa.int32()), pa.array([f.data[s * size : (s + 1) * size].tobytes()], pa.binary())], ["segment", "b"])
+
+    placed = df.select(F.col(column).cast("long").alias("key")).mapInArrow(place, "key long, segment int")
+    out, size = Bits(log2), (1 << (log2 - 3)) // Bits.SEGMENTS
+    for s, x in placed.repartitionById(Bits.SEGMENTS, F.col("segment")).mapInArrow(fill, "segment int, b binary").collect():
+        out.data[s * size : (s + 1) * size] |= np.frombuffer(x, np.uint8)
     return out
 
 
 def having(docs: DataFrame, ids: DataFrame, most_log2: int = 25) -> DataFrame:
-    """Rows of docs whose doc_id is among ids (a superset by a filter of bounded size, then an exact join)."""
-    n = ids.count()
-    log2 = min(most_log2, max(13, int(np.ceil(np.log2(12 * n + 1)))))
+    """Rows of docs whose doc_id is among the distinct ids: a superset by a filter of bounded size, then an exact join."""
+    log2 = Bits.size_for(ids.count(), most_log2)
     field = docs.sparkSession.sparkContext.broadcast(bits_of(ids, "doc_id", log2).data)
 
     def keep(batches):
         f = Bits(log2, field.value)
-        at = None
         for b in batches:
-            at = b.schema.get_field_index("doc_id") if at is None else at
-            keys = b.column(at)
-            got = f.has(keys.fill_null(0).to_numpy(zero_copy_only=False).astype(np.int64).view(np.uint64))
-            yield b.filter(pa.array(got & keys.is_valid().to_numpy(zero_copy_only=False)))
+            column = b.column(b.schema.get_field_index("doc_id"))
+            yield b.filter(pa.array(f.has(as_keys(column)) & column.is_valid().to_numpy(zero_copy_only=False)))
 
-    return docs.mapInArrow(keep, docs.schema).join(ids.select("doc_id").distinct(), "doc_id")
+    return docs.mapInArrow(keep, docs.schema).join(ids, "doc_id")
 
 
 def components(spark: SparkSession, edges: DataFrame) -> DataFrame:

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import fingerprints, language_id, mixing, piece_dropout, token_counts, token_records
+from . import fingerprints, language_id, mixing, multi_index, piece_dropout, token_counts, token_records
 from .common import documents
 
 
@@ -32,6 +32,10 @@ def op3_token_records(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_records.tokenize_to_files(documents(spark, sf_dir), vocabulary("word_bpe_49k.json"), end_id=2)
 
 
+def op4_multi_index(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return multi_index.link(spark.read.parquet(f"{sf_dir}/embeddings.parquet"), threshold=0.95)
+
+
 def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.count_tokens(documents(spark, sf_dir), vocabulary("byte_bpe_50k.json"))
 
@@ -44,5 +48,5 @@ def op10_piece_dropout(spark: SparkSession, sf_dir: str) -> DataFrame:
     return piece_dropout.encode(documents(spark, sf_dir), vocabulary("piece_bpe_32k.model"), dropout=0.1, seed=7, digest=True)
 
 
-QUERIES = {f.__name__: f for f in (op1_language_id, op2_fingerprints, op3_token_records, op5_token_counts, op9_mixing, op10_piece_dropout)}
+QUERIES = {f.__name__: f for f in (op1_language_id, op2_fingerprints, op3_token_records, op4_multi_index, op5_token_counts, op9_mixing, op10_piece_dropout)}
 ORACLES: dict[str, str] = {}
