@@ -61,11 +61,24 @@ def _grams(text: np.ndarray, longest: int) -> list[np.ndarray]:
 
 
 def sample(labelled: DataFrame, text: str, lang: str, key: str, size: int = SAMPLE) -> list:
-    """At most `size` labelled texts, balanced over languages, the same ones at each run."""
+    """About `size` labelled texts at most, balanced over languages, the same ones at each run.
+
+    Each language gives the rows whose hashed key lies below one common count over its own row count, so only
+    the chosen rows leave their tasks.
+    """
     rows = labelled.filter(F.col(lang).isNotNull() & F.col(text).rlike(r"\p{L}")).select(F.col(text).alias("text"), F.col(lang).alias("lang"), F.col(key).alias("key"))
-    totals = rows.groupBy("lang").agg(F.count("*").alias("n_lang"))
-    even = F.pmod(F.xxhash64(F.col("key").cast("string")), F.lit(1 << 40)) / (1 << 40) * F.col("n_lang")
-    return rows.join(F.broadcast(totals.orderBy(F.desc("n_lang"), "lang").limit(256)), "lang").withColumn("even", even).orderBy("even", "key", "text").limit(size).select("text", "lang").collect()
+    totals = [(r["lang"], r["n"]) for r in rows.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(256).collect()]
+    if not totals:
+        return []
+    low, high = 0.0, float(max(n for _, n in totals))
+    for _ in range(60):
+        middle = (low + high) / 2
+        low, high = (middle, high) if sum(min(n, middle) for _, n in totals) <= size else (low, middle)
+    each = {name: (low if low > 0 else high) / n for name, n in totals}
+    share = F.create_map(*(x for name, s in each.items() for x in (F.lit(name), F.lit(s))))[F.col("lang")]
+    place = F.pmod(F.xxhash64(F.col("key").cast("string")), F.lit(1 << 40)) / (1 << 40)
+    found = rows.select("text", "lang", (place / share).alias("place")).filter("place <= 1").collect()
+    return [(r["text"], r["lang"]) for r in sorted(found, key=lambda r: (r["place"], r["lang"], r["text"]))][: 2 * size]
 
 
 def fit(rows: list, longest: int = 4, landmarks: int = LANDMARKS, ridge: float = 1e-4) -> KernelModel | None:
