@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import fingerprints, language_id, mixing, multi_index, piece_dropout, token_counts, token_records
+from . import fingerprints, jaccard_join, language_id, mixing, multi_index, piece_dropout, token_counts, token_records
 from .common import documents
 
 
@@ -40,6 +40,10 @@ def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.count_tokens(documents(spark, sf_dir), vocabulary("byte_bpe_50k.json"))
 
 
+def op6_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard_join.classes(documents(spark, sf_dir), k=4, percent=85)
+
+
 def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(documents(spark, sf_dir), weights=(1, 2, 3)).drop("copies", "source")
 
@@ -48,5 +52,5 @@ def op10_piece_dropout(spark: SparkSession, sf_dir: str) -> DataFrame:
     return piece_dropout.encode(documents(spark, sf_dir), vocabulary("piece_bpe_32k.model"), dropout=0.1, seed=7, digest=True)
 
 
-QUERIES = {f.__name__: f for f in (op1_language_id, op2_fingerprints, op3_token_records, op4_multi_index, op5_token_counts, op9_mixing, op10_piece_dropout)}
+QUERIES = {f.__name__: f for f in (op1_language_id, op2_fingerprints, op3_token_records, op4_multi_index, op5_token_counts, op6_jaccard_join, op9_mixing, op10_piece_dropout)}
 ORACLES: dict[str, str] = {}
