@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import fingerprints, jaccard_join, language_id, mixing, multi_index, piece_dropout, suffix_dedup, token_counts, token_records
+from . import fingerprints, hidden_markov, jaccard_join, language_id, mixing, multi_index, piece_dropout, suffix_dedup, token_counts, token_records
 from .common import documents
 
 
@@ -44,6 +44,11 @@ def op6_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_join.classes(documents(spark, sf_dir), k=4, percent=85)
 
 
+def op7_hidden_markov(spark: SparkSession, sf_dir: str) -> DataFrame:
+    held = F.crc32(F.col("doc_id").cast("string")) % 7 == 2
+    return hidden_markov.score(documents(spark, sf_dir).select("doc_id", "text"), held)
+
+
 def op8_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffix_dedup.remove_repeats(documents(spark, sf_dir).select("doc_id", "text"), digest=True)
 
@@ -56,5 +61,5 @@ def op10_piece_dropout(spark: SparkSession, sf_dir: str) -> DataFrame:
     return piece_dropout.encode(documents(spark, sf_dir), vocabulary("piece_bpe_32k.model"), dropout=0.1, seed=7, digest=True)
 
 
-QUERIES = {f.__name__: f for f in (op1_language_id, op2_fingerprints, op3_token_records, op4_multi_index, op5_token_counts, op6_jaccard_join, op8_suffix_dedup, op9_mixing, op10_piece_dropout)}
+QUERIES = {f.__name__: f for f in (op1_language_id, op2_fingerprints, op3_token_records, op4_multi_index, op5_token_counts, op6_jaccard_join, op7_hidden_markov, op8_suffix_dedup, op9_mixing, op10_piece_dropout)}
 ORACLES: dict[str, str] = {}
