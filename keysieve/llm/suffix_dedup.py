@@ -269,22 +269,21 @@ def deep_shallow(group: np.ndarray, rows: np.ndarray, shallow: int = SHALLOW) ->
     return order, common
 
 
-def judge(hashes, ids, left, right, rows, length: int = LENGTH, gram: int = GRAM) -> np.ndarray:
-    """For each row (surroundings and their smallest document) the smallest document of the string at each shift; no string: the largest number."""
+def judge(hashes, ids, left, right, rows, ref, who, length: int = LENGTH, gram: int = GRAM) -> np.ndarray:
+    """For each occurrence (its surroundings' number and its document) a mask of the shifts whose string starts in a smaller document.
+
+    hashes, ids, left, right, rows: distinct surroundings, each with the smallest document that has them.
+    """
     before, n = length - gram, len(hashes)
-    none = np.iinfo(np.int64).max
-    least = np.full((n, before + 1), none, np.int64)
+    masks = np.zeros(len(ref), np.uint64)
     _, group = np.unique(hashes, return_inverse=True)
-    classes = []
-    for side in (rows[:, before:], rows[:, before - 1 :: -1] if before else rows[:, :0]):
-        order, common = deep_shallow(group, np.ascontiguousarray(side))
-        classes.append((order, common))
-    (right_order, right_common), (left_order, left_common) = classes
+    right_order, right_common = deep_shallow(group, np.ascontiguousarray(rows[:, before:]))
+    left_order, left_common = deep_shallow(group, np.ascontiguousarray(rows[:, before - 1 :: -1]))
+    of_right, of_left, least = np.empty(n, np.int64), np.empty(n, np.int64), np.empty(n, np.int64)
     for shift in range(before + 1):
         fits = np.flatnonzero((left >= shift) & (right >= length - shift))
         if not len(fits):
             continue
-        of_right, of_left = np.empty(n, np.int64), np.empty(n, np.int64)
         of_right[right_order] = np.cumsum(right_common < length - shift)
         of_left[left_order] = np.cumsum(left_common < shift)
         key = of_right[fits] * (n + 1) + of_left[fits]
@@ -292,14 +291,14 @@ def judge(hashes, ids, left, right, rows, length: int = LENGTH, gram: int = GRAM
         key = key[order]
         new = np.concatenate([[True], key[1:] != key[:-1]])
         low = np.minimum.reduceat(ids[fits][order], np.flatnonzero(new))
-        least[fits[order], shift] = low[np.cumsum(new) - 1]
-    return least
+        least.fill(np.iinfo(np.int64).max)
+        least[fits[order]] = low[np.cumsum(new) - 1]
+        masks |= (least[ref] < who).astype(np.uint64) << U64(shift)
+    return masks
 
 
 def _verdicts(batches):
     """Places of removed strings: (bucket by document, ids, places, masks) as packed bytes."""
-    before = LENGTH - GRAM
-    weights = U64(1) << np.arange(before + 1, dtype=np.uint64)
     kinds = ["<u8", "<i8", "<u4", np.uint8, np.uint8, np.uint8, "<u4", "<i8", "<u4"]
     for _, (hashes, ids, places, left, right, rows, extra, own, at) in by_bucket(batches, kinds):
         rows = rows.reshape(len(hashes), -1)
@@ -315,11 +314,13 @@ def _verdicts(batches):
         some = np.flatnonzero(keep)
         if not len(some):
             continue
-        least = np.full((len(hashes), before + 1), np.iinfo(np.int64).max, np.int64)
-        least[some] = judge(hashes[some], ids[some], left[some], right[some], rows[some])
+        at_some = np.full(len(hashes), -1)
+        at_some[some] = np.arange(len(some))
         who, where = np.concatenate([ids, own]), np.concatenate([places, at])
-        ref = np.concatenate([np.arange(len(hashes)), ref])
-        masks = ((least[ref] < who[:, None]) * weights).sum(1, dtype=np.uint64)
+        ref = at_some[np.concatenate([np.arange(len(hashes)), ref])]
+        use = ref >= 0
+        who, where, ref = who[use], where[use], ref[use]
+        masks = judge(hashes[some], ids[some], left[some], right[some], rows[some], ref, who)
         got = np.flatnonzero(masks)
         if len(got):
             yield pa.RecordBatch.from_arrays([pa.array(who[got]), pa.array(where[got].astype(np.int64)), pa.array(masks[got].view(np.int64))], ["doc_id", "place", "mask"])
@@ -339,7 +340,7 @@ def covered(n: int, places: np.ndarray, masks: np.ndarray) -> np.ndarray:
 def places_of(docs: DataFrame, text: str = "text") -> DataFrame:
     """(doc_id, place, mask): anchors with removed strings; bit s of the mask: the string that starts s bytes before the anchor."""
     spark = docs.sparkSession
-    bits = bucket_bits(docs.count())
+    bits = bucket_bits(docs.count(), each=400)
     keys = written(repeated(docs, bits, text), "repeated")
     log2 = Bits.size_for(keys.count(), FILTER_LOG2)
     field = spark.sparkContext.broadcast(bits_of(keys, "key", log2).data)
