@@ -12,6 +12,7 @@ from __future__ import annotations
 
 import heapq
 import json
+import re
 import unicodedata
 
 import numpy as np
@@ -22,7 +23,7 @@ from pyspark.sql import DataFrame
 from .common import text_buffer
 
 #: Pieces whose counts a worker remembers; it then starts anew, which costs time and changes nothing.
-MEMO = 400_000
+MEMO = 700_000
 _NARROW = 0x250
 
 
@@ -41,7 +42,7 @@ def _kind(c: int) -> str:
 LETTERS, NUMBERS, BLANKS = _class(lambda c: _kind(c) == "L"), _class(lambda c: _kind(c) == "N"), _class(_blank)
 #: The split into pieces that the vocabulary file names, for texts below U+0250 and for all texts.
 SUFFIXES = "'s|'t|'re|'ve|'m|'ll|'d"
-_NEAR = regex.compile(rf"{SUFFIXES}| ?[{LETTERS}]+| ?[{NUMBERS}]+| ?[^{BLANKS}{LETTERS}{NUMBERS}]+|[{BLANKS}]+(?![^{BLANKS}])|[{BLANKS}]+")
+_NEAR = re.compile(rf"{SUFFIXES}| ?[{LETTERS}]+| ?[{NUMBERS}]+| ?[^{BLANKS}{LETTERS}{NUMBERS}]+|[{BLANKS}]+(?![^{BLANKS}])|[{BLANKS}]+")
 _WIDE = regex.compile(rf"{SUFFIXES}| ?\p{{L}}+| ?\p{{N}}+| ?[^\p{{White_Space}}\p{{L}}\p{{N}}]+|\p{{White_Space}}+(?!\P{{White_Space}})|\p{{White_Space}}+")
 
 
@@ -57,8 +58,7 @@ class Counter:
         with open(path, encoding="utf-8") as f:
             told = json.load(f)
         merges = told["model"]["merges"]
-        pairs = [tuple(m) if isinstance(m, list) else tuple(m.split(" ")) for m in merges]
-        self.rank = {p: r for r, p in enumerate(pairs)}
+        self.rank = {" ".join(m) if isinstance(m, list) else m: r for r, m in enumerate(merges)}
         self.letters = byte_letters()
         special = [a["content"] for a in told["added_tokens"]]
         self.special = regex.compile("|".join(map(regex.escape, sorted(special, key=len, reverse=True)))) if special else None
@@ -66,22 +66,27 @@ class Counter:
 
     def merged(self, piece: str) -> int:
         """Symbols left of a piece after all merges."""
-        letters, rank = self.letters, self.rank
+        letters, rank = self.letters, self.rank.get
         sym = [letters[b] for b in piece.encode()]
         n = left = len(sym)
-        if n < 2:
-            return n
-        heap = [(r, i) for i in range(n - 1) if (r := rank.get((sym[i], sym[i + 1]))) is not None]
+        shift = 20 if n < 1 << 20 else 40
+        place = (1 << shift) - 1
+        heap = []  # a pair is one number: its rank, then its place
+        for i in range(n - 1):
+            r = rank(sym[i] + " " + sym[i + 1])
+            if r is not None:
+                heap.append(r << shift | i)
         if not heap:
             return n
         heapq.heapify(heap)
         after, before = list(range(1, n + 1)), list(range(-1, n - 1))
         pop, push = heapq.heappop, heapq.heappush
         while heap:
-            r, i = pop(heap)
+            c = pop(heap)
+            i = c & place
             j = after[i]
             a = sym[i]
-            if a is None or j >= n or rank.get((a, sym[j])) != r:
+            if a is None or j >= n or rank(a + " " + sym[j]) != c >> shift:
                 continue
             a = sym[i] = a + sym[j]
             sym[j] = None
@@ -89,10 +94,14 @@ class Counter:
             left -= 1
             if j < n:
                 before[j] = i
-                if (r := rank.get((a, sym[j]))) is not None:
-                    push(heap, (r, i))
-            if (k := before[i]) >= 0 and (r := rank.get((sym[k], a))) is not None:
-                push(heap, (r, k))
+                r = rank(a + " " + sym[j])
+                if r is not None:
+                    push(heap, r << shift | i)
+            k = before[i]
+            if k >= 0:
+                r = rank(sym[k] + " " + a)
+                if r is not None:
+                    push(heap, r << shift | k)
         return left
 
     def count(self, text: str) -> int:
