@@ -26,7 +26,7 @@ from .common import written
 
 WORD = r"[^\x20\x09-\x0D]+"
 #: Most times a source may be repeated, rows of a group at the leaves, and groups that meet in a node.
-MOST, LEAF, FAN = 3.0, 20_000, 64
+MOST, LEAF, FAN = 3.0, 4000, 64
 
 
 def targets(sizes: list[tuple[str | None, int]], weights: tuple[float, ...] = (1, 2, 3), most: float = MOST) -> dict[str | None, float]:
@@ -89,22 +89,21 @@ def mix(docs: DataFrame, weights: tuple[float, ...] = (1, 2, 3), seed: int = 11,
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(source).cast("string").alias("source"), F.coalesce(F.regexp_count(F.col(text), F.lit(WORD)), F.lit(0)).cast("long").alias("size"))
     sized = written(rows, "sizes")
     spark = docs.sparkSession
-    found = [(r["source"], int(r["n"])) for r in sized.groupBy("source").agg(F.sum("size").alias("n")).collect()]  # one row for each source
-    goal = targets(found, weights)
-    table = [(s, n, float(goal[s]), goal[s] / n if n else 0.0) for s, n in found]
-    plan = F.broadcast(spark.createDataFrame(table, "source string, source_size long, target double, ratio double")).alias("plan")
-    n = sized.count()
-    cells = max(1, math.ceil(n / LEAF))
+    found = [(r["source"], int(r["n"]), int(r["docs"])) for r in sized.groupBy("source").agg(F.sum("size").alias("n"), F.count("*").alias("docs")).collect()]  # one row for each source
+    goal = targets([f[:2] for f in found], weights)
+    table = [(s, n, float(goal[s]), goal[s] / n if n else 0.0, math.ceil(docs / LEAF)) for s, n, docs in found]
+    plan = F.broadcast(spark.createDataFrame(table, "source string, source_size long, target double, ratio double, cells long")).alias("plan")
+    cells = max((t[4] for t in table), default=1)
     dealt = sized.alias("d").join(plan, F.col("d.source").eqNullSafe(F.col("plan.source"))).select(
         F.coalesce("doc_id", F.lit(0)).alias("key"), "doc_id", F.col("d.source").alias("source"), "size", "source_size", "target",
         F.floor("ratio").alias("whole"), F.when(F.col("size") > 0, F.col("ratio") - F.floor("ratio")).otherwise(0.0).alias("part"),
-        F.pmod(F.xxhash64("doc_id", "size"), F.lit(cells)).alias("cell"),
+        F.pmod(F.xxhash64("doc_id", "size"), F.col("cells")).alias("cell"),
     )
     kinds = "doc_id long, source string, size long, source_size long, target double, whole long, part double, cell long, key long"
 
     def rounding(last: bool):
         def run(group: pa.Table) -> pa.Table:
-            group = group.sort_by([("key", "ascending"), ("size", "ascending")])
+            group = group.sort_by([("size", "descending"), ("key", "ascending")])  # what is left over is small
             out = pivot(group["key"].to_pylist(), group["size"].to_pylist(), group["part"].to_pylist(), seed, last)
             at = group.schema.get_field_index("part")
             return group.set_column(at, "part", pa.array(out, pa.float64())).select([k.split()[0] for k in kinds.split(", ")])
@@ -119,6 +118,6 @@ def mix(docs: DataFrame, weights: tuple[float, ...] = (1, 2, 3), seed: int = 11,
         if cells == 1:
             break
         cells = math.ceil(cells / FAN)
-        level = level.filter(~whole).withColumn("cell", F.pmod(F.col("cell"), F.lit(cells)))
+        level = level.filter(~whole).withColumn("cell", F.floor(F.col("cell") / FAN))
     copies = (F.col("whole") + F.col("part")).cast("long")
     return done.select("doc_id", "size", "source_size", "target", (copies * F.col("size")).alias("taken"), copies.alias("copies"), "source")
