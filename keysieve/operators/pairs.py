@@ -67,12 +67,17 @@ def build_plain(df: DataFrame, key: str, spec: SketchSpec) -> Sketch:
     return Sketch(spec, entries, failed=failed)
 
 
+def _home(spec: SketchSpec) -> list[str]:
+    """What entries are dealt by: a chain keeps its shard and print. A constant shard would hide the match from the planner."""
+    return ["kappa"] if spec.shards == 1 else ["shard", "kappa"]
+
+
 def build_chained(df: DataFrame, key: str, spec: SketchSpec) -> Sketch:
     """At most d vectors of a print in a pair; what is over goes on to the next pair of the chain, up to l_max pairs."""
     if spec.l_max is None:
         return _build_uncapped(df, key, spec)
     a = prints(spec)
-    rows = vectors(df, key, spec).repartition("shard", "kappa")
+    rows = vectors(df, key, spec).repartition(*_home(spec))
     rows = rows.withColumns({"chain": chain_pairs(F.col("pair_id"), F.col("kappa"), spec, spec.l_max), "late": F.lit(1)})
     same = Window.partitionBy(*GROUP, *a)
     order = Window.partitionBy(*GROUP).orderBy("late", *a)
@@ -88,7 +93,7 @@ def build_chained(df: DataFrame, key: str, spec: SketchSpec) -> Sketch:
 def _build_uncapped(df: DataFrame, key: str, spec: SketchSpec) -> Sketch:
     """Rounds until nothing is over; lineage is cut after each, as their number follows the largest group."""
     a = prints(spec)
-    rows = vectors(df, key, spec).repartition("shard", "kappa").withColumns({"late": F.lit(1), "done": F.lit(False)})
+    rows = vectors(df, key, spec).repartition(*_home(spec)).withColumns({"late": F.lit(1), "done": F.lit(False)})
     same, order = Window.partitionBy(*GROUP, *a), Window.partitionBy(*GROUP).orderBy("late", *a)
     while True:
         rows = rows.withColumn("late", F.min("late").over(same)).withColumn("rank", F.dense_rank().over(order))

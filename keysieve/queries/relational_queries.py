@@ -247,12 +247,13 @@ def win_row_number_cap(spark, d):
     return O.top_per_group(T(spark, d, "lineitem", ["l_orderkey", "l_partkey"]).distinct(), ["l_orderkey"], [F.col("l_partkey")], 3)
 
 
-_W = Window.partitionBy("p_type").orderBy("p_size")
+def _types():
+    return Window.partitionBy("p_type").orderBy("p_size")
 
 
 @reg.add("win_rank", "select p_partkey, rank() over w as r, dense_rank() over w as dr from part window w as (partition by p_type order by p_size)")
 def win_rank(spark, d):
-    return T(spark, d, "part", ["p_partkey", "p_type", "p_size"]).select("p_partkey", F.rank().over(_W).alias("r"), F.dense_rank().over(_W).alias("dr"))
+    return T(spark, d, "part", ["p_partkey", "p_type", "p_size"]).select("p_partkey", F.rank().over(_types()).alias("r"), F.dense_rank().over(_types()).alias("dr"))
 
 
 @reg.add("win_ntile", "select s_suppkey, ntile(4) over (partition by s_nationkey order by s_suppkey) as q from supplier")
@@ -261,17 +262,20 @@ def win_ntile(spark, d):
 
 
 _EW = "partition by user_id order by ts, event_id"
-_E = Window.partitionBy("user_id").orderBy("ts", "event_id")
+
+
+def _users():
+    return Window.partitionBy("user_id").orderBy("ts", "event_id")
 
 
 @reg.add("win_lag_lead", f"select event_id, lag(event_id) over w as prev, lead(event_id) over w as next, first_value(event_id) over w as first from events window w as ({_EW})")
 def win_lag_lead(spark, d):
-    return T(spark, d, "events", ["event_id", "user_id", "ts"]).select("event_id", F.lag("event_id").over(_E).alias("prev"), F.lead("event_id").over(_E).alias("next"), F.first("event_id").over(_E).alias("first"))
+    return T(spark, d, "events", ["event_id", "user_id", "ts"]).select("event_id", F.lag("event_id").over(_users()).alias("prev"), F.lead("event_id").over(_users()).alias("next"), F.first("event_id").over(_users()).alias("first"))
 
 
 @reg.add("win_rows_frame", f"select event_id, count(*) over (w rows between 2 preceding and current row) as n3, min(event_id) over (w rows between 2 preceding and current row) as low from events window w as ({_EW})")
 def win_rows_frame(spark, d):
-    f = _E.rowsBetween(-2, 0)
+    f = _users().rowsBetween(-2, 0)
     return T(spark, d, "events", ["event_id", "user_id", "ts"]).select("event_id", F.count("*").over(f).alias("n3"), F.min("event_id").over(f).alias("low"))
 
 
