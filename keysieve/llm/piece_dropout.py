@@ -6,8 +6,8 @@ probability, decided by a keyed hash of the seed, the word's variant and the can
 Without dropout the result is the library's. Symbols that are no piece become byte pieces, so decoding gives the
 text back exactly.
 
-No piece goes over the end of a word into a space, so words are segmented alone. Each occurrence of a word takes
-one of `VARIANTS` segmentations by a keyed hash of its document and its place, and a bounded memo keeps them.
+No piece goes over the end of a word into a space, so words are segmented alone. Each run of `RUN` words of a
+text takes one of `VARIANTS` keys by a hash of its document and its place, and a bounded memo keeps segmentations.
 
 Defined results: a null or empty text has no tokens and decodes to the empty text; texts of any length are
 encoded whole; models without byte pieces would not be lossless and are refused.
@@ -16,18 +16,20 @@ encoded whole; models without byte pieces would not be lossless and are refused.
 from __future__ import annotations
 
 import heapq
+import re
 import zlib
 
 import numpy as np
 import pyarrow as pa
-import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-#: Segmentations that an often repeated word can have, and segmentations that a worker remembers.
-VARIANTS, MEMO = 4, 400_000
+from .common import mix
+
+#: Segmentations that a word can have, words of a text that take the same one, and segmentations that a worker remembers.
+VARIANTS, RUN, MEMO = 2, 32, 1_000_000
 _M = (1 << 64) - 1
-_UNIT = regex.compile("▁*[^▁\n]+|▁+|\n")
+_UNIT = re.compile("▁*[^▁\n]+|▁+|\n")
 
 
 class Segmenter:
@@ -52,34 +54,46 @@ class Segmenter:
             self.text[i] = p.replace("▁", " ").encode()
         for b, i in self.byte.items():
             self.text[i] = bytes([b])
-        self.limit, self.seed, self.memo = int(dropout * (1 << 32)), seed, {}
+        # keyed hashes of candidates (rank and place), as a table of those that are skipped under each variant
+        codes = np.arange(1 << 16, dtype=np.uint64)
+        self.drops = [(mix(codes ^ mix(np.array([(seed << 8) + v + 1], np.uint64))) >> np.uint64(32) < int(dropout * (1 << 32))).tobytes() for v in range(VARIANTS)]
+        self.kind = "<u2" if n <= 1 << 16 else "<u4"
+        self.limit, self.seed, self.memos = int(dropout * (1 << 32)), seed, [_Memo(self, v) for v in range(VARIANTS)]
 
     def segment(self, unit: str, variant: int) -> np.ndarray:
         """Ids of one word."""
-        sym, n, order = list(unit), len(unit), self.order
-        key = (zlib.crc32(unit.encode()) * 0x9E3779B1 + variant * 0xC2B2AE3D + self.seed * 0x27D4EB2F) & 0xFFFFFFFF
-        agenda = [(r, i, sym[i] + sym[i + 1]) for i in range(n - 1) if (r := order.get(sym[i] + sym[i + 1])) is not None]
-        heapq.heapify(agenda)
-        after, before, limit = list(range(1, n + 1)), list(range(-1, n - 1)), self.limit
-        while agenda:
-            r, i, got = heapq.heappop(agenda)
-            left, j = sym[i], after[i]
-            if left is None or j >= n or len(left) + len(sym[j]) != len(got) or left + sym[j] != got:
-                continue
-            if limit:
-                x = (key ^ (r * 0x85EBCA6B + i * 0xC2B2AE35)) & 0xFFFFFFFF
-                x = ((x ^ x >> 16) * 0x45D9F3B) & 0xFFFFFFFF
-                x = ((x ^ x >> 16) * 0x45D9F3B) & 0xFFFFFFFF
-                if x ^ x >> 16 < limit:
+        sym, n, rank = list(unit), len(unit), self.order.get
+        shift = 20 if n < 1 << 20 else 40
+        place = (1 << shift) - 1
+        drop = self.drops[variant]
+        # a candidate is one number: the rank of its piece, then its place
+        agenda = [r << shift | i for i, r in enumerate([rank(a + b) for a, b in zip(sym, unit[1:], strict=False)]) if r is not None]
+        if agenda:
+            heapq.heapify(agenda)
+            pop, push, after, before, limit = heapq.heappop, heapq.heappush, list(range(1, n + 1)), list(range(-1, n - 1)), self.limit
+            while agenda:
+                c = pop(agenda)
+                i = c & place
+                left, j = sym[i], after[i]
+                if left is None or j >= n:
+                    continue
+                got = left + sym[j]
+                if rank(got) != c >> shift:
                     continue
-            sym[i], sym[j] = got, None
-            j = after[i] = after[j]
-            if j < n:
-                before[j] = i
-                if (r := order.get(got + sym[j])) is not None:
-                    heapq.heappush(agenda, (r, i, got + sym[j]))
-            if (k := before[i]) >= 0 and (r := order.get(sym[k] + got)) is not None:
-                heapq.heappush(agenda, (r, k, sym[k] + got))
+                if limit and drop[(c >> shift) * 37 + i & 0xFFFF]:
+                    continue
+                sym[i], sym[j] = got, None
+                j = after[i] = after[j]
+                if j < n:
+                    before[j] = i
+                    r = rank(got + sym[j])
+                    if r is not None:
+                        push(agenda, r << shift | i)
+                k = before[i]
+                if k >= 0:
+                    r = rank(sym[k] + got)
+                    if r is not None:
+                        push(agenda, r << shift | k)
         out = []
         for s in sym:
             if s is not None:
@@ -87,7 +101,7 @@ class Segmenter:
                     out.append(i)
                 else:
                     out.extend(self.byte[b] for b in s.encode())
-        return np.array(out, "<u2" if len(self.piece) <= 1 << 16 else "<u4")
+        return np.array(out, self.kind)
 
     def encode(self, text: str, doc_key: int = 0) -> np.ndarray:
         if not text:
@@ -100,29 +114,35 @@ class Segmenter:
         return self._units("▁" + text.replace(" ", "▁"), doc_key)
 
     def _units(self, marked: str, doc_key: int) -> np.ndarray:
-        units, memo = _UNIT.findall(marked), self.memo
-        if len(memo) > MEMO:
-            memo.clear()
-        if self.limit:
-            x = np.arange(len(units), dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.uint64((doc_key * 0xD1B54A32D192ED03 + self.seed) & _M)
-            x = (x ^ (x >> np.uint64(31))) * np.uint64(0xBF58476D1CE4E5B9)
-            picks = (x >> np.uint64(62)).astype(np.int64).tolist() if VARIANTS == 4 else ((x >> np.uint64(33)) % np.uint64(VARIANTS)).astype(np.int64).tolist()
-        else:
-            picks = [0] * len(units)
-        parts = []
-        for k in zip(units, picks, strict=True):
-            got = memo.get(k)
-            if got is None:
-                got = self.segment(*k).tobytes()
-                if len(k[0]) < 64:
-                    memo[k] = got
-            parts.append(got)
-        return np.frombuffer(b"".join(parts), "<u2" if len(self.piece) <= 1 << 16 else "<u4").astype(np.int32)
+        units, memos = _UNIT.findall(marked), self.memos
+        if sum(map(len, memos)) > MEMO:
+            for m in memos:
+                m.clear()
+        if not self.limit:
+            return np.frombuffer(b"".join(map(memos[0].__getitem__, units)), self.kind).astype(np.int32)
+        parts, x = [], (doc_key * 0xD1B54A32D192ED03 + self.seed * 0x9E3779B97F4A7C15) & _M
+        for i in range(0, len(units), RUN):
+            x = (x * 0x5851F42D4C957F2D + 0x14057B7EF767814F) & _M
+            parts.extend(map(memos[(x >> 33) % VARIANTS].__getitem__, units[i : i + RUN]))
+        return np.frombuffer(b"".join(parts), self.kind).astype(np.int32)
 
     def decode(self, ids) -> str:
         return b"".join(map(self.text.__getitem__, ids))[1:].decode() if len(ids) else ""
 
 
+class _Memo(dict):
+    """Segmentations of words under one key."""
+
+    def __init__(self, segmenter: Segmenter, variant: int):
+        self.segmenter, self.variant = segmenter, variant
+
+    def __missing__(self, unit: str) -> bytes:
+        got = self.segmenter.segment(unit, self.variant).tobytes()
+        if len(unit) < 64:
+            self[unit] = got
+        return got
+
+
 _segmenters: dict[tuple, Segmenter] = {}
 
 
