@@ -309,7 +309,7 @@ DYA_COVER = {"node": tuple(binning.dyadic_cover(30, 49, 7))}
 @reg.add("range_probe_dyadic", f"with {Q.chained(_DYA_ROWS, DYA)}, {Q.closed(DYA)}, {Q.live_chained(DYA_COVER, DYA)} {Q.probe('select distinct l_orderkey as k from lineitem', DYA)}")
 def range_probe_dyadic(spark, d):
     month = ((F.year("o_orderdate") - 1995) * 12 + F.month("o_orderdate") - 1).cast("bigint")
-    rows = S.table(spark, d, "orders", ["o_orderkey", "o_orderdate"]).select(F.col("o_orderkey").alias("k"), F.explode(binning.dyadic_items(month, 7)).cast("bigint").alias("node"))
+    rows = S.table(spark, d, "orders", ["o_orderkey", "o_orderdate"]).select(F.col("o_orderkey").alias("k"), F.explode(binning.dyadic_items(month, 7)).alias("node"))
     return R.contains(lines(spark, d).distinct(), "k", Predicate(DYA_COVER), P.build_chained(rows, "k", DYA)).select("k")
 
 
