@@ -7,13 +7,14 @@ each, their prefixes. Documents with the same prefix and size form a group; grou
 and pass the size and position bounds are candidate pairs, which are expanded to members with different sets
 and verified on whole sets.
 
-The order counts all n-grams whose hash lies in the first quarter of the range over all documents; the most
-frequent of them, at most `HEAVY`, are broadcast. N-grams outside the quarter come after the uncounted-as-heavy
-ones and before the heavy ones. Any order gives the same links; this one keeps lists short.
+The order counts all n-grams whose hash lies in the first half of the range over all documents; the most
+frequent of them, at most `HEAVY`, are broadcast and come last, the other counted ones first. Any order gives
+the same links; this one keeps lists short.
 
-Classes need no list of all pairs. In each round every list of a prefix n-gram proposes one member against
-those of other classes; after `ROUNDS` rounds all pairs of a list that are still in different classes are
-verified. So a group of many near copies costs one check per member, and no link between classes is lost.
+Classes need no list of all pairs. In each round every list of a prefix n-gram proposes a few members, `HUBS`,
+against those of other classes; after these rounds all pairs that are still in different classes are verified,
+but for those that parities of 256 cells prove to differ too much. So a group of many near copies costs a few checks per member, and no link
+between classes is lost.
 
 Defined results: null and empty texts and those without words have an empty set and link with nothing. Documents
 with equal sets link. Rows of equal doc_id are one document of the result's classes but keep a row each; a null
@@ -29,9 +30,12 @@ from pyspark.sql import functions as F
 
 from .common import U64, bucket_bits, by_bucket, common, components, gathered, having, mix, shingles, text_buffer, written
 
-HEAVY, LEAST_HEAVY, ROUNDS = 1 << 18, 9, 2
-#: Prefix n-grams that a task holds before it sends them on, and members that are verified against one document in a task.
-FLUSH, MEMBERS = 1 << 21, 512
+HEAVY, LEAST_HEAVY, HUBS = 1 << 20, 9, (1, 16)
+#: Prefix n-grams that a task holds before it sends them on, and documents that are verified together.
+FLUSH, MEMBERS = 1 << 21, 500
+
+
+PARITY = ("p0", "p1", "p2", "p3")
 
 
 def _needed(n: np.ndarray, m: np.ndarray, percent: int) -> np.ndarray:
@@ -49,14 +53,20 @@ def _sign(sets: list[np.ndarray]) -> np.ndarray:
 
 
 def signatures(docs: DataFrame, k: int) -> DataFrame:
-    """(doc_id, n, sign): set size and name of the set of every row."""
+    """(doc_id, n, sign, p0..p3): set size, name of the set, and parities of its n-grams in 256 cells, of every row.
+
+    Each n-gram that only one of two sets has flips one parity, so parities that differ bound how much the sets differ.
+    """
+
+    def parity(s: np.ndarray) -> np.ndarray:
+        return np.packbits(np.bincount((mix(s) >> U64(56)).astype(np.int64), minlength=256).astype(np.uint8) & 1).view(np.int64)
 
     def run(batches):
         for batch in batches:
             sets = shingles(*text_buffer(batch.column(1)), k)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array(_sign(sets).view(np.int64))], ["doc_id", "n", "sign"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array(_sign(sets).view(np.int64)), *(pa.array(c) for c in np.array([parity(s) for s in sets], np.int64).reshape(-1, 4).T)], ["doc_id", "n", "sign", *PARITY])
 
-    return _rows(docs).mapInArrow(run, "doc_id long, n long, sign long")
+    return _rows(docs).mapInArrow(run, "doc_id long, n long, sign long, p0 long, p1 long, p2 long, p3 long")
 
 
 def _short(keys: np.ndarray, bits: int) -> np.ndarray:
@@ -90,7 +100,7 @@ def heavy(docs: DataFrame, k: int, bits: int) -> tuple[np.ndarray, np.ndarray]:
         parts, size = [], 0
         for batch in batches:
             for s in shingles(*text_buffer(batch.column(1)), k):
-                few = s[: np.searchsorted(s, U64(1 << 62))]
+                few = s[: np.searchsorted(s, U64(1 << 63))]
                 if len(few):
                     parts.append(few)
                     size += len(few)
@@ -120,19 +130,19 @@ def heavy(docs: DataFrame, k: int, bits: int) -> tuple[np.ndarray, np.ndarray]:
     table = counted.filter(F.col("n") >= limit).toArrow()  # at most HEAVY rows
     grams, n = table["gram"].to_numpy().view(np.uint64), table["n"].to_numpy()
     order = grams.argsort()
-    return grams[order], n[order]
+    return grams[order], n[order].astype(np.uint32)
 
 
 def _prefix(s: np.ndarray, grams: np.ndarray, counts: np.ndarray, bits: int, percent: int) -> np.ndarray:
     """The first n-grams of a set in the corpus order, as many as a partner must share one of."""
     length = len(s) + (-percent * len(s)) // 100 + 1
-    few = int(np.searchsorted(s, U64(1 << 62)))
+    few = int(np.searchsorted(s, U64(1 << 63)))
     rank = np.ones(len(s), np.int64)
     if few and len(grams):
         name = s[:few] >> U64(24 - bits)
         at = np.searchsorted(grams, name)
         at[at == len(grams)] = 0
-        rank[:few] = np.where(grams[at] == name, counts[at] + 1, 0)
+        rank[:few] = np.where(grams[at] == name, counts[at].astype(np.int64) + 1, 0)
     elif few:
         rank[:few] = 0
     return s[rank.argsort(kind="stable")[:length]]
@@ -206,76 +216,123 @@ def _may(n: np.ndarray, m: np.ndarray, i: np.ndarray, j: np.ndarray, percent: in
     return (100 * np.minimum(n, m) >= percent * np.maximum(n, m)) & (room >= _needed(n, m, percent))
 
 
-def _proposals(percent: int, turn: int | None):
-    """Pairs of signs from lists with classes: one member against the others (turn), or all that are in different classes."""
+def _first(percent: int):
+    """(a, b): in each list the member of least hash with the others, by sizes and places."""
 
     def run(batches):
         held: list[np.ndarray] = []
+        for batch in batches:
+            columns = [batch.column(i) for i in range(3)]
+            cuts = columns[0].offsets.to_numpy() - columns[0].offsets[0].as_py()
+            signs, sizes, places = (c.flatten().to_numpy(zero_copy_only=False) for c in columns)
+            for start, end in zip(cuts[:-1], cuts[1:], strict=True):
+                sign, n, place = signs[start:end], sizes[start:end], places[start:end]
+                hub = int(mix(sign.view(np.uint64)).argmin())
+                ok = _may(n, np.full(len(n), n[hub]), place, np.full(len(n), place[hub]), percent)
+                ok[hub] = False
+                if ok.any():
+                    held.append(np.stack([np.full(int(ok.sum()), sign[hub]), sign[ok]], 1))
+            if len(held) > 20_000:
+                yield _pairs(held)
+                held = []
+        if held:
+            yield _pairs(held)
+
+    return run
+
 
-        def flush():
-            pairs = np.unique(np.concatenate(held), axis=0)
-            return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0].view(np.int64)), pa.array(pairs[:, 1].view(np.int64))], ["a", "b"])
+def _near(p: np.ndarray, q: np.ndarray, n: np.ndarray, m: np.ndarray, percent: int) -> np.ndarray:
+    """Whether parities leave room for a link: sets that link differ in at most n + m - 2 * needed n-grams."""
+    return np.bitwise_count((p ^ q).view(np.uint64)).sum(1) <= n + m - 2 * _needed(n, m, percent)
 
+
+def _pairs(held: list[np.ndarray]) -> pa.RecordBatch:
+    rows = np.unique(np.concatenate(held), axis=0)
+    return pa.RecordBatch.from_arrays([pa.array(rows[:, 0]), pa.array(rows[:, 1])], ["a", "b"])
+
+
+def _proposals(percent: int, turn: int, hubs: int | None):
+    """(a, b): pairs of signs of different classes that sizes, places and parities leave room for.
+
+    Some members of a list's largest class are paired with the other classes, or without `hubs` all members.
+    """
+
+    def run(batches):
+        held: list[np.ndarray] = []
+        size = 0
         for batch in batches:
             column = batch.column(0)
             cuts = column.offsets.to_numpy() - column.offsets[0].as_py()
             flat = column.flatten()
             all_ = [flat.field(f).to_numpy(zero_copy_only=False) for f in ("sign", "grp", "n", "place", "label")]
-            for start, end in zip(cuts[:-1], cuts[1:], strict=True):
-                sign, group, n, place, label = (x[start:end] for x in all_)
-                sign = sign.view(np.uint64)
-                if turn is not None:
-                    hub = int(mix(sign + U64(turn)).argmin())
-                    ok = (label != label[hub]) & _may(n, np.full_like(n, n[hub]), place, np.full_like(place, place[hub]), percent)
-                    pairs = np.stack([np.full(int(ok.sum()), sign[hub]), sign[ok]], 1)
-                    held.append(pairs)
-                else:
-                    # pairs of groups are bounded first, then expanded to members of different classes
-                    key = group.view(np.uint64) ^ mix(n.astype(np.uint64) << U64(32) | place.astype(np.uint64))
-                    _, first, of = np.unique(key, return_index=True, return_inverse=True)
-                    for g in range(len(first)):
-                        a = first[g]
-                        ok = _may(n[first], np.full(len(first), n[a], n.dtype), place[first], np.full(len(first), place[a], place.dtype), percent)
-                        mine, theirs = np.flatnonzero(of == g), np.flatnonzero(ok[of] & (of >= g))
-                        for x in mine:
-                            other = theirs[label[theirs] != label[x]]
-                            if len(other):
-                                pairs = np.stack([np.minimum(sign[x], sign[other]), np.maximum(sign[x], sign[other])], 1)
-                                held.append(pairs)
-                if sum(map(len, held[-1:])) and sum(map(len, held)) > 200_000:
-                    yield flush()
-                    held.clear()
+            all_.append(np.stack([flat.field(f).to_numpy(zero_copy_only=False) for f in PARITY], 1))
+            lengths = np.diff(cuts)
+            a = cuts[:-1][lengths == 2]
+            if len(a):  # most lists have two members: all of them at once
+                signs, _, sizes, places, labels, parity = all_
+                b = a + 1
+                ok = (labels[a] != labels[b]) & _may(sizes[a], sizes[b], places[a], places[b], percent) & _near(parity[a], parity[b], sizes[a], sizes[b], percent)
+                if ok.any():
+                    held.append(np.stack([np.minimum(signs[a[ok]], signs[b[ok]]), np.maximum(signs[a[ok]], signs[b[ok]])], 1))
+                    size += int(ok.sum())
+            for start, end in zip(cuts[:-1][lengths > 2], cuts[1:][lengths > 2], strict=True):
+                sign, group, n, place, label, parity = (x[start:end] for x in all_)
+                ask = np.arange(len(sign))
+                if hubs is not None:
+                    values, counts = np.unique(label, return_counts=True)
+                    ask = np.flatnonzero(label == values[counts.argmax()])
+                    ask = ask[mix(sign[ask].view(np.uint64) + U64(turn)).argsort()[:hubs]]
+                # groups are bounded first, then expanded to their members of different classes
+                key = group.view(np.uint64) ^ mix(n.astype(np.uint64) << U64(32) | place.astype(np.uint64))
+                _, first, of = np.unique(key, return_index=True, return_inverse=True)
+                for x in ask:
+                    may = _may(n[first], np.full(len(first), n[x]), place[first], np.full(len(first), place[x]), percent)[of]
+                    other = np.flatnonzero(may & (label != label[x]))
+                    other = other[_near(parity[other], parity[x][None, :], n[other], np.full(len(other), n[x]), percent)]
+                    if len(other):
+                        held.append(np.stack([np.minimum(sign[x], sign[other]), np.maximum(sign[x], sign[other])], 1))
+                        size += len(other)
+                if size > 1_000_000 or len(held) > 100_000:
+                    yield _pairs(held)
+                    held, size = [], 0
         if held:
-            yield flush()
+            yield _pairs(held)
 
     return run
 
 
-def verify(docs: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFrame:
-    """The pairs (a, b) of doc_ids whose sets link, by their whole texts.
+def verify(texts: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFrame:
+    """The pairs (a, b) of doc_ids whose sets link, by their whole texts (doc_id, text).
 
-    Partners of one document are checked in blocks that hold its set once; a document with many partners is in several blocks.
+    Documents b are dealt into seats by their hash, so each text travels once, and once more as an a for each seat that needs it.
     """
-    spark = docs.sparkSession
-    sizes = pairs.groupBy("a").agg(F.count("*").alias("n"))
-    seated = pairs.join(sizes, "a").select("a", F.pmod(F.xxhash64("b"), F.ceil(F.col("n") / MEMBERS)).cast("int").alias("salt"), "b")
-    need = seated.select("a", "salt", F.col("b").alias("doc_id"), F.lit(1).alias("role")).unionByName(seated.select("a", "salt", F.col("a").alias("doc_id"), F.lit(0).alias("role")).distinct())
-    need = written(need, "need")
-    texts = having(_rows(docs), need.select("doc_id").distinct())
-    n = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    dealt = need.join(texts, "doc_id").repartition(n, "a", "salt").sortWithinPartitions("a", "salt", "role").select("a", "salt", "role", "doc_id", "text")
+    spark = texts.sparkSession
+    n, pairs_n = pairs.select("b").distinct().count(), pairs.count()
+    seats = max(1, n // MEMBERS, pairs_n // 20_000)
+    seat = F.pmod(F.xxhash64("b"), F.lit(seats)).cast("int").alias("seat")
+    none = F.lit(None).cast("array<long>")
+    need = pairs.select(seat, F.col("a").alias("doc_id"), F.lit(0).alias("role"), none.alias("with")).distinct()
+    need = written(need.unionByName(pairs.groupBy("b").agg(F.collect_list("a").alias("with")).select(seat, F.col("b").alias("doc_id"), F.lit(1).alias("role"), "with")), "need")
+    parts = min(seats, int(spark.conf.get("spark.sql.shuffle.partitions")))
+    dealt = need.join(texts, "doc_id").repartition(max(1, parts), "seat").sortWithinPartitions("seat", "role").select("seat", "role", "doc_id", "with", "text")
 
     def run(batches):
-        seat, own = None, None
+        seat, own = None, {}
         for batch in batches:
             sets = shingles(*text_buffer(batch.column(4)), k)
             found = []
-            for a, salt, role, doc, s in zip(*(batch.column(i).to_pylist() for i in range(4)), sets, strict=True):
+            for s, role, doc, partners, x in zip(*(batch.column(i).to_pylist() for i in range(4)), sets, strict=True):
+                if s != seat:
+                    seat, own = s, {}
                 if role == 0:
-                    seat, own = (a, salt), s
-                elif seat == (a, salt) and len(s) and len(own):
-                    both = common(own, s)
-                    if 100 * both >= percent * (len(own) + len(s) - both):
+                    own[doc] = x
+                    continue
+                for a in partners:
+                    y = own.get(a)
+                    if y is None or not len(x) or not len(y):
+                        continue
+                    both = common(x, y)
+                    if 100 * both >= percent * (len(x) + len(y) - both):
                         found.append((a, doc))
             if found:
                 yield pa.RecordBatch.from_arrays([pa.array([f[i] for f in found], pa.int64()) for i in (0, 1)], ["a", "b"])
@@ -287,37 +344,39 @@ def classes(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFrame:
     """(doc_id, n_shingles, component_id) of every row; component_id is the smallest doc_id that links reach."""
     spark = docs.sparkSession
     told = written(signatures(docs, k), "signatures")
-    units = written(told.filter("n > 0 and doc_id is not null").groupBy("sign").agg(F.min("doc_id").alias("unit")), "units")
-    found = lists(docs, k, percent, bucket_bits(told.count()))
+    units = written(told.filter("n > 0 and doc_id is not null").groupBy("sign").agg(F.min("doc_id").alias("unit"), *(F.min(p).alias(p) for p in PARITY)), "units")
+    found = lists(docs, k, percent, bucket_bits(told.count(), each=1000))
+    # texts that any candidate can need, read from the documents once
+    named = found.select(F.explode("sign").alias("sign")).distinct().join(units.select("sign", "unit"), "sign").select(F.col("unit").alias("doc_id"))
+    texts = written(having(_rows(docs), named), "texts")
+    each = found.select("gram", F.array_min("sign").alias("hub"), F.explode(F.arrays_zip("sign", "grp", "n", "place")).alias("m")).select("gram", "hub", "m.*")
+    members = written(each.join(units.select("sign", *PARITY), "sign"), "members")
+    tasks = int(spark.conf.get("spark.sql.shuffle.partitions"))
     links = None
     labels = units.select("sign", F.col("unit").alias("label"))
     tested = None
-    for turn in (*range(ROUNDS), None):
-        if links is None:  # every set is a class of its own
-            zipped = F.arrays_zip("sign", "grp", "n", "place", F.col("sign").alias("label"))
-            open_ = found.select(zipped.alias("m"))
+    for turn, hubs in enumerate((*HUBS, None)):
+        if turn == 0:  # every set is a class of its own
+            proposed = found.select("sign", "n", "place").mapInArrow(_first(percent), "a long, b long").distinct()
         else:  # lists whose members are all in one class are done
-            member = found.select("gram", F.explode(F.arrays_zip("sign", "grp", "n", "place")).alias("m")).select("gram", "m.*").join(labels, "sign")
-            gathered_ = member.groupBy("gram").agg(F.min("label").alias("low"), F.max("label").alias("high"), F.sort_array(F.collect_list(F.struct("n", "grp", "sign", "place", "label"))).alias("m"))
-            open_ = gathered_.filter("low <> high").select("m")
-        proposed = open_.mapInArrow(_proposals(percent, turn), "a long, b long").distinct()
+            # lists with one least member stand together, so that their common pairs are told once; four parts keep them apart
+            rows = members.join(labels, "sign").withColumn("part", F.pmod("gram", F.lit(4))).repartition(tasks, "hub", "part")
+            listed = rows.groupBy("hub", "part", "gram").agg(F.collect_list(F.struct("sign", "grp", "n", "place", "label", *PARITY)).alias("m"))
+            listed = listed.filter(F.size(F.array_distinct("m.label")) > 1).select("m")
+            proposed = listed.mapInArrow(_proposals(percent, turn, hubs), "a long, b long").distinct()
         named = proposed.join(units.select(F.col("sign").alias("a"), F.col("unit").alias("x")), "a").join(units.select(F.col("sign").alias("b"), F.col("unit").alias("y")), "b")
-        pairs = named.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).filter("a <> b").distinct()
-        if turn is not None:  # the proposing member stays first, so that its text travels once
-            pairs = named.select(F.col("x").alias("a"), F.col("y").alias("b")).filter("a <> b").distinct()
+        pairs = named.select(F.col("x").alias("a"), F.col("y").alias("b")).filter("a <> b").distinct()
         if tested is not None:
             pairs = pairs.join(tested, (pairs.a == tested.p) & (pairs.b == tested.q), "left_anti")
         pairs = written(pairs, "pairs")
         if not pairs.limit(1).count():
-            if turn is None:
-                break
             continue
         both = pairs.select(F.col("a").alias("p"), F.col("b").alias("q")).unionByName(pairs.select(F.col("b").alias("p"), F.col("a").alias("q")))
         tested = both if tested is None else tested.unionByName(both)
-        new = written(verify(docs, pairs, k, percent), "links")
+        new = written(verify(texts, pairs, k, percent), "links")
         links = new if links is None else links.unionByName(new)
         parts = components(spark, links)
         labels = written(units.join(parts, units.unit == parts.node, "left").select("sign", F.coalesce("component", "unit").alias("label")), "classes")
-    out = told.join(labels, "sign", "left")
+    out = told.select("doc_id", "n", "sign").join(labels, "sign", "left")
     return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("label")).otherwise(F.col("doc_id")).alias("component_id"))
 
