@@ -17,6 +17,7 @@ order of their texts. A null doc_id cannot be framed and is an error of the call
 from __future__ import annotations
 
 import os
+import re
 import struct
 import unicodedata
 import uuid
@@ -24,7 +25,6 @@ import zlib
 
 import numpy as np
 import pyarrow as pa
-import regex
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -33,7 +33,7 @@ from .common import shared_dir
 #: Fixed value: what is added to a rotated checksum.
 MASK = 0xA282EAD8
 #: Pieces whose ids a worker remembers, and most documents in a file.
-MEMO, PER_FILE = 300_000, 4000
+MEMO, PER_FILE = 1_300_000, 4000
 _NARROW = 0x250
 
 
@@ -75,7 +75,19 @@ def _class(which) -> str:
 
 _LETTERS, _NUMBERS = _class(lambda k, c: k == "L"), _class(lambda k, c: k == "N")
 _BLANKS = _class(lambda k, c: 9 <= c <= 13 or c in (0x20, 0x85, 0xA0))
-_PIECES = regex.compile(rf"'s|'t|'re|'ve|'m|'ll|'d|[{_LETTERS}]+|[{_NUMBERS}]|[^{_BLANKS}{_LETTERS}{_NUMBERS}]+")
+#: The vocabulary's pieces; letters are tried first, as no other alternative begins with one.
+_PIECES = re.compile(rf"[{_LETTERS}]+|'s|'t|'re|'ve|'m|'ll|'d|[{_NUMBERS}]|[^{_BLANKS}{_LETTERS}{_NUMBERS}]+")
+
+
+def narrow(text: str) -> bool:
+    """Whether all characters lie below U+0250."""
+    if text.isascii():
+        return True
+    try:
+        text.encode("latin-1")
+        return True
+    except UnicodeEncodeError:
+        return max(text) < chr(_NARROW)
 
 
 class Encoder:
@@ -88,11 +100,17 @@ class Encoder:
 
     def __init__(self, path: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        from tokenizers import Tokenizer
+        from tokenizers import Tokenizer, normalizers, pre_tokenizers
 
-        self.library = Tokenizer.from_file(path)
+        self.library, self.bare = Tokenizer.from_file(path), Tokenizer.from_file(path)
+        # for pieces, which are normal and apart already
+        self.bare.normalizer = normalizers.Sequence([])
+        self.bare.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.WhitespaceSplit(), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
         self.width = 2 if self.library.get_vocab_size(with_added_tokens=True) <= 1 << 16 else 4
         self.memo: dict[str, bytes] = {}
+        vocab = self.library.get_vocab(with_added_tokens=False)
+        self.last = np.zeros(max(vocab.values()) + 1, bool)
+        self.last[[i for t, i in vocab.items() if t.endswith("</w>")]] = True
 
     def raw(self, ids: list[int]) -> bytes:
         return np.array(ids, f"<u{self.width}").tobytes()
@@ -100,20 +118,31 @@ class Encoder:
     def encode(self, texts: list[str]) -> list[bytes]:
         memo, out, near = self.memo, [b""] * len(texts), []
         for i, t in enumerate(texts):
-            if "<|" not in t and (t.isascii() or max(t) < chr(_NARROW)):
+            if "<|" not in t and narrow(t):
                 near.append((i, _PIECES.findall(t.lower())))
             else:
                 out[i] = self.raw(self.library.encode(t, add_special_tokens=False).ids)
         if len(memo) > MEMO:
             memo.clear()
         new = list(set().union(*(p for _, p in near)) - memo.keys())
-        for piece, e in zip(new, self.library.encode_batch_fast(new, add_special_tokens=False), strict=True):
-            memo[piece] = self.raw(e.ids)
+        for i in range(0, len(new), 2000):
+            self._learn(new[i : i + 2000])
         get = memo.__getitem__
         for i, pieces in near:
             out[i] = b"".join(map(get, pieces))
         return out
 
+    def _learn(self, pieces: list[str]) -> None:
+        """Encodes pieces in one text; the last token of each piece carries the mark of a word's end."""
+        ids = np.array(self.bare.encode_batch_fast([" ".join(pieces)], add_special_tokens=False)[0].ids, f"<u{self.width}")
+        ends = np.flatnonzero(self.last[ids]) + 1
+        if len(ends) != len(pieces):
+            raise ValueError("the vocabulary does not mark the ends of words")
+        raw, a = ids.tobytes(), 0
+        for piece, b in zip(pieces, (ends * self.width).tolist(), strict=True):
+            self.memo[piece] = raw[a:b]
+            a = b
+
 
 _encoders: dict[str, Encoder] = {}
 
@@ -139,7 +168,10 @@ def write(docs: DataFrame, path: str, out: str, end_id: int = 2, text: str = "te
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text")).filter("doc_id is not null")
     n = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    ranged = rows.repartitionByRange(n, "doc_id").sortWithinPartitions("doc_id", "text")
+    # cuts from the ids alone, so that choosing them reads no text
+    cuts = sorted({int(c) for c in rows.approxQuantile("doc_id", [i / n for i in range(1, n)], 0.1 / n)}) if n > 1 else []
+    seat = F.size(F.filter(F.lit(cuts), lambda c: F.col("doc_id") >= c)) if cuts else F.lit(0)
+    ranged = rows.repartitionById(len(cuts) + 1, seat).sortWithinPartitions("doc_id", "text")
     framed = ranged.mapInArrow(run, "record binary").select(F.col("record").cast("string").alias("value"))
     # the writer ends each value with the end byte of its record
     framed.write.option("lineSep", "\n").option("maxRecordsPerFile", PER_FILE).text(out)
