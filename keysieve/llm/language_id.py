@@ -129,20 +129,19 @@ def predict(docs: DataFrame, model: KernelModel | None, text: str = "text") -> D
             texts = batch.column(batch.schema.get_field_index(text))
             data, offsets = text_buffer(texts)
             names, scores = np.full(len(texts), "und", object), np.zeros(len(texts))
-            ascii_letter = np.zeros(len(data) + 1, np.int64)
-            low = LOWER[data]
-            np.cumsum((low >= 97) & (low <= 122), out=ascii_letter[1:])
-            lettered = np.diff(ascii_letter[offsets]) > 0
-            for d in np.flatnonzero(~lettered & (np.diff(offsets) > 0)):
-                lettered[d] = any(map(str.isalpha, texts[int(d)].as_py()))
-            if model is not None:
-                for i, j in slices(offsets, 1 << 18):
-                    for a in range(i, j, 128):
-                        b = min(a + 128, j)
-                        got = model.decide(model.presence(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a]))
-                        names[a:b] = np.array(model.languages, object)[got.argmax(1)]
-                        scores[a:b] = np.clip((got.max(1) + 1) / 2, 0, 1)
-                names[~lettered], scores[~lettered] = "und", 0
+            lettered = np.zeros(len(texts), bool)
+            for i, j in slices(offsets, 1 << 18):
+                low = LOWER[data[offsets[i] : offsets[j]]]
+                count = np.concatenate([[0], np.cumsum((low >= 97) & (low <= 122), dtype=np.int32)])
+                lettered[i:j] = np.diff(count[offsets[i : j + 1] - offsets[i]]) > 0
+                for d in np.flatnonzero(~lettered[i:j] & (np.diff(offsets[i : j + 1]) > 0)) + i:
+                    lettered[d] = any(map(str.isalpha, texts[int(d)].as_py()))
+                for a in range(i, j, 128) if model is not None else ():
+                    b = min(a + 128, j)
+                    got = model.decide(model.presence(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a]))
+                    names[a:b] = np.array(model.languages, object)[got.argmax(1)]
+                    scores[a:b] = np.clip((got.max(1) + 1) / 2, 0, 1)
+            names[~lettered], scores[~lettered] = "und", 0
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(names, pa.string()), pa.array(scores)], [*batch.schema.names, "lang_pred", "score"])
 
     fields = ", ".join(f"`{f.name.replace('`', '``')}` {f.dataType.simpleString()}" for f in docs.schema.fields)
