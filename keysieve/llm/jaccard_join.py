@@ -197,6 +197,9 @@ def lists(docs: DataFrame, k: int, percent: int, bits: int) -> DataFrame:
             cut = np.flatnonzero(np.diff(gram)) + 1
             starts, ends = np.concatenate([[0], cut]), np.concatenate([cut, [len(gram)]])
             some = ends - starts > 1
+            two = np.flatnonzero(ends - starts == 2)
+            a = starts[two]  # most lists have two members; those without room for a link are no candidates
+            some[two] = _may(n[a], n[a + 1], place[a], place[a + 1], percent)
             starts, ends = starts[some], ends[some]
             for i in range(0, len(starts), 4096):
                 a, b = starts[i : i + 4096], ends[i : i + 4096]
