@@ -8,7 +8,7 @@ texts that they decode to.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from keysieve.llm import jaccard_join, language_id, mixing, piece_dropout, suffix_dedup
@@ -50,9 +50,10 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def encode_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Seeded segmentations of every document, and the texts that they decode to."""
+    """Seeded segmentations of every document, and the texts that they decode to; repeats of a document draw for themselves."""
     ship(spark)
-    return piece_dropout.encode(docs, vocabulary("piece_bpe_32k.model"), dropout=0.1, seed=7)
+    repeat = Window.partitionBy("doc_id", F.xxhash64("text")).orderBy("n_chars")
+    return piece_dropout.encode(docs.withColumn("repeat", F.row_number().over(repeat)), vocabulary("piece_bpe_32k.model"), dropout=0.1, seed=7, copy="repeat")
 
 
 STAGES = [("language_id", name_language), ("jaccard_join", drop_near_copies), ("suffix_dedup", cut_repeats), ("mixing", mix_sources), ("piece_dropout", encode_pieces)]

@@ -2,15 +2,17 @@
 
 Characters of a text (spaces as U+2581, one in front) are the first symbols. An agenda holds adjacent pairs that
 form a piece, best score first and leftmost among equals. A candidate is skipped for good with a given
-probability, decided by a keyed hash of the seed, the word's variant and the candidate; the others are merged.
-Without dropout the result is the library's. Symbols that are no piece become byte pieces, so decoding gives the
-text back exactly.
+probability, decided by a keyed hash of the seed, the document, the word's place in it and the candidate (its
+piece and place); the others are merged. Without dropout the result is the library's. Symbols that are no piece
+become byte pieces, so decoding gives the text back exactly.
 
-No piece goes over the end of a word into a space, so words are segmented alone. Each run of `RUN` words of a
-text takes one of `VARIANTS` keys by a hash of its document and its place, and a bounded memo keeps segmentations.
+No piece goes over the end of a word into a space, so words are segmented alone. What is remembered is no draw but
+the candidates that a word meets: a node is a word with the skips so far, and holds the candidates that follow if
+no other is skipped, and the ids in that case. Every occurrence draws for every candidate it meets, many at once,
+and goes on to the node of its first skip. Long words are segmented one by one under the same draws.
 
 Defined results: a null or empty text has no tokens and decodes to the empty text; texts of any length are
-encoded whole; models without byte pieces would not be lossless and are refused.
+encoded whole; a row without doc_id takes its text's CRC-32 as its document; models without byte pieces would not be lossless and are refused.
 """
 
 from __future__ import annotations
@@ -24,11 +26,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import mix
+from .common import U64, mix
 
-#: Segmentations that a word can have, words of a text that take the same one, and segmentations that a worker remembers.
-VARIANTS, RUN, MEMO = 2, 32, 1_000_000
+#: Nodes that a worker remembers, characters from which a word is not remembered, words that are drawn for at once.
+MEMO, LONG, WORDS = 400_000, 64, 1 << 16
 _M = (1 << 64) - 1
+_STEP, _COPY = U64(0x9E3779B97F4A7C15), U64(0xD1B54A32D192ED03)
 _UNIT = re.compile("▁*[^▁\n]+|▁+|\n")
 
 
@@ -54,23 +57,21 @@ class Segmenter:
             self.text[i] = p.replace("▁", " ").encode()
         for b, i in self.byte.items():
             self.text[i] = bytes([b])
-        # keyed hashes of candidates (rank and place), as a table of those that are skipped under each variant
-        codes = np.arange(1 << 16, dtype=np.uint64)
-        self.drops = [(mix(codes ^ mix(np.array([(seed << 8) + v + 1], np.uint64))) >> np.uint64(32) < int(dropout * (1 << 32))).tobytes() for v in range(VARIANTS)]
         self.kind = "<u2" if n <= 1 << 16 else "<u4"
-        self.limit, self.seed, self.memos = int(dropout * (1 << 32)), seed, [_Memo(self, v) for v in range(VARIANTS)]
+        self.mark = np.array([self.byte[b] for b in "▁".encode()], self.kind).tobytes()
+        self.limit, self.seed = int(dropout * (1 << 32)), mix(np.array([seed & _M], U64))
+        self.memo = _Memo(self)
 
-    def segment(self, unit: str, variant: int) -> np.ndarray:
-        """Ids of one word."""
-        sym, n, rank = list(unit), len(unit), self.order.get
+    def segment(self, unit: str, skips) -> tuple[list[int], bytes]:
+        """The candidates that one word meets, in order, and its ids, when candidates for which `skips` holds are skipped."""
+        sym, n, rank, number = list(unit), len(unit), self.order.get, self.id
         shift = 20 if n < 1 << 20 else 40
-        place = (1 << shift) - 1
-        drop = self.drops[variant]
-        # a candidate is one number: the rank of its piece, then its place
+        place, met = (1 << shift) - 1, []
+        # a candidate on the agenda is one number: the rank of its piece, then its place
         agenda = [r << shift | i for i, r in enumerate([rank(a + b) for a, b in zip(sym, unit[1:], strict=False)]) if r is not None]
         if agenda:
             heapq.heapify(agenda)
-            pop, push, after, before, limit = heapq.heappop, heapq.heappush, list(range(1, n + 1)), list(range(-1, n - 1)), self.limit
+            pop, push, after, before = heapq.heappop, heapq.heappush, list(range(1, n + 1)), list(range(-1, n - 1))
             while agenda:
                 c = pop(agenda)
                 i = c & place
@@ -80,7 +81,9 @@ class Segmenter:
                 got = left + sym[j]
                 if rank(got) != c >> shift:
                     continue
-                if limit and drop[(c >> shift) * 37 + i & 0xFFFF]:
+                code = number[got] << 40 | i
+                met.append(code)
+                if skips(code):
                     continue
                 sym[i], sym[j] = got, None
                 j = after[i] = after[j]
@@ -97,50 +100,157 @@ class Segmenter:
         out = []
         for s in sym:
             if s is not None:
-                if (i := self.id.get(s)) is not None:
+                if (i := number.get(s)) is not None:
                     out.append(i)
                 else:
                     out.extend(self.byte[b] for b in s.encode())
-        return np.array(out, self.kind)
-
-    def encode(self, text: str, doc_key: int = 0) -> np.ndarray:
-        if not text:
-            return np.zeros(0, np.int32)
-        if "▁" in text:  # the space mark itself, which stays apart from spaces as byte pieces
-            mark = [self.byte[b] for b in "▁".encode()]
-            parts = [self.encode(p, doc_key) if i == 0 and p else self._units(p.replace(" ", "▁"), doc_key + i) for i, p in enumerate(text.split("▁"))]
-            start = [self._units("▁", doc_key)] if text[0] == "▁" else []
-            return np.concatenate([*start, parts[0], *(x for p in parts[1:] for x in (mark, p))]).astype(np.int32)
-        return self._units("▁" + text.replace(" ", "▁"), doc_key)
-
-    def _units(self, marked: str, doc_key: int) -> np.ndarray:
-        units, memos = _UNIT.findall(marked), self.memos
-        if sum(map(len, memos)) > MEMO:
-            for m in memos:
-                m.clear()
-        if not self.limit:
-            return np.frombuffer(b"".join(map(memos[0].__getitem__, units)), self.kind).astype(np.int32)
-        parts, x = [], (doc_key * 0xD1B54A32D192ED03 + self.seed * 0x9E3779B97F4A7C15) & _M
-        for i in range(0, len(units), RUN):
-            x = (x * 0x5851F42D4C957F2D + 0x14057B7EF767814F) & _M
-            parts.extend(map(memos[(x >> 33) % VARIANTS].__getitem__, units[i : i + RUN]))
-        return np.frombuffer(b"".join(parts), self.kind).astype(np.int32)
+        return met, np.array(out, self.kind).tobytes()
+
+    def skipped(self, key: int, code: int) -> bool:
+        """Whether the occurrence of a word with this key skips a candidate."""
+        return _mix(key ^ _mix(code)) >> 32 < self.limit
+
+    def keys(self, doc_key: int, copy: int, start: int, n: int) -> np.ndarray:
+        """Keys of the occurrences of words start, ..., start + n - 1 of a document."""
+        document = mix(mix(U64(doc_key & _M) ^ self.seed) + U64(copy & _M) * _COPY)
+        return mix(document + np.arange(start, start + n, dtype=U64) * _STEP)
+
+    def units(self, text: str) -> list[str | None]:
+        """Words of a text; None stands for a U+2581 of its own, which stays apart from spaces as byte pieces."""
+        first, *rest = text.split("▁")
+        out: list[str | None] = _UNIT.findall("▁" + first.replace(" ", "▁"))
+        for p in rest:
+            out.append(None)
+            out.extend(_UNIT.findall(p.replace(" ", "▁")))
+        return out
+
+    def encode(self, text: str, doc_key: int = 0, copy: int = 0) -> np.ndarray:
+        return self.encode_all([text], [doc_key], [copy])[0]
+
+    def encode_all(self, texts: list[str], doc_keys: list[int], copies: list[int]) -> list[np.ndarray]:
+        out: list[list[bytes]] = [[] for _ in texts]
+        held: list[tuple[int, int, list]] = []  # text, first word, words
+        size = 0
+        for t, text in enumerate(texts):
+            units = self.units(text) if text else []
+            for a in range(0, len(units), WORDS):
+                held.append((t, a, units[a : a + WORDS]))
+                size += len(held[-1][2])
+                if size >= WORDS:
+                    self._draw(held, doc_keys, copies, out)
+                    held, size = [], 0
+        self._draw(held, doc_keys, copies, out)
+        return [np.frombuffer(b"".join(o), self.kind).astype(np.int32) for o in out]
+
+    def _draw(self, held: list[tuple[int, int, list]], doc_keys: list[int], copies: list[int], out: list[list[bytes]]) -> None:
+        if not held:
+            return
+        memo = self.memo
+        if memo.n > MEMO:
+            memo.reset()
+        nodes = np.array([x for h in held for x in map(memo.__getitem__, h[2])], np.int64)
+        keys = np.concatenate([self.keys(doc_keys[t], copies[t], a, len(u)) for t, a, u in held]) if self.limit else None
+        if self.limit:
+            nodes = memo.follow(nodes, keys)
+        ids, at = memo.ids, 0
+        for t, _, units in held:
+            mine = nodes[at : at + len(units)]
+            if mine.min() < 0:
+                for i, (node, unit) in enumerate(zip(mine.tolist(), units, strict=True)):
+                    if node >= 0:
+                        out[t].append(ids[node])
+                    else:
+                        key = int(keys[at + i]) if self.limit else 0
+                        out[t].append(self.segment(unit, (lambda code, key=key: self.skipped(key, code)) if self.limit else _never)[1])
+            else:
+                out[t].extend(map(ids.__getitem__, mine.tolist()))
+            at += len(units)
 
     def decode(self, ids) -> str:
         return b"".join(map(self.text.__getitem__, ids))[1:].decode() if len(ids) else ""
 
 
+def _mix(x: int) -> int:
+    """`mix` of one number."""
+    x = ((x ^ x >> 30) * 0xBF58476D1CE4E5B9) & _M
+    x = ((x ^ x >> 27) * 0x94D049BB133111EB) & _M
+    return x ^ x >> 31
+
+
+def _never(code: int) -> bool:
+    return False
+
+
 class _Memo(dict):
-    """Segmentations of words under one key."""
+    """Nodes of words without skips, by word, and of their skips; -1 for long words."""
+
+    def __init__(self, segmenter: Segmenter):
+        self.segmenter = segmenter
+        self.reset()
+
+    def reset(self) -> None:
+        self.clear()
+        self.n = self.used = 0
+        self.ids: list[bytes] = []
+        self.word: list[str] = []
+        # of nodes: their candidates' begin and number, how many were met before, and the slot whose skip led here; of slots: code, its hash, node, next node
+        self.begin, self.length, self.before, self.slot = (np.zeros(1 << 12, np.int64) for _ in range(4))
+        self.code, self.hash, self.owner, self.child = np.zeros(1 << 14, np.int64), np.zeros(1 << 14, U64), np.zeros(1 << 14, np.int64), np.zeros(1 << 14, np.int64)
+        self[None] = self._add("▁", -1, 0, [], self.segmenter.mark)
 
-    def __init__(self, segmenter: Segmenter, variant: int):
-        self.segmenter, self.variant = segmenter, variant
+    def __missing__(self, unit: str) -> int:
+        if len(unit) >= LONG:
+            return -1
+        self[unit] = node = self._add(unit, -1, 0, *self.segmenter.segment(unit, _never))
+        return node
 
-    def __missing__(self, unit: str) -> bytes:
-        got = self.segmenter.segment(unit, self.variant).tobytes()
-        if len(unit) < 64:
-            self[unit] = got
-        return got
+    def _add(self, unit: str, slot: int, before: int, codes: list[int], ids: bytes) -> int:
+        node, a, b = self.n, self.used, self.used + len(codes)
+        if node == len(self.begin):
+            self.begin, self.length, self.before, self.slot = (np.concatenate([x, np.zeros_like(x)]) for x in (self.begin, self.length, self.before, self.slot))
+        while b > len(self.code):
+            self.code, self.hash, self.owner, self.child = (np.concatenate([x, np.zeros_like(x)]) for x in (self.code, self.hash, self.owner, self.child))
+        self.begin[node], self.length[node], self.before[node], self.slot[node] = a, b - a, before, slot
+        if codes:
+            self.code[a:b] = codes
+            self.hash[a:b] = [_mix(c) for c in codes]
+            self.owner[a:b], self.child[a:b] = node, -1
+        self.ids.append(ids)
+        self.word.append(unit)
+        self.n, self.used = node + 1, b
+        return node
+
+    def _skip(self, slot: int) -> None:
+        """Makes the node for the skip of a slot's candidate."""
+        node = int(self.owner[slot])
+        unit, before, away, s = self.word[node], int(self.before[node] + slot - self.begin[node] + 1), set(), slot
+        while s >= 0:
+            away.add(int(self.code[s]))
+            s = int(self.slot[self.owner[s]])
+        met, ids = self.segmenter.segment(unit, away.__contains__)
+        child = self._add(unit, slot, before, met[before:], ids)
+        self.child[slot] = child
+
+    def follow(self, nodes: np.ndarray, keys: np.ndarray) -> np.ndarray:
+        """The node of each occurrence after all its draws."""
+        nodes, limit = nodes.copy(), U64(self.segmenter.limit)
+        active = np.flatnonzero(nodes >= 0)
+        active = active[self.length[nodes[active]] > 0]
+        while len(active):
+            at = nodes[active]
+            length = self.length[at]
+            flat = np.arange(length.sum()) - np.repeat(length.cumsum() - length - self.begin[at], length)
+            hit = np.flatnonzero((mix(np.repeat(keys[active], length) ^ self.hash[flat]) >> U64(32)) < limit)
+            who = np.repeat(np.arange(len(active)), length)[hit]
+            first = np.ones(len(hit), bool)
+            first[1:] = who[1:] != who[:-1]
+            who, slot = who[first], flat[hit[first]]
+            for s in np.unique(slot[self.child[slot] < 0]).tolist():
+                self._skip(s)
+            active = active[who]
+            nodes[active] = self.child[slot]
+            active = active[self.length[nodes[active]] > 0]
+        return nodes
 
 
 _segmenters: dict[tuple, Segmenter] = {}
@@ -152,15 +262,19 @@ def segmenter(path: str, dropout: float, seed: int) -> Segmenter:
     return _segmenters[path, dropout, seed]
 
 
-def encode(docs: DataFrame, path: str, dropout: float = 0.1, seed: int = 7, text: str = "text", digest: bool = False) -> DataFrame:
-    """(doc_id, n_tokens, ids, decoded), or with `digest` the ids' CRC-32 and whether decoding gave the text back, of every row."""
+def encode(docs: DataFrame, path: str, dropout: float = 0.1, seed: int = 7, text: str = "text", digest: bool = False, copy: str | None = None) -> DataFrame:
+    """(doc_id, n_tokens, ids, decoded), or with `digest` the ids' CRC-32 and whether decoding gave the text back, of every row.
+
+    `copy` is a column that numbers the repeats of a document, each of which draws for itself.
+    """
 
     def run(batches):
         s = segmenter(path, dropout, seed)
         for batch in batches:
             for a in range(0, len(batch), 128):
                 keys, texts = batch.column(0).slice(a, 128), batch.column(1).slice(a, 128).to_pylist()
-                ids = [s.encode(t or "", k or 0) for t, k in zip(texts, keys.to_pylist(), strict=True)]
+                numbers = [zlib.crc32((t or "").encode()) if k is None else k for t, k in zip(texts, keys.to_pylist(), strict=True)]
+                ids = s.encode_all([t or "" for t in texts], numbers, batch.column(2).slice(a, 128).to_pylist())
                 back = [s.decode(i.tolist()) for i in ids]
                 n = pa.array([len(i) for i in ids], pa.int64())
                 if digest:
@@ -170,4 +284,5 @@ def encode(docs: DataFrame, path: str, dropout: float = 0.1, seed: int = 7, text
                 yield pa.RecordBatch.from_arrays([keys, n, *rest], ["doc_id", "n_tokens", *(["ids_crc32", "lossless"] if digest else ["ids", "decoded"])])
 
     rest = "ids_crc32 long, lossless boolean" if digest else "ids array<int>, decoded string"
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(text).cast("string").alias("text")).mapInArrow(run, f"doc_id long, n_tokens long, {rest}")
+    nth = F.lit(0).cast("long") if copy is None else F.coalesce(F.col(copy).cast("long"), F.lit(0))
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(text).cast("string").alias("text"), nth.alias("nth")).mapInArrow(run, f"doc_id long, n_tokens long, {rest}")

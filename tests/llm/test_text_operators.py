@@ -271,6 +271,31 @@ def test_piece_dropout(docs, none):
     assert piece_dropout.encode(none, path).count() == 0
 
 
+def test_every_occurrence_draws(spark, monkeypatch):
+    path, word = vocabulary("piece_bpe_32k.model"), "▁reconsideration"
+    s = piece_dropout.Segmenter(path, 0.1, 7)
+
+    def alone(text, doc, copy=0):
+        units = s.units(text)
+        keys = s.keys(doc, copy, 0, len(units))
+        return [s.mark if u is None else s.segment(u, lambda c, k=int(k): s.skipped(k, c))[1] for u, k in zip(units, keys, strict=True)]
+
+    for i, t in enumerate(TEXTS):
+        assert s.encode(t or "", i).tolist() == np.frombuffer(b"".join(alone(t or "", i) if t else []), s.kind).tolist()
+    text = " ".join([word[1:]] * 4000)
+    found = alone(text, 3)
+    assert s.encode(text, 3).tolist() == np.frombuffer(b"".join(found), s.kind).tolist()
+    met, plain = s.segment(word, lambda c: False)
+    assert len(set(found)) > 10 and abs(sum(s.segment(word, lambda c, k=int(k): s.skipped(k, c))[0] == met and not any(s.skipped(int(k), c) for c in met) for k in s.keys(3, 0, 0, 4000)) / 4000 - 0.9 ** len(met)) < 0.04
+    monkeypatch.setattr(piece_dropout, "MEMO", 3)
+    monkeypatch.setattr(piece_dropout, "WORDS", 50)
+    assert piece_dropout.Segmenter(path, 0.1, 7).encode(text, 3).tolist() == s.encode(text, 3).tolist()
+    import corpus_pipeline as P
+
+    twice = spark.createDataFrame([(5, LONG, "en", "s", len(LONG))] * 3, "doc_id long, text string, lang string, source string, n_chars long")
+    assert len({tuple(r.ids) for r in P.encode_pieces(spark, twice, "").collect()}) == 3
+
+
 def test_components_and_filters(spark):
     edges = [(1, 2), (2, 3), (10, 11), (5, 5), (3, 1), *((100 + i, 101 + i) for i in range(40))]
     got = dict(components(spark, spark.createDataFrame(edges, "a long, b long")).collect())
