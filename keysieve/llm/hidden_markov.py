@@ -1,16 +1,17 @@
 """A hidden Markov language model over words, trained by Baum-Welch counts that partitions add up.
 
-Tokens are lower-cased words, and one end after each text. Frequent words (the end among them) are emission
-classes of their own; all others fall by their hash into a fixed number of classes. A latent state emits a
-class, and a class emits its words by smoothed corpus counts, so the model's size is fixed while its counts
+Tokens are lower-cased words, and one end after each text. Words counted `OWN_COUNT` times, and the `OWN` most
+frequent ones in any case (the end among them), are emission classes of their own, so that their number follows
+the counted vocabulary; all others fall by their hash into a fixed number of classes. A latent state emits a
+class, and a class emits its words by smoothed corpus counts, and its counts
 cover the corpus. The score is the exact log10 likelihood of a text by the scaled forward recursion plus the
 words' log10 shares of their classes; every class keeps the mass of one unseen word, as the base score does.
 
 The corpus is tokenized once into chunks: distinct word hashes, their training counts, and the words as
 numbers. Distinct words of chunks meet by ranges of their hash, where counts are added up and go back to each
-chunk in the order of its words. Training starts from states found on a bounded sample of texts; each pass
-over all training texts then sends one fixed-size table of expected counts for each task, added up in two
-steps. For training, texts are cut into stretches of `STRETCH` tokens; likelihoods are of whole texts.
+chunk in the order of its words. Training starts from a seeded random table; each round goes over all training
+texts and sends, for each task, the expected counts of the classes it met, which meet by ranges of classes.
+Rounds go on until the corpus likelihood settles. For training, texts are cut into stretches of `STRETCH` tokens; likelihoods are of whole texts.
 
 Defined results: null and empty texts have one token, the end. Without training texts every token is unknown
 and the score is the base score. Rows of equal doc_id are scored like any others.
@@ -27,9 +28,9 @@ from pyspark.sql import functions as F
 
 from .common import U64, bucket_bits, gathered, mix, slices, text_buffer, word_hashes, written
 
-STATES, OWN, SHARED = 8, 4096, 1024
-#: Words of a chunk, tokens of a stretch, texts that the first states are found on, passes over them and over all texts.
-CHUNK, STRETCH, SAMPLE, FIRST, PASSES = 1 << 19, 512, 600, 14, 2
+STATES, OWN, OWN_COUNT, SHARED = 8, 4096, 64, 1024
+#: Words of a chunk, tokens of a stretch, and the gain of log likelihood, as a part of it, under which training ends.
+CHUNK, STRETCH, SETTLED = 1 << 19, 512, 1e-4
 END = U64(0xE11D0FE11D0FE11D)
 
 
@@ -96,11 +97,11 @@ def _stepped(classes: np.ndarray, begin: np.ndarray, length: np.ndarray):
 
 
 def expected(model: Model, classes: np.ndarray, starts: np.ndarray, counts: np.ndarray):
-    """Expected starts, later starts, moves and emissions of sequences of classes (forward-backward)."""
+    """Expected starts, later starts, moves and emissions of sequences of classes, and their log10 likelihood (forward-backward)."""
     begin, length, first, _ = _stretches(starts, counts)
     order, rows, at, cls = _stepped(classes, begin, length)
     k = len(model.start)
-    out = np.zeros(k), np.zeros(k), np.zeros((k, k)), np.zeros((k, model.n))
+    out = np.zeros(k), np.zeros(k), np.zeros((k, k)), np.zeros((k, model.n)), np.zeros(1)
     if not len(cls):
         return out
     emit = model.emit[cls]
@@ -111,6 +112,7 @@ def expected(model: Model, classes: np.ndarray, starts: np.ndarray, counts: np.n
         now = prior * emit[a:b] if t == 0 else (forward[at[t - 1] : at[t - 1] + rows[t]] @ model.move) * emit[a:b]
         scale[a:b] = now.sum(1)
         forward[a:b] = now / scale[a:b, None]
+    out[4][0] = np.log10(scale).sum()
     gamma = np.empty_like(forward)
     back = np.ones((rows[-1], k))
     for t in range(len(rows) - 1, -1, -1):
@@ -243,8 +245,8 @@ def word_counts(table: DataFrame, bits: int) -> DataFrame:
             for chunk, k, _ in held:
                 rows.append((0, chunk, bucket, back[i : i + len(k)].tobytes(), b""))
                 i += len(k)
-            top = np.argsort(-sums, kind="stable")[:1024]
-            top = top[sums[top] > 1]
+            top = np.argsort(-sums, kind="stable")
+            top = top[(sums[top] >= OWN_COUNT) | (np.arange(len(top)) < OWN) & (sums[top] > 1)]
             rows.append((1, 0, bucket, sums[top].tobytes(), own[top].tobytes()))
             some = sums > 0
             share = class_of(own[some])
@@ -282,49 +284,87 @@ def _summed(df: DataFrame, columns: list[str], kind: type) -> list[np.ndarray]:
     return [np.sum([np.frombuffer(r[i], kind) for r in rows], axis=0) for i in range(len(columns))] if rows else []
 
 
-def train(docs: DataFrame, table: DataFrame, counts: DataFrame, held_out, states: int = STATES) -> Model:
-    """Classes from corpus counts, states from a sample, then Baum-Welch passes over all training texts."""
-    spark = docs.sparkSession
+def word_classes(counts: DataFrame) -> Model:
+    """A model without tables, with the classes that the corpus counts give."""
 
     def words(batches):
         for batch in batches:
             for sums, own in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 yield pa.RecordBatch.from_arrays([pa.array(np.frombuffer(own, np.int64)), pa.array(np.frombuffer(sums, np.int64))], ["key", "c"])
 
-    top = counts.filter("kind = 1").select("c", "k").mapInArrow(words, "key long, c long").orderBy(F.desc("c"), "key").limit(OWN).collect()
+    def frequent(batches):
+        for batch in batches:
+            for sums, own in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                sums, own = np.frombuffer(sums, np.int64), np.frombuffer(own, np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array([own[sums >= OWN_COUNT].tobytes()], pa.binary()), pa.array([sums[sums >= OWN_COUNT].tobytes()], pa.binary())], ["k", "c"])
+
+    lists = counts.filter("kind = 1").select("c", "k")
+    top = lists.mapInArrow(words, "key long, c long").orderBy(F.desc("c"), "key").limit(OWN).collect()
+    packed = lists.mapInArrow(frequent, "k binary, c binary").collect()
+    keys = np.concatenate([np.array([r["key"] for r in top], np.int64), *(np.frombuffer(r["k"], np.int64) for r in packed)])
+    sums = np.concatenate([np.array([r["c"] for r in top], np.int64), *(np.frombuffer(r["c"], np.int64) for r in packed)])
+    own, at = np.unique(keys.view(np.uint64), return_index=True)
     share_tokens, share_types = _summed(counts.filter("kind = 2"), ["c", "k"], np.int64) or [np.zeros(SHARED, np.int64)] * 2
-    own = np.array([r["key"] for r in top], np.int64).view(np.uint64)
-    model = Model(own, np.array([r["c"] for r in top], np.int64), share_tokens, share_types, int(share_tokens.sum()), int(share_types.sum()))
+    return Model(own, sums[at], share_tokens, share_types, int(share_tokens.sum()), int(share_types.sum()))
+
+
+def corpus_expected(model: Model, table: DataFrame) -> list[np.ndarray]:
+    """What `expected` gives for all training texts of the chunks."""
+    spark, k = table.sparkSession, len(model.start)
+    parts = max(8, model.n >> 16)
+    cuts = np.linspace(0, model.n, parts + 1).astype(np.int64)
+    shared = spark.sparkContext.broadcast(model)
+
+    def count(batches):
+        model, total = shared.value, None
+        for batch in batches:
+            for r in range(len(batch)):
+                n, held, numbers, keys = _arrays(batch, r, ["counts", "held", "words", "keys"])
+                n = n.astype(np.int64)
+                starts, use = n.cumsum() - n, held == 0
+                one = expected(model, model.classes(keys)[numbers], starts[use], n[use])
+                total = list(one) if total is None else [t + x for t, x in zip(total, one, strict=True)]
+        if total is not None:
+            small = np.concatenate([t.ravel() for t in (total[0], total[1], total[2], total[4])]).tobytes()
+            met = np.flatnonzero(total[3].any(0))
+            for p in range(parts):
+                some = met[(met >= cuts[p]) & (met < cuts[p + 1])]
+                cells = [small if p == 0 else b"", some.tobytes(), np.ascontiguousarray(total[3][:, some]).tobytes()]
+                yield pa.RecordBatch.from_arrays([pa.array([p], pa.int32()), *(pa.array([c], pa.binary()) for c in cells)], ["part", "small", "classes", "e"])
+
+    def add(batches):
+        small, tables = np.zeros(2 * k + k * k + 1), {}
+        for batch in batches:
+            for p, few, classes, e in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
+                if few:
+                    small += np.frombuffer(few, np.float64)
+                if p not in tables:
+                    tables[p] = np.zeros((k, cuts[p + 1] - cuts[p]))
+                tables[p][:, np.frombuffer(classes, np.int64) - cuts[p]] += np.frombuffer(e, np.float64).reshape(k, -1)
+        for p, x in tables.items():
+            yield pa.RecordBatch.from_arrays([pa.array([p], pa.int32()), pa.array([small.tobytes() if p == 0 else b""], pa.binary()), pa.array([x.tobytes()], pa.binary())], ["part", "small", "e"])
+
+    sent = table.select("counts", "held", "words", "keys").mapInArrow(count, "part int, small binary, classes binary, e binary")
+    small, emit = np.zeros(2 * k + k * k + 1), np.zeros((k, model.n))
+    for r in sent.repartition(8, "part").mapInArrow(add, "part int, small binary, e binary").collect():
+        emit[:, cuts[r["part"]] : cuts[r["part"] + 1]] = np.frombuffer(r["e"], np.float64).reshape(k, -1)
+        if r["part"] == 0:
+            small = np.frombuffer(r["small"], np.float64)
+    shared.unpersist()
+    return [small[:k], small[k : 2 * k], small[2 * k : -1].reshape(k, k), emit, small[-1:]]
+
+
+def train(table: DataFrame, counts: DataFrame, states: int = STATES) -> Model:
+    """Classes from corpus counts, then Baum-Welch rounds over all training texts until their likelihood settles."""
+    model = word_classes(counts)
     _begin(model, states)
-    if not model.tokens:
-        return model
-    share = SAMPLE / max(1, docs.count())
-    place = F.pmod(F.xxhash64(F.lit(17), "doc_id"), F.lit(1 << 40)) / (1 << 40)
-    some = [r[0] for r in docs.filter(~held_out & (place < share)).select(F.coalesce("text", F.lit(""))).collect()][: 2 * SAMPLE]
-    if some:
-        hashes, cut = word_hashes(*text_buffer(pa.array(sorted(some), pa.string())))
-        keys, starts, n = _sequences([np.append(hashes[a:b], END) for a, b in zip(cut[:-1], cut[1:], strict=True)])
-        cls = model.classes(keys)
-        for _ in range(FIRST):
-            model.set(*expected(model, cls, starts, n))
-    for _ in range(PASSES):
-        shared = spark.sparkContext.broadcast(model)
-
-        def count(batches, shared=shared):
-            model, total = shared.value, None
-            for batch in batches:
-                for r in range(len(batch)):
-                    n, held, numbers, keys = _arrays(batch, r, ["counts", "held", "words", "keys"])
-                    n = n.astype(np.int64)
-                    starts, use = n.cumsum() - n, held == 0
-                    one = expected(model, model.classes(keys)[numbers], starts[use], n[use])
-                    total = list(one) if total is None else [t + x for t, x in zip(total, one, strict=True)]
-            if total is not None:
-                yield pa.RecordBatch.from_arrays([pa.array([np.ascontiguousarray(t).tobytes()], pa.binary()) for t in total], ["s", "l", "m", "e"])
-
-        sums = _summed(table.select("counts", "held", "words", "keys").mapInArrow(count, "s binary, l binary, m binary, e binary"), ["s", "l", "m", "e"], np.float64)
-        if sums and sums[1].sum() > 0:
-            model.set(sums[0], sums[1], sums[2].reshape(states, states), sums[3].reshape(states, model.n))
+    model.history = []
+    while model.tokens:
+        *sums, logs = corpus_expected(model, table)
+        model.set(*sums)
+        model.history.append(float(logs[0]))
+        if len(model.history) > 1 and model.history[-1] - model.history[-2] < SETTLED * abs(model.history[-2]):
+            break
     return model
 
 
@@ -334,7 +374,7 @@ def score(docs: DataFrame, held_out) -> DataFrame:
     docs = docs.select("doc_id", "text")
     table = chunks(docs, held_out)
     counts = word_counts(table, bucket_bits(docs.count()))
-    model = train(docs, table, counts, held_out)
+    model = train(table, counts)
     shared = spark.sparkContext.broadcast(model)
     names = ["ids", "held", "counts", "words", "keys", "null"]
     back = counts.filter("kind = 0").select("chunk", "bucket", "c", *(F.lit(None).cast("binary").alias(n) for n in names))

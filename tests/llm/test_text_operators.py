@@ -211,6 +211,32 @@ def test_forward_recursion_is_exact():
     assert abs(one[3].sum() - counts.sum()) < 1e-6 and abs(one[0].sum() - len(counts)) < 1e-6
 
 
+def test_states_are_trained_on_all_texts_until_they_settle(spark):
+    H = hidden_markov
+    texts = [prose(60) for _ in range(900)]
+    rows = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    table = H.chunks(rows, F.col("doc_id") % 7 == 2)
+    counts = H.word_counts(table, 2)
+    got, want = H.train(table, counts), H.word_classes(counts)
+    H._begin(want, H.STATES)
+    hashes, cut = H.word_hashes(*text_buffer(pa.array([t for i, t in enumerate(texts) if i % 7 != 2], pa.string())))
+    keys, starts, n = H._sequences([np.append(hashes[a:b], H.END) for a, b in zip(cut[:-1], cut[1:], strict=True)])
+    for at in got.history:
+        *sums, logs = H.expected(want, want.classes(keys), starts, n)
+        assert abs(logs[0] - at) < 1e-6 * abs(at)
+        want.set(*sums)
+    assert np.allclose(got.emit, want.emit, atol=1e-9) and np.allclose(got.move, want.move, atol=1e-9)
+    gains = np.diff(got.history) / np.abs(got.history[:-1])
+    assert (gains[:-1] >= H.SETTLED).all() and gains[-1] < H.SETTLED
+
+
+def test_own_classes_follow_the_vocabulary(spark):
+    text = " ".join(f"w{i}" for i in range(6000))
+    rows = spark.createDataFrame([(i, text) for i in range(hidden_markov.OWN_COUNT)], "doc_id long, text string")
+    model = hidden_markov.word_classes(hidden_markov.word_counts(hidden_markov.chunks(rows, F.lit(False)), 2))
+    assert len(model.own) == 6001 and model.tokens == 6001 * hidden_markov.OWN_COUNT
+
+
 def test_suffix_dedup(docs, none):
     first, want = set(), []
     for t in TEXTS:
