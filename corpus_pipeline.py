@@ -20,10 +20,13 @@ COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
 
 def name_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents whose text has a language (some letter); all other columns stay as they are."""
+    """Documents whose text has some letter, with the predicted language where none is given; without labels to learn from, none is filled in."""
     ship(spark)
     model = language_id.fit(language_id.sample(docs, "text", "lang", "doc_id"))
-    return language_id.predict(docs, model).filter("lang_pred <> 'und'").select(*COLUMNS)
+    if model is None:
+        return docs.filter(F.regexp_like("text", F.lit(r"\p{L}"))).select(*COLUMNS)
+    named = language_id.predict(docs, model).filter("lang_pred <> 'und'")
+    return named.withColumn("lang", F.coalesce("lang", "lang_pred")).select(*COLUMNS)
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -42,10 +45,14 @@ def cut_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents as often as the mix takes them."""
+    """Documents as often as the mix takes them; rows that share a doc_id, or have none, are told apart by source, size and number."""
     ship(spark)
-    taken = mixing.mix(docs).filter("copies > 0").select("doc_id", "copies")
-    rows = docs.join(taken, "doc_id").withColumn("copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies"))))
+    like = Window.partitionBy("doc_id", "source", "size")
+    sized = docs.withColumn("size", F.coalesce(F.regexp_count("text", F.lit(mixing.WORD)), F.lit(0)).cast("long"))
+    rows = sized.withColumn("nth", F.row_number().over(like.orderBy(F.xxhash64("text")))).alias("d")
+    taken = mixing.mix(docs).select("doc_id", "source", "size", "copies").withColumn("nth", F.row_number().over(like.orderBy("copies"))).filter("copies > 0").alias("t")
+    same = F.col("d.doc_id").eqNullSafe(F.col("t.doc_id")) & F.col("d.source").eqNullSafe(F.col("t.source")) & (F.col("d.size") == F.col("t.size")) & (F.col("d.nth") == F.col("t.nth"))
+    rows = rows.join(taken, same).select(*(f"d.{c}" for c in COLUMNS), "copies").withColumn("copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies"))))
     return rows.select(*COLUMNS)
 
 

@@ -346,3 +346,18 @@ def test_pipeline(spark, sf):
         if name == "mixing":
             texts = {r.doc_id: r.text for r in kept.collect()}
     assert all(texts[r.doc_id] == r.decoded for r in kept.collect())
+
+
+def test_pipeline_keeps_rows_without_labels_or_ids(spark):
+    import corpus_pipeline as P
+
+    kinds = "doc_id long, text string, lang string, source string, n_chars long"
+    bare = spark.createDataFrame([(1, "some words", None, "a", 10), (2, "12 34", None, "a", 5), (3, "日本", None, "a", 2), (4, None, None, "a", 0)], kinds)
+    assert sorted(r.doc_id for r in P.name_language(spark, bare, "").collect()) == [1, 3]
+    rows = [(i, LONG if i % 2 else "zz qq xx " * 30, None if i == 0 else "en" if i % 2 else "xx", "a", 9) for i in range(40)]
+    assert all(r.lang in ("en", "xx") for r in P.name_language(spark, spark.createDataFrame(rows, kinds), "").collect())
+    rows = [(None, f"one two {i}", "en", "a", 9) for i in range(5)] + [(7, f"three four {i}", "en", "b", 9) for i in range(5)] + [(8, "five", "en", None, 4)]
+    docs = spark.createDataFrame(rows, kinds)
+    want = sum(r.copies for r in P.mixing.mix(docs).collect())
+    got = P.mix_sources(spark, docs, "").collect()
+    assert len(got) == want and any(r.doc_id is None for r in got) and {r.text for r in got} <= {r[1] for r in rows}
