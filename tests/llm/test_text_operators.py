@@ -297,25 +297,36 @@ def test_piece_dropout(docs, none):
     assert piece_dropout.encode(none, path).count() == 0
 
 
-def test_every_occurrence_draws(spark, monkeypatch):
+def naive_dropout(s, text, doc, copy=0):
+    """Words in turn, each segmented alone by a heap, every candidate drawn for by itself."""
+    first, *rest = text.split("▁")
+    units = re.findall("▁*[^▁\n]+|▁+|\n", "▁" + first.replace(" ", "▁"))
+    for part in rest:
+        units += [None, *re.findall("▁*[^▁\n]+|▁+|\n", part.replace(" ", "▁"))]
+    keys = s.keys(doc, copy, 0, len(units)).tolist()
+    return [[s.byte[b] for b in "▁".encode()] if u is None else s.segment(u, lambda c, k=k: s.skipped(k, c))[1] for u, k in zip(units, keys, strict=True)]
+
+
+@pytest.mark.parametrize("dropout", [0.0, 0.1, 0.5])
+def test_every_occurrence_draws(spark, monkeypatch, dropout):
     path, word = vocabulary("piece_bpe_32k.model"), "▁reconsideration"
-    s = piece_dropout.Segmenter(path, 0.1, 7)
-
-    def alone(text, doc, copy=0):
-        units = s.units(text)
-        keys = s.keys(doc, copy, 0, len(units))
-        return [s.mark if u is None else s.segment(u, lambda c, k=int(k): s.skipped(k, c))[1] for u, k in zip(units, keys, strict=True)]
-
-    for i, t in enumerate(TEXTS):
-        assert s.encode(t or "", i).tolist() == np.frombuffer(b"".join(alone(t or "", i) if t else []), s.kind).tolist()
+    s = piece_dropout.Segmenter(path, dropout, 7)
+    odd = ["a▁b ▁ c\n\n  d", "x" * 500 + " " + "ab" * 100 + "🙂" * 3, "🙂日", "  ", "\n", "▁", "ab" * 32 + " " + "ab" * 33]
+    for i, t in enumerate([*TEXTS, *odd]):
+        assert s.encode(t or "", i).tolist() == sum(naive_dropout(s, t, i) if t else [], [])
     text = " ".join([word[1:]] * 4000)
-    found = alone(text, 3)
-    assert s.encode(text, 3).tolist() == np.frombuffer(b"".join(found), s.kind).tolist()
+    found = naive_dropout(s, text, 3)
+    assert s.encode(text, 3).tolist() == sum(found, [])
     met, plain = s.segment(word, lambda c: False)
-    assert len(set(found)) > 10 and abs(sum(s.segment(word, lambda c, k=int(k): s.skipped(k, c))[0] == met and not any(s.skipped(int(k), c) for c in met) for k in s.keys(3, 0, 0, 4000)) / 4000 - 0.9 ** len(met)) < 0.04
-    monkeypatch.setattr(piece_dropout, "MEMO", 3)
-    monkeypatch.setattr(piece_dropout, "WORDS", 50)
-    assert piece_dropout.Segmenter(path, 0.1, 7).encode(text, 3).tolist() == s.encode(text, 3).tolist()
+    drawn = sum(not any(s.skipped(k, c) for c in met) for k in s.keys(3, 0, 0, 4000).tolist())
+    assert abs(drawn / 4000 - (1 - dropout) ** len(met)) < 0.04 and sum(f == plain for f in found) >= drawn
+    assert (len({tuple(f) for f in found}) > 10) == (dropout > 0)
+    monkeypatch.setattr(piece_dropout, "CHARS", 50)
+    assert piece_dropout.Segmenter(path, dropout, 7).encode(text, 3).tolist() == sum(found, [])
+    assert s.encode("x" * 400 + " " + text[:300], 3).tolist() == sum(naive_dropout(s, "x" * 400 + " " + text[:300], 3), [])
+
+
+def test_repeats_of_a_document_draw_for_themselves(spark):
     import corpus_pipeline as P
 
     twice = spark.createDataFrame([(5, LONG, "en", "s", len(LONG))] * 3, "doc_id long, text string, lang string, source string, n_chars long")
