@@ -49,7 +49,18 @@ def written(df: DataFrame, name: str) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/keysieve/{name}-{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._written = path
+    return out
+
+
+def forget(*tables: DataFrame) -> None:
+    """Deletes written tables that nothing reads any more, and lets Spark drop the shuffle files behind them."""
+    for t in tables:
+        jvm, conf = t.sparkSession.sparkContext._jvm, t.sparkSession.sparkContext._jsc.hadoopConfiguration()
+        path = jvm.org.apache.hadoop.fs.Path(t._written)
+        path.getFileSystem(conf).delete(path, True)
+    jvm.System.gc()  # the driver's cleaner removes shuffles whose plans are gone
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -312,6 +323,10 @@ def components(spark: SparkSession, edges: DataFrame) -> DataFrame:
         step = step.join(hook, "node", "left").select("node", "label", F.least("low", F.coalesce("hook", "low")).alias("low"))
         up = step.select(F.col("node").alias("low"), F.col("low").alias("top"))
         new = written(step.join(up, "low", "left").select("node", F.coalesce("top", "low").alias("label"), (F.col("label") != F.coalesce("top", "low")).alias("moved")), "labels")
+        forget(labels)
         if not new.filter("moved").limit(1).count():
-            return new.select("node", F.col("label").alias("component"))
-        labels = new.select("node", "label")
+            forget(e)
+            out = new.select("node", F.col("label").alias("component"))
+            out._written = new._written
+            return out
+        labels = new

@@ -1,24 +1,30 @@
 """Similarity self-join on word n-grams by a grouped prefix join.
 
 A document's set is its distinct hashes of k successive lower-cased words (fewer words: the whole sequence).
-Two documents link when 100 * intersection >= percent * union. Sets are ordered by one order over the corpus:
-n-grams counted often come last, and two sets can only link if they share an n-gram among the first few of
-each, their prefixes. Documents with the same prefix and size form a group; groups that share a prefix n-gram
-and pass the size and position bounds are candidate pairs, which are expanded to members with different sets
-and verified on whole sets.
-
-The order counts all n-grams whose hash lies in the first half of the range over all documents; the most
-frequent of them, at most `HEAVY`, are broadcast and come last, the other counted ones first. Any order gives
-the same links; this one keeps lists short.
-
-Classes need no list of all pairs. In each round every list of a prefix n-gram proposes a few members, `HUBS`,
-against those of other classes; after these rounds all pairs that are still in different classes are verified,
-but for those that parities of 256 cells prove to differ too much. So a group of many near copies costs a few checks per member, and no link
-between classes is lost.
+Two documents link when 100 * intersection >= percent * union. Sets are ordered by one order over the corpus,
+rare n-grams first; two sets can only link if they share an n-gram among the first few of each, their prefixes.
+
+1. All n-grams of all documents are counted by ranges of their hash. Each range gives a filter of its n-grams that
+   two tasks or documents had, and those counted often; both are of bounded size and are broadcast.
+2. Documents are read once more. Each gives its size, its set's name and its group: documents of one prefix and
+   one size. The first of a group that a task meets posts the prefix's repeated n-grams with their places.
+3. Groups that share a posted n-gram are candidates if size and place leave room: where the first n-gram that two
+   sets share lies, at least the needed intersection must still follow in both. A group stands for its members
+   by its leader. Every list has a hub, a group that the others are tried with; then some more hubs for what is
+   in other classes; then all group pairs that still hold two classes, expanded to members that parities of 256
+   cells do not prove to differ too much.
+4. Pairs are verified on whole sets: the texts of partners pass by one held set, and partners of one set are dealt
+   into as many seats as they need.
+
+Classes need no list of all pairs: links inside a class that is already known are not enumerated, so a group of
+many near copies costs a few checks per member, and no link between classes is lost.
+
+Sets and groups go by 64-bit names and sets of one name count as equal: two of N different sets share a name with
+a chance of N^2 / 2^65.
 
 Defined results: null and empty texts and those without words have an empty set and link with nothing. Documents
 with equal sets link. Rows of equal doc_id are one document of the result's classes but keep a row each; a null
-doc_id gets no class.
+doc_id gets no class. Columns other than doc_id and text are not read.
 """
 
 from __future__ import annotations
@@ -28,13 +34,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import U64, bucket_bits, by_bucket, common, components, gathered, having, mix, shingles, text_buffer, written
-
-HEAVY, LEAST_HEAVY, HUBS = 1 << 20, 9, (1, 16)
-#: Prefix n-grams that a task holds before it sends them on, and documents that are verified together.
-FLUSH, MEMBERS = 1 << 21, 500
-
+from .common import U64, bucket_bits, by_bucket, common, components, forget, gathered, having, mix, shingles, text_buffer, written
 
+#: Frequent n-grams that are broadcast, least count of one, and bits of the filter of repeated ones.
+HEAVY, LEAST_HEAVY, FILTER_LOG2 = 1 << 20, 9, 27
+#: Hubs of a list in the rounds before all pairs.
+HUBS = (1, 16)
+#: N-grams that a task holds before it sends them on, and partners of one seat.
+FLUSH, PARTNERS = 1 << 21, 256
 PARITY = ("p0", "p1", "p2", "p3")
 
 
@@ -47,339 +54,319 @@ def _rows(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
 
 
-def _sign(sets: list[np.ndarray]) -> np.ndarray:
-    """A 64-bit name of each set."""
-    return np.array([mix(mix(s).sum(keepdims=True, dtype=np.uint64) + U64(len(s)))[0] if len(s) else 0 for s in sets], np.uint64)
+def _sign(s: np.ndarray) -> int:
+    """A 64-bit name of a set, 0 of the empty one."""
+    return int(mix(mix(s).sum(keepdims=True, dtype=np.uint64) + U64(len(s))).view(np.int64)[0]) if len(s) else 0
 
 
-def signatures(docs: DataFrame, k: int) -> DataFrame:
-    """(doc_id, n, sign, p0..p3): set size, name of the set, and parities of its n-grams in 256 cells, of every row.
+def _parity(s: np.ndarray) -> np.ndarray:
+    """Parities of a set's n-grams in 256 cells: each n-gram that only one of two sets has flips one."""
+    return np.packbits(np.bincount((mix(s) >> U64(56)).astype(np.int64), minlength=256).astype(np.uint8) & 1).view(np.int64)
 
-    Each n-gram that only one of two sets has flips one parity, so parities that differ bound how much the sets differ.
-    """
 
-    def parity(s: np.ndarray) -> np.ndarray:
-        return np.packbits(np.bincount((mix(s) >> U64(56)).astype(np.int64), minlength=256).astype(np.uint8) & 1).view(np.int64)
+# --- the order
 
-    def run(batches):
-        for batch in batches:
-            sets = shingles(*text_buffer(batch.column(1)), k)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array(_sign(sets).view(np.int64)), *(pa.array(c) for c in np.array([parity(s) for s in sets], np.int64).reshape(-1, 4).T)], ["doc_id", "n", "sign", *PARITY])
 
-    return _rows(docs).mapInArrow(run, "doc_id long, n long, sign long, p0 long, p1 long, p2 long, p3 long")
+def _name(s: np.ndarray, bits: int) -> np.ndarray:
+    """What counting keeps of a hash: the bucket's bits and 32 more."""
+    return s >> U64(32 - bits)
+
 
+def _places(names: np.ndarray, size: np.ndarray, turn: int) -> np.ndarray:
+    """The place of each name in a filter of `size` bits."""
+    return (((mix(names + U64((turn * 2 + 1) * 0x9E3779B97F4A7C15 & (1 << 64) - 1))) >> U64(32)) * size.astype(np.uint64) >> U64(32)).astype(np.int64)
 
-def _short(keys: np.ndarray, bits: int) -> np.ndarray:
-    """The 40 bits after the bucket's."""
-    return (keys << U64(bits)) >> U64(24)
 
+class Order:
+    """Filters of repeated n-grams, one for each bucket, and the levels of frequent ones."""
 
-def _five(keys: np.ndarray) -> np.ndarray:
-    return np.ascontiguousarray(keys.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :5])
+    TURNS = 3
 
+    def __init__(self, bits: int, filters: dict[int, bytes], heavy: np.ndarray, level: np.ndarray):
+        self.bits, self.heavy, self.level = bits, heavy, level.astype(np.int64)
+        self.size = np.zeros(1 << bits, np.int64)
+        for b, f in filters.items():
+            self.size[b] = len(f) * 8
+        self.base = self.size.cumsum() - self.size
+        self.data = np.frombuffer(b"".join(filters[b] for b in sorted(filters)), np.uint8)
 
-def _from_five(raw: np.ndarray) -> np.ndarray:
-    out = np.zeros((len(raw) // 5, 8), np.uint8)
-    out[:, :5] = raw.reshape(-1, 5)
-    return out.view("<u8").ravel()
+    @staticmethod
+    def filter(names: np.ndarray, most: int) -> bytes:
+        size = min(max(8, most // 8 * 8), -(-12 * len(names) // 8) * 8)
+        data = np.zeros(size, bool)
+        for t in range(Order.TURNS):
+            data[_places(names, np.full(len(names), size), t)] = True
+        return np.packbits(data, bitorder="little").tobytes()
 
+    def rank(self, s: np.ndarray) -> np.ndarray:
+        """0 for an n-gram that nothing else has, 1 for a repeated one, more for a frequent one."""
+        out, names = np.zeros(len(s), np.int64), _name(s, self.bits)
+        bucket = (names >> U64(32)).astype(np.int64)
+        some = np.flatnonzero(self.size[bucket] > 0)
+        for t in range(self.TURNS):
+            p = _places(names[some], self.size[bucket[some]], t) + self.base[bucket[some]]
+            some = some[(self.data[p >> 3] >> (p & 7).astype(np.uint8)) & 1 == 1]
+        out[some] = 1
+        if len(self.heavy):
+            at = np.searchsorted(self.heavy, names[some])
+            at[at == len(self.heavy)] = 0
+            hit = self.heavy[at] == names[some]
+            out[some[hit]] = 2 + self.level[at[hit]]
+        return out
 
-def heavy(docs: DataFrame, k: int, bits: int) -> tuple[np.ndarray, np.ndarray]:
-    """The most frequent counted n-grams (as bucket and 40 bits), sorted, and their document counts."""
 
-    def count(batches):
+def order(docs: DataFrame, k: int, bits: int) -> Order:
+    """The corpus order, from counts of all n-grams of all documents."""
+
+    def send(batches):
         def flush(parts):
-            keys, n = np.unique(np.concatenate(parts), return_counts=True)
-            bucket = (keys >> U64(64 - bits)).astype(np.int64) if bits else np.zeros(len(keys), np.int64)
-            cut = np.flatnonzero(np.diff(bucket)) + 1
-            ends = [*cut.tolist(), len(keys)]
-            five, n = _five(_short(keys, bits)), np.minimum(n, 65535).astype("<u2")
-            rows = [(int(bucket[a]), five[a:b].tobytes(), n[a:b].tobytes()) for a, b in zip([0, *ends[:-1]], ends, strict=True) if b > a]
-            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int32(), pa.binary(), pa.binary()), strict=True)], ["bucket", "c0", "c1"])
+            names, n = np.unique(np.concatenate(parts), return_counts=True)
+            bucket = (names >> U64(32)).astype(np.int64)
+            ends = [*(np.flatnonzero(np.diff(bucket)) + 1).tolist(), len(names)]
+            low, one, n = names.astype("<u4"), n == 1, n.astype("<u4")
+            rows = [(int(bucket[a]), low[a:b][one[a:b]].tobytes(), low[a:b][~one[a:b]].tobytes(), n[a:b][~one[a:b]].tobytes()) for a, b in zip([0, *ends[:-1]], ends, strict=True)]
+            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int32(), pa.binary(), pa.binary(), pa.binary()), strict=True)], ["bucket", "c0", "c1", "c2"])
 
         parts, size = [], 0
         for batch in batches:
             for s in shingles(*text_buffer(batch.column(1)), k):
-                few = s[: np.searchsorted(s, U64(1 << 63))]
-                if len(few):
-                    parts.append(few)
-                    size += len(few)
-                if size > FLUSH or len(parts) > 60_000:
+                if len(s):
+                    parts.append(_name(s, bits))
+                    size += len(s)
+                if size > FLUSH:
                     yield flush(parts)
                     parts, size = [], 0
         if parts:
             yield flush(parts)
 
     def total(batches):
-        for bucket, (raw, n) in by_bucket(batches, [np.uint8, "<u2"]):
-            keys, at = np.unique(_from_five(raw), return_inverse=True)
-            sums = np.bincount(at, n).astype(np.int64)
-            some = sums >= LEAST_HEAVY
-            if some.any():
-                full = (U64(bucket) << U64(40)) | keys[some] if bits else keys[some]
-                yield pa.RecordBatch.from_arrays([pa.array(full.view(np.int64)), pa.array(sums[some])], ["gram", "n"])
-
-    counted = written(gathered(_rows(docs).mapInArrow(count, "bucket int, c0 binary, c1 binary")).mapInArrow(total, "gram long, n long"), "counts")
-    most = counted.groupBy("n").agg(F.count("*").alias("grams")).orderBy(F.desc("n"))
-    limit, seen = LEAST_HEAVY, 0
-    for r in most.limit(100_000).collect():  # one row for each distinct count
-        seen += r["grams"]
-        if seen > HEAVY:
-            limit = r["n"] + 1
-            break
-    table = counted.filter(F.col("n") >= limit).toArrow()  # at most HEAVY rows
-    grams, n = table["gram"].to_numpy().view(np.uint64), table["n"].to_numpy()
-    order = grams.argsort()
-    return grams[order], n[order].astype(np.uint32)
-
-
-def _prefix(s: np.ndarray, grams: np.ndarray, counts: np.ndarray, bits: int, percent: int) -> np.ndarray:
-    """The first n-grams of a set in the corpus order, as many as a partner must share one of."""
-    length = len(s) + (-percent * len(s)) // 100 + 1
-    few = int(np.searchsorted(s, U64(1 << 63)))
-    rank = np.ones(len(s), np.int64)
-    if few and len(grams):
-        name = s[:few] >> U64(24 - bits)
-        at = np.searchsorted(grams, name)
-        at[at == len(grams)] = 0
-        rank[:few] = np.where(grams[at] == name, counts[at].astype(np.int64) + 1, 0)
-    elif few:
-        rank[:few] = 0
-    return s[rank.argsort(kind="stable")[:length]]
-
-
-def lists(docs: DataFrame, k: int, percent: int, bits: int) -> DataFrame:
-    """(gram, sign, grp, n, place): for each prefix n-gram of at least two different sets its members (sign, group, n, place), as arrays."""
-    grams, counts = heavy(docs, k, bits)
-    shared = docs.sparkSession.sparkContext.broadcast((grams, counts))
-
-    def send(batches):
-        def flush(parts, known):
-            keys = np.concatenate([p[0] for p in parts])
-            n = np.array([len(p[0]) for p in parts])
-            order = keys.argsort(kind="stable")
-            owner = np.repeat(np.arange(len(parts)), n)[order]
-            place = (np.arange(len(keys)) - np.repeat(n.cumsum() - n, n))[order].astype("<u4")
-            keys = keys[order]
-            sign, group, size = (np.array([p[i] for p in parts], t)[owner] for i, t in ((1, "<u8"), (2, "<u8"), (3, "<u4")))
-            bucket = (keys >> U64(64 - bits)).astype(np.int64) if bits else np.zeros(len(keys), np.int64)
-            ends = [*(np.flatnonzero(np.diff(bucket)) + 1).tolist(), len(keys)]
-            five, group = _five(_short(keys, bits)), _five(group)
-            rows = [(int(bucket[a]), *(x[a:b].tobytes() for x in (five, sign, group, size, place))) for a, b in zip([0, *ends[:-1]], ends, strict=True)]
-            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int32(), *[pa.binary()] * 5), strict=True)], ["bucket", *(f"c{i}" for i in range(5))])
-
-        grams, counts = shared.value
-        parts, size, known = [], 0, set()
+        for bucket, (one, more, n) in by_bucket(batches, ["<u4", "<u4", "<u4"]):
+            low, at = np.unique(np.concatenate([one, more]), return_inverse=True)
+            sums = np.bincount(at, np.concatenate([np.ones(len(one)), n])).astype(np.int64)
+            names = (U64(bucket) << U64(32)) | low[sums > 1].astype(np.uint64)
+            sums = sums[sums > 1]
+            often = sums >= LEAST_HEAVY
+            if len(names):
+                level = np.floor(4 * np.log2(sums[often])).astype(np.uint8)
+                cells = [Order.filter(names, (1 << FILTER_LOG2) >> bits), names[often].tobytes(), level.tobytes()]
+                yield pa.RecordBatch.from_arrays([pa.array([bucket], pa.int32()), *(pa.array([c], pa.binary()) for c in cells)], ["bucket", "filter", "names", "levels"])
+
+    def levels(batches):
+        seen = np.zeros(256, np.int64)
         for batch in batches:
-            sets = shingles(*text_buffer(batch.column(1)), k)
-            for s, sign in zip(sets, _sign(sets).tolist(), strict=True):
-                if not len(s) or sign in known:  # equal sets go out once
-                    continue
-                known.add(sign)
-                own = _prefix(s, grams, counts, bits, percent)
-                group = int(mix(mix(own).sum(keepdims=True, dtype=np.uint64) ^ U64(len(s)))[0]) & ((1 << 40) - 1)
-                parts.append((own, sign, group, len(s)))
-                size += len(own)
-                if size > FLUSH:
-                    yield flush(parts, known)
-                    parts, size, known = [], 0, set()
-        if parts:
-            yield flush(parts, known)
-
-    def gather(batches):
-        for bucket, (raw, sign, group, n, place) in by_bucket(batches, [np.uint8, "<u8", np.uint8, "<u4", "<u4"]):
-            gram, group = _from_five(raw), _from_five(group)
-            order = np.lexsort((sign, group, n, gram))
-            gram, sign, group, n, place = (x[order] for x in (gram, sign, group, n, place))
-            new = np.ones(len(gram), bool)
-            new[1:] = (gram[1:] != gram[:-1]) | (sign[1:] != sign[:-1])
-            gram, sign, group, n, place = (x[new] for x in (gram, sign, group, n, place))
-            cut = np.flatnonzero(np.diff(gram)) + 1
-            starts, ends = np.concatenate([[0], cut]), np.concatenate([cut, [len(gram)]])
-            some = ends - starts > 1
-            two = np.flatnonzero(ends - starts == 2)
-            a = starts[two]  # most lists have two members; those without room for a link are no candidates
-            some[two] = _may(n[a], n[a + 1], place[a], place[a + 1], percent)
-            starts, ends = starts[some], ends[some]
-            for i in range(0, len(starts), 4096):
-                a, b = starts[i : i + 4096], ends[i : i + 4096]
-                inside = np.repeat(a - np.concatenate([[0], (b - a).cumsum()[:-1]]), b - a) + np.arange((b - a).sum())
-                cuts = pa.array(np.concatenate([[0], (b - a).cumsum()]).astype(np.int32))
-                name = (np.int64(bucket) << np.int64(40)) | gram[a].astype(np.int64) if bits else gram[a].astype(np.int64)
-                yield pa.RecordBatch.from_arrays([pa.array(name), *(pa.ListArray.from_arrays(cuts, pa.array(x[inside].astype(np.int64))) for x in (sign, group, n, place))], ["gram", "sign", "grp", "n", "place"])
-
-    sent = _rows(docs).mapInArrow(send, "bucket int, c0 binary, c1 binary, c2 binary, c3 binary, c4 binary")
-    return written(gathered(sent).mapInArrow(gather, "gram long, sign array<long>, grp array<long>, n array<long>, place array<long>"), "lists")
-
-
-def _may(n: np.ndarray, m: np.ndarray, i: np.ndarray, j: np.ndarray, percent: int) -> np.ndarray:
-    """Whether sizes and the places of a shared n-gram leave room for a link."""
-    n, m, i, j = (x.astype(np.int64) for x in (n, m, i, j))
-    room = np.minimum(i, j) + 1 + np.minimum(n - 1 - i, m - 1 - j)
-    return (100 * np.minimum(n, m) >= percent * np.maximum(n, m)) & (room >= _needed(n, m, percent))
-
-
-def _first(percent: int):
-    """(a, b): in each list the member of least hash with the others, by sizes and places."""
-
-    def run(batches):
-        held: list[np.ndarray] = []
+            for x in batch.column(0).to_pylist():
+                seen += np.bincount(np.frombuffer(x, np.uint8), minlength=256)
+        yield pa.RecordBatch.from_arrays([pa.array(range(256), pa.int32()), pa.array(seen)], ["level", "n"])
+
+    sent = _rows(docs).mapInArrow(send, "bucket int, c0 binary, c1 binary, c2 binary")
+    counted = written(gathered(sent).mapInArrow(total, "bucket int, filter binary, names binary, levels binary"), "counts")
+    # at most 256 levels; the least whose n-grams and those above it stay within the bound
+    seen = {r["level"]: r["n"] for r in counted.select("levels").mapInArrow(levels, "level int, n long").groupBy("level").agg(F.sum("n").alias("n")).collect()}
+    least, held = 256, 0
+    while least and held + seen.get(least - 1, 0) <= HEAVY:
+        least -= 1
+        held += seen.get(least, 0)
+
+    def often(batches):
         for batch in batches:
-            columns = [batch.column(i) for i in range(3)]
-            cuts = columns[0].offsets.to_numpy() - columns[0].offsets[0].as_py()
-            signs, sizes, places = (c.flatten().to_numpy(zero_copy_only=False) for c in columns)
-            for start, end in zip(cuts[:-1], cuts[1:], strict=True):
-                sign, n, place = signs[start:end], sizes[start:end], places[start:end]
-                hub = int(mix(sign.view(np.uint64)).argmin())
-                ok = _may(n, np.full(len(n), n[hub]), place, np.full(len(n), place[hub]), percent)
-                ok[hub] = False
-                if ok.any():
-                    held.append(np.stack([np.full(int(ok.sum()), sign[hub]), sign[ok]], 1))
-            if len(held) > 20_000:
-                yield _pairs(held)
-                held = []
-        if held:
-            yield _pairs(held)
-
-    return run
-
-
-def _near(p: np.ndarray, q: np.ndarray, n: np.ndarray, m: np.ndarray, percent: int) -> np.ndarray:
-    """Whether parities leave room for a link: sets that link differ in at most n + m - 2 * needed n-grams."""
-    return np.bitwise_count((p ^ q).view(np.uint64)).sum(1) <= n + m - 2 * _needed(n, m, percent)
-
+            rows = [(np.frombuffer(n, "<u8"), np.frombuffer(v, np.uint8)) for n, v in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)]
+            cells = [[n[v >= least].tobytes() for n, v in rows], [v[v >= least].tobytes() for n, v in rows]]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *(pa.array(c, pa.binary()) for c in cells)], ["bucket", "filter", "names", "levels"])
+
+    # filters of 2^FILTER_LOG2 bits in all, and at most HEAVY names
+    got = counted.mapInArrow(often, counted.schema).toArrow().to_pydict()
+    names, level = np.frombuffer(b"".join(got["names"]), "<u8"), np.frombuffer(b"".join(got["levels"]), np.uint8)
+    sort = names.argsort()
+    forget(counted)
+    return Order(bits, dict(zip(got["bucket"], got["filter"], strict=True)), names[sort], level[sort])
+
+
+# --- sets, groups and postings
+
+
+def _told(sets: list[np.ndarray], known: set, order: Order, percent: int):
+    """For each set: size, name, group, whether its prefix has a repeated n-gram, parities, and its posted n-grams with their places."""
+    sizes = np.array([len(s) for s in sets], np.int64)
+    out = []
+    ranks = order.rank(np.concatenate(sets)) if sizes.sum() else np.zeros(0, np.int64)
+    ends = sizes.cumsum()
+    for s, end in zip(sets, ends.tolist(), strict=True):
+        n = len(s)
+        rank = ranks[end - n : end]
+        length = n + (-percent * n) // 100 + 1 if n else 0
+        if n - np.count_nonzero(rank) >= length:  # a prefix of n-grams that nothing else has, or an empty set
+            out.append((n, _sign(s), 0, False, None, None, None, None, [], []))
+            continue
+        sort = rank.argsort(kind="stable")[:length]
+        own, posted = s[sort], np.flatnonzero(rank[sort] > 0)
+        group = int(mix(mix(own).sum(keepdims=True, dtype=np.uint64) ^ U64(n)).view(np.int64)[0])
+        if group in known:
+            posted = posted[:0]
+        known.add(group)
+        out.append((n, _sign(s), group, True, *_parity(s).tolist(), own[posted].view(np.int64), posted.astype(np.int32)))
+    return out
 
-def _pairs(held: list[np.ndarray]) -> pa.RecordBatch:
-    rows = np.unique(np.concatenate(held), axis=0)
-    return pa.RecordBatch.from_arrays([pa.array(rows[:, 0]), pa.array(rows[:, 1])], ["a", "b"])
 
+SETS = "doc_id long, n int, sign long, grp long, shared boolean, p0 long, p1 long, p2 long, p3 long, grams array<long>, places array<int>"
 
-def _proposals(percent: int, turn: int, hubs: int | None):
-    """(a, b): pairs of signs of different classes that sizes, places and parities leave room for.
 
-    Some members of a list's largest class are paired with the other classes, or without `hubs` all members.
-    """
+def read_sets(docs: DataFrame, k: int, percent: int, order: Order) -> DataFrame:
+    """What every row's set is, and the postings of its group where a task met it first."""
+    shared = docs.sparkSession.sparkContext.broadcast(order)
+    kinds = [pa.int32(), pa.int64(), pa.int64(), pa.bool_(), *[pa.int64()] * 4, pa.list_(pa.int64()), pa.list_(pa.int32())]
 
     def run(batches):
-        held: list[np.ndarray] = []
-        size = 0
+        known: set[int] = set()
         for batch in batches:
-            column = batch.column(0)
-            cuts = column.offsets.to_numpy() - column.offsets[0].as_py()
-            flat = column.flatten()
-            all_ = [flat.field(f).to_numpy(zero_copy_only=False) for f in ("sign", "grp", "n", "place", "label")]
-            all_.append(np.stack([flat.field(f).to_numpy(zero_copy_only=False) for f in PARITY], 1))
-            lengths = np.diff(cuts)
-            a = cuts[:-1][lengths == 2]
-            if len(a):  # most lists have two members: all of them at once
-                signs, _, sizes, places, labels, parity = all_
-                b = a + 1
-                ok = (labels[a] != labels[b]) & _may(sizes[a], sizes[b], places[a], places[b], percent) & _near(parity[a], parity[b], sizes[a], sizes[b], percent)
-                if ok.any():
-                    held.append(np.stack([np.minimum(signs[a[ok]], signs[b[ok]]), np.maximum(signs[a[ok]], signs[b[ok]])], 1))
-                    size += int(ok.sum())
-            for start, end in zip(cuts[:-1][lengths > 2], cuts[1:][lengths > 2], strict=True):
-                sign, group, n, place, label, parity = (x[start:end] for x in all_)
-                ask = np.arange(len(sign))
-                if hubs is not None:
-                    values, counts = np.unique(label, return_counts=True)
-                    ask = np.flatnonzero(label == values[counts.argmax()])
-                    ask = ask[mix(sign[ask].view(np.uint64) + U64(turn)).argsort()[:hubs]]
-                # groups are bounded first, then expanded to their members of different classes
-                key = group.view(np.uint64) ^ mix(n.astype(np.uint64) << U64(32) | place.astype(np.uint64))
-                _, first, of = np.unique(key, return_index=True, return_inverse=True)
-                for x in ask:
-                    may = _may(n[first], np.full(len(first), n[x]), place[first], np.full(len(first), place[x]), percent)[of]
-                    other = np.flatnonzero(may & (label != label[x]))
-                    other = other[_near(parity[other], parity[x][None, :], n[other], np.full(len(other), n[x]), percent)]
-                    if len(other):
-                        held.append(np.stack([np.minimum(sign[x], sign[other]), np.maximum(sign[x], sign[other])], 1))
-                        size += len(other)
-                if size > 1_000_000 or len(held) > 100_000:
-                    yield _pairs(held)
+            sets, rows, held, size = shingles(*text_buffer(batch.column(1)), k), [], [], 0
+            for s in sets:
+                held.append(s)
+                size += len(s)
+                if size > 1 << 20:
+                    rows.extend(_told(held, known, shared.value, percent))
                     held, size = [], 0
-        if held:
-            yield _pairs(held)
+            rows.extend(_told(held, known, shared.value, percent))
+            columns = zip(*rows, strict=True) if rows else [[]] * len(kinds)
+            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(list(c), t) for c, t in zip(columns, kinds, strict=True))], [x.split()[0] for x in SETS.split(", ")])
+
+    return written(_rows(docs).mapInArrow(run, SETS), "sets")
+
 
-    return run
+def _sql_needed(a: str, b: str, percent: int) -> str:
+    return f"({percent} * ({a}.n + {b}.n) + {99 + percent}) div {100 + percent}"
+
+
+def _may(a: str, b: str, percent: int):
+    """Whether sizes and the places of a shared n-gram leave room for a link if it is the first that both have."""
+    needed = _sql_needed(a, b, percent)
+    return F.expr(f"100 * least({a}.n, {b}.n) >= {percent} * greatest({a}.n, {b}.n) and {a}.n - {a}.place >= {needed} and {b}.n - {b}.place >= {needed}")
+
+
+def _near(a: str, b: str, percent: int):
+    """Whether parities leave room for a link: sets that link differ in at most n + m - 2 * needed n-grams."""
+    differ = " + ".join(f"bit_count({a}.{p} ^ {b}.{p})" for p in PARITY)
+    return F.expr(f"{differ} <= {a}.n + {b}.n - 2 * ({_sql_needed(a, b, percent)})")
+
+
+def _pairs(df: DataFrame, a: str, b: str) -> DataFrame:
+    return df.select(F.least(a, b).alias("a"), F.greatest(a, b).alias("b")).filter("a < b").distinct()
+
+
+# --- verification
 
 
 def verify(texts: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFrame:
     """The pairs (a, b) of doc_ids whose sets link, by their whole texts (doc_id, text).
 
-    Documents b are dealt into seats by their hash, so each text travels once, and once more as an a for each seat that needs it.
+    Of a pair, the one with more partners is held and the texts of its partners pass by; beyond `PARTNERS` of
+    them it is held in several seats. So a task holds one set at a time, and no seat has more than its share.
     """
     spark = texts.sparkSession
-    n, pairs_n = pairs.select("b").distinct().count(), pairs.count()
-    seats = max(1, n // MEMBERS, pairs_n // 20_000)
-    seat = F.pmod(F.xxhash64("b"), F.lit(seats)).cast("int").alias("seat")
-    none = F.lit(None).cast("array<long>")
-    need = pairs.select(seat, F.col("a").alias("doc_id"), F.lit(0).alias("role"), none.alias("with")).distinct()
-    need = written(need.unionByName(pairs.groupBy("b").agg(F.collect_list("a").alias("with")).select(seat, F.col("b").alias("doc_id"), F.lit(1).alias("role"), "with")), "need")
-    parts = min(seats, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    dealt = need.join(texts, "doc_id").repartition(max(1, parts), "seat").sortWithinPartitions("seat", "role").select("seat", "role", "doc_id", "with", "text")
+    ends = pairs.select(F.explode(F.array("a", "b")).alias("x")).groupBy("x").agg(F.count("*").alias("c"))
+    both = pairs.join(ends.select(F.col("x").alias("a"), F.col("c").alias("ca")), "a").join(ends.select(F.col("x").alias("b"), F.col("c").alias("cb")), "b")
+    first = F.col("ca") >= F.col("cb")
+    dealt = both.select(F.when(first, F.col("a")).otherwise(F.col("b")).alias("held"), F.when(first, F.col("b")).otherwise(F.col("a")).alias("doc_id"), F.greatest("ca", "cb").alias("c"))
+    seat = F.pmod(F.xxhash64("doc_id"), F.ceil(F.col("c") / PARTNERS)).cast("int").alias("seat")
+    dealt = written(dealt.select("held", seat, F.lit(1).alias("role"), "doc_id"), "seats")
+    need = dealt.select("held", "seat", F.lit(0).alias("role"), F.col("held").alias("doc_id")).distinct().unionByName(dealt)
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    rows = need.join(texts, "doc_id").repartition(parts, "held", "seat").sortWithinPartitions("held", "seat", "role").select("held", "role", "doc_id", "text")
 
     def run(batches):
-        seat, own = None, {}
+        one = None
         for batch in batches:
-            sets = shingles(*text_buffer(batch.column(4)), k)
+            sets = shingles(*text_buffer(batch.column(3)), k)
             found = []
-            for s, role, doc, partners, x in zip(*(batch.column(i).to_pylist() for i in range(4)), sets, strict=True):
-                if s != seat:
-                    seat, own = s, {}
+            for held, role, doc, x in zip(*(batch.column(i).to_pylist() for i in range(3)), sets, strict=True):
                 if role == 0:
-                    own[doc] = x
+                    one = x
                     continue
-                for a in partners:
-                    y = own.get(a)
-                    if y is None or not len(x) or not len(y):
-                        continue
-                    both = common(x, y)
-                    if 100 * both >= percent * (len(x) + len(y) - both):
-                        found.append((a, doc))
-            if found:
-                yield pa.RecordBatch.from_arrays([pa.array([f[i] for f in found], pa.int64()) for i in (0, 1)], ["a", "b"])
+                n = common(one, x)
+                if n and 100 * n >= percent * (len(one) + len(x) - n):
+                    found.append((held, doc))
+            yield pa.RecordBatch.from_arrays([pa.array([f[i] for f in found], pa.int64()) for i in (0, 1)], ["a", "b"])
+
+    links = written(rows.mapInArrow(run, "a long, b long"), "links")
+    forget(dealt)
+    return links
 
-    return dealt.mapInArrow(run, "a long, b long")
+
+# --- classes
+
+
+def _united(labels: DataFrame, links: DataFrame) -> DataFrame:
+    """Labels after links: the smallest label that the classes at both ends reach."""
+    spark = labels.sparkSession
+    of = labels.select("unit", "label")
+    ends = links.join(of.select(F.col("unit").alias("a"), F.col("label").alias("x")), "a").join(of.select(F.col("unit").alias("b"), F.col("label").alias("y")), "b")
+    edges = written(ends.select(F.col("x").alias("a"), F.col("y").alias("b")).filter("a <> b").distinct(), "joined")
+    parts = components(spark, edges)
+    new = written(labels.join(parts, labels.label == parts.node, "left").select("unit", F.coalesce("component", "label").alias("label")), "classes")
+    forget(edges, parts, labels)
+    return new
 
 
 def classes(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFrame:
     """(doc_id, n_shingles, component_id) of every row; component_id is the smallest doc_id that links reach."""
-    spark = docs.sparkSession
-    told = written(signatures(docs, k), "signatures")
-    units = written(told.filter("n > 0 and doc_id is not null").groupBy("sign").agg(F.min("doc_id").alias("unit"), *(F.min(p).alias(p) for p in PARITY)), "units")
-    found = lists(docs, k, percent, bucket_bits(told.count(), each=1000))
-    # texts that any candidate can need, read from the documents once
-    named = found.select(F.explode("sign").alias("sign")).distinct().join(units.select("sign", "unit"), "sign").select(F.col("unit").alias("doc_id"))
-    texts = written(having(_rows(docs), named), "texts")
-    each = found.select("gram", F.array_min("sign").alias("hub"), F.explode(F.arrays_zip("sign", "grp", "n", "place")).alias("m")).select("gram", "hub", "m.*")
-    members = written(each.join(units.select("sign", *PARITY), "sign"), "members")
-    tasks = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    links = None
-    labels = units.select("sign", F.col("unit").alias("label"))
+    bits = bucket_bits(docs.count(), each=1000)
+    sets = read_sets(docs, k, percent, order(docs, k, bits))
+    named = sets.filter("n > 0 and doc_id is not null")
+    units = named.groupBy("sign").agg(F.min("doc_id").alias("unit"))
+    members = named.filter("shared").groupBy("sign").agg(F.min("doc_id").alias("unit"), F.min("grp").alias("grp"), F.min("n").alias("n"), *(F.min(p).alias(p) for p in PARITY))
+    members = written(members, "members")
+    groups = written(members.groupBy("grp").agg(F.min("n").alias("n"), F.min(F.struct("unit", *PARITY)).alias("lead"), F.count("*").alias("held")).select("grp", "n", "lead.*", "held"), "groups")
+    each = sets.filter("size(grams) > 0").select("grp", "n", F.explode(F.arrays_zip("grams", "places")).alias("g"))
+    posted = each.select(F.col("g.grams").alias("gram"), "grp", "n", F.col("g.places").alias("place")).distinct().join(groups.select("grp", F.col("unit").alias("lead")), "grp")
+    lists = posted.groupBy("gram").agg(F.count("*").alias("c"), F.min(F.struct(F.xxhash64("grp"), "grp", "n", "place", "lead")).alias("hub")).filter("c > 1")
+    posted = written(posted.join(lists, "gram"), "postings")
+    crowds = groups.filter("held > 1").select("grp")
+    wanted = members.join(posted.select("grp").unionByName(crowds).distinct(), "grp", "left_semi").select(F.col("unit").alias("doc_id"))
+    texts = written(having(_rows(docs), written(wanted, "wanted")), "texts")
+    labels = written(members.select("unit", F.col("unit").alias("label")), "classes")
+
+    # every list's groups with its hub, every group's members with its leader
+    star = posted.select(F.struct("n", "place").alias("x"), F.col("hub").alias("y"), "lead").filter(_may("x", "y", percent)).select(F.col("lead").alias("a"), F.col("y.lead").alias("b"))
+    within = members.join(groups.filter("held > 1").select("grp", F.col("unit").alias("lead")), "grp").select(F.col("unit").alias("a"), F.col("lead").alias("b"))
     tested = None
     for turn, hubs in enumerate((*HUBS, None)):
-        if turn == 0:  # every set is a class of its own
-            proposed = found.select("sign", "n", "place").mapInArrow(_first(percent), "a long, b long").distinct()
-        else:  # lists whose members are all in one class are done
-            # lists with one least member stand together, so that their common pairs are told once; four parts keep them apart
-            rows = members.join(labels, "sign").withColumn("part", F.pmod("gram", F.lit(4))).repartition(tasks, "hub", "part")
-            listed = rows.groupBy("hub", "part", "gram").agg(F.collect_list(F.struct("sign", "grp", "n", "place", "label", *PARITY)).alias("m"))
-            listed = listed.filter(F.size(F.array_distinct("m.label")) > 1).select("m")
-            proposed = listed.mapInArrow(_proposals(percent, turn, hubs), "a long, b long").distinct()
-        named = proposed.join(units.select(F.col("sign").alias("a"), F.col("unit").alias("x")), "a").join(units.select(F.col("sign").alias("b"), F.col("unit").alias("y")), "b")
-        pairs = named.select(F.col("x").alias("a"), F.col("y").alias("b")).filter("a <> b").distinct()
-        if tested is not None:
-            pairs = pairs.join(tested, (pairs.a == tested.p) & (pairs.b == tested.q), "left_anti")
-        pairs = written(pairs, "pairs")
+        if turn == 0:
+            found = _pairs(star.unionByName(within), "a", "b").alias("p")
+            found = found.join(members.alias("x"), F.expr("x.unit = p.a")).join(members.alias("y"), F.expr("y.unit = p.b")).filter(_near("x", "y", percent)).select("p.a", "p.b")
+        else:
+            found = _open_pairs(members, groups, posted, labels, percent, turn, hubs).join(tested, ["a", "b"], "left_anti")
+        pairs = written(found, "pairs")
         if not pairs.limit(1).count():
+            forget(pairs)
+            if turn == 0:
+                break
             continue
-        both = pairs.select(F.col("a").alias("p"), F.col("b").alias("q")).unionByName(pairs.select(F.col("b").alias("p"), F.col("a").alias("q")))
-        tested = both if tested is None else tested.unionByName(both)
-        new = written(verify(texts, pairs, k, percent), "links")
-        links = new if links is None else links.unionByName(new)
-        parts = components(spark, links)
-        labels = written(units.join(parts, units.unit == parts.node, "left").select("sign", F.coalesce("component", "unit").alias("label")), "classes")
-    out = told.select("doc_id", "n", "sign").join(labels, "sign", "left")
-    return out.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("label")).otherwise(F.col("doc_id")).alias("component_id"))
-
+        links = verify(texts, pairs, k, percent)
+        tested = pairs if tested is None else tested.unionByName(pairs)
+        labels = _united(labels, links)
+        forget(links)
+    out = units.join(labels, "unit", "left").select("sign", F.coalesce("label", "unit").alias("label"))
+    out = written(out, "labelled")
+    forget(members, groups, posted, texts, labels)
+    told = sets.select("doc_id", "n", "sign").join(out, "sign", "left")
+    return told.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.when(F.col("n") > 0, F.col("label")).otherwise(F.col("doc_id")).alias("component_id"))
+
+
+def _open_pairs(members: DataFrame, groups: DataFrame, posted: DataFrame, labels: DataFrame, percent: int, turn: int, hubs: int | None) -> DataFrame:
+    """Pairs of members of different classes that lists of more than one class leave: those with some hubs, by leaders, or all."""
+    own = members.join(labels, "unit")
+    spread = own.groupBy("grp").agg(F.min("label").alias("low"), F.max("label").alias("high"))
+    shown = groups.join(spread, "grp").withColumnRenamed("unit", "lead")
+    rows = posted.select("gram", "grp", "place", "c").join(shown, "grp")
+    still = rows.groupBy("gram").agg(F.min("low").alias("l"), F.max("high").alias("h")).filter("l <> h").select("gram")
+    rows = written(rows.join(still, "gram", "left_semi"), "open")
+    first, second = rows.alias("x"), rows.alias("y")
+    apart = F.expr("x.gram = y.gram and not (x.low = y.low and x.low = x.high and y.low = y.high)") & _may("x", "y", percent)
+    if hubs is not None:
+        first = rows.filter(F.pmod(F.xxhash64("grp", F.lit(turn)), F.lit(1 << 20)) * F.col("c") < F.lit(hubs << 20)).alias("x")
+        met = first.join(second, apart & F.expr("x.grp <> y.grp and x.low <> y.low") & _near("x", "y", percent))
+        return _pairs(met.select(F.col("x.lead").alias("a"), F.col("y.lead").alias("b")), "a", "b")
+    # a group of one member is bounded by its parities here, others member by member
+    met = first.join(second, apart & F.expr("x.grp < y.grp") & (F.expr("x.held > 1 or y.held > 1") | _near("x", "y", percent)))
+    met = met.select(F.col("x.grp").alias("g"), F.col("y.grp").alias("h")).unionByName(spread.filter("low <> high").select(F.col("grp").alias("g"), F.col("grp").alias("h"))).distinct().alias("m")
+    both = met.join(own.alias("x"), F.expr("m.g = x.grp")).join(own.alias("y"), F.expr("m.h = y.grp and x.label <> y.label") & _near("x", "y", percent))
+    return _pairs(both.select(F.col("x.unit").alias("a"), F.col("y.unit").alias("b")), "a", "b")
