@@ -2,9 +2,9 @@
 
 Tokens are lower-cased words, and one end after each text. Words counted `OWN_COUNT` times, and the `OWN` most
 frequent ones in any case (the end among them), are emission classes of their own, so that their number follows
-the counted vocabulary; all others fall by their hash into a fixed number of classes. A latent state emits a
-class, and a class emits its words by smoothed corpus counts, and its counts
-cover the corpus. The score is the exact log10 likelihood of a text by the scaled forward recursion plus the
+the counted vocabulary up to `OWN_MOST`, the size that the broadcast model is bounded to (beyond it, the least
+count rises by fourths of a doubling); all others fall by their hash into a fixed number of classes. A latent
+state emits a class, and a class emits its words by smoothed corpus counts, which cover all training texts. The score is the exact log10 likelihood of a text by the scaled forward recursion plus the
 words' log10 shares of their classes; every class keeps the mass of one unseen word, as the base score does.
 
 The corpus is tokenized once into chunks: distinct word hashes, their training counts, and the words as
@@ -13,7 +13,7 @@ chunk in the order of its words. Training starts from a seeded random table; eac
 texts and sends, for each task, the expected counts of the classes it met, which meet by ranges of classes.
 Rounds go on until the corpus likelihood settles. For training, texts are cut into stretches of `STRETCH` tokens; likelihoods are of whole texts.
 
-Defined results: null and empty texts have one token, the end. Without training texts every token is unknown
+Defined results: null and empty texts have one token, the end. A row without doc_id is not held out. Without training texts every token is unknown
 and the score is the base score. Rows of equal doc_id are scored like any others.
 """
 
@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 
 from .common import U64, bucket_bits, gathered, mix, slices, text_buffer, word_hashes, written
 
-STATES, OWN, OWN_COUNT, SHARED = 8, 4096, 64, 1024
+STATES, OWN, OWN_COUNT, SHARED, OWN_MOST = 8, 4096, 64, 1024, 1 << 20
 #: Words of a chunk, tokens of a stretch, and the gain of log likelihood, as a part of it, under which training ends.
 CHUNK, STRETCH, SETTLED = 1 << 19, 512, 1e-4
 END = U64(0xE11D0FE11D0FE11D)
@@ -67,6 +67,10 @@ class Model:
         self.emit = np.ascontiguousarray(((emit + 1e-2) / (emit + 1e-2).sum(1, keepdims=True)).T)  # classes x states
 
 
+def _level(sums: np.ndarray) -> np.ndarray:
+    return np.floor(4 * np.log2(np.maximum(sums, 1))).astype(np.int64)
+
+
 def class_of(keys: np.ndarray) -> np.ndarray:
     return (mix(keys ^ U64(0x5DEECE66D)) >> U64(54)).astype(np.int64)
 
@@ -96,6 +100,19 @@ def _stepped(classes: np.ndarray, begin: np.ndarray, length: np.ndarray):
     return order, rows, at, classes[begin[row] + step]
 
 
+_held: list[np.ndarray] = []
+
+
+def _room(k: int, n: int) -> np.ndarray:
+    """A table of k rows and n columns; a worker keeps the memory for the next one, of at most twice a chunk's tokens."""
+    if not _held or _held[0].size < k * n:
+        _held[:] = [np.empty(k * n)]
+    out = _held[0][: k * n].reshape(k, n)
+    if n > 2 * CHUNK:
+        _held.clear()
+    return out
+
+
 def expected(model: Model, classes: np.ndarray, starts: np.ndarray, counts: np.ndarray):
     """Expected starts, later starts, moves and emissions of sequences of classes, and their log10 likelihood (forward-backward)."""
     begin, length, first, _ = _stretches(starts, counts)
@@ -104,33 +121,33 @@ def expected(model: Model, classes: np.ndarray, starts: np.ndarray, counts: np.n
     out = np.zeros(k), np.zeros(k), np.zeros((k, k)), np.zeros((k, model.n)), np.zeros(1)
     if not len(cls):
         return out
-    emit = model.emit[cls]
-    forward, scale = np.empty((len(cls), k)), np.empty(len(cls))
-    prior = np.where(first[order][:, None], model.start, model.later)
+    # states are rows, so that sums over states and products with the move table run along whole steps
+    forward, scale = _room(k, len(cls)), np.empty(len(cls))
+    prior = np.where(first[order], model.start[:, None], model.later[:, None])
+    onward = np.ascontiguousarray(model.move.T)
     for t in range(len(rows)):
         a, b = at[t], at[t + 1]
-        now = prior * emit[a:b] if t == 0 else (forward[at[t - 1] : at[t - 1] + rows[t]] @ model.move) * emit[a:b]
-        scale[a:b] = now.sum(1)
-        forward[a:b] = now / scale[a:b, None]
+        now = prior if t == 0 else onward @ forward[:, at[t - 1] : at[t - 1] + rows[t]]
+        now = now * model.emit.take(cls[a:b], 0).T
+        scale[a:b] = now.sum(0)
+        np.divide(now, scale[a:b], out=forward[:, a:b])
     out[4][0] = np.log10(scale).sum()
-    gamma = np.empty_like(forward)
-    back = np.ones((rows[-1], k))
-    for t in range(len(rows) - 1, -1, -1):
-        a, b = at[t], at[t + 1]
-        if t < len(rows) - 1:
-            c, d = at[t + 1], at[t + 2]
-            weighted = emit[c:d] * back / scale[c:d, None]
-            out[2][:] += forward[a : a + d - c].T @ weighted
-            new = np.ones((b - a, k))
-            new[: d - c] = weighted @ model.move.T
-            back = new
-        gamma[a:b] = forward[a:b] * back
+    for t in range(len(rows) - 2, -1, -1):  # forward becomes the states' shares of each token
+        a, c, d = at[t], at[t + 1], at[t + 2]
+        if t == len(rows) - 2:
+            back = np.ones((k, d - c))
+        elif back.shape[1] < d - c:
+            back = np.concatenate([back, np.ones((k, d - c - back.shape[1]))], 1)
+        back /= scale[c:d]
+        weighted = back * model.emit.take(cls[c:d], 0).T
+        out[2][:] += forward[:, a : a + d - c] @ weighted.T
+        back = model.move @ weighted
+        forward[:, a : a + d - c] *= back
     out[2][:] *= model.move
-    gamma /= gamma.sum(1, keepdims=True)
     head = first[order]
-    out[0][:], out[1][:] = gamma[: rows[0]][head].sum(0), gamma.sum(0)
+    out[0][:], out[1][:] = forward[:, : rows[0]][:, head].sum(1), forward.sum(1)
     for s in range(k):
-        out[3][s] = np.bincount(cls, gamma[:, s], model.n)
+        out[3][s] = np.bincount(cls, forward[s], model.n)
     return out
 
 
@@ -147,15 +164,16 @@ def likelihood(model: Model, classes: np.ndarray, starts: np.ndarray, counts: np
     length2 = np.concatenate([length[first], np.repeat(length[long], k)])
     prior = np.concatenate([np.broadcast_to(model.start, (int(first.sum()), k)), np.tile(model.move, (int(long.sum()), 1))])
     order, rows, at, cls = _stepped(classes, begin2, length2)
-    state, logs = np.empty((len(order), k)), np.zeros(len(order))
-    now = prior[order]
+    state, logs = np.empty((k, len(order))), np.zeros(len(order))
+    now, onward = prior[order].T, np.ascontiguousarray(model.move.T)
     for t in range(len(rows)):
         n = rows[t]
-        now = (now[:n] if t == 0 else now[:n] @ model.move) * model.emit[cls[at[t] : at[t + 1]]]
-        scale = now.sum(1)
+        now = (now[:, :n] if t == 0 else onward @ now[:, :n]) * model.emit.take(cls[at[t] : at[t + 1]], 0).T
+        scale = now.sum(0)
         logs[:n] += np.log10(scale)
-        now = now / scale[:, None]
-        state[:n] = now
+        now /= scale
+        state[:, :n] = now
+    state = state.T
     final, total = np.empty_like(state), np.empty_like(logs)
     final[order], total[order] = state, logs
     m = int(first.sum())
@@ -182,7 +200,7 @@ def _sequences(keys: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarr
 
 def chunks(docs: DataFrame, held_out) -> DataFrame:
     """The tokenized corpus: a row for each chunk of documents."""
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), held_out.alias("held"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(held_out, F.lit(False)).alias("held"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
 
     def run(batches):
         ids, held, parts, counts, size = [], [], [], [], 0
@@ -240,7 +258,7 @@ def word_counts(table: DataFrame, bits: int) -> DataFrame:
             keys, train = np.concatenate([h[1] for h in held]), np.concatenate([h[2] for h in held])
             own, at = np.unique(keys, return_inverse=True)
             sums = np.bincount(at, train, len(own)).astype(np.int64)
-            back = np.minimum(sums, 2**32 - 1).astype("<u4")[at]
+            back = sums.astype("<u8")[at]
             rows, i = [], 0
             for chunk, k, _ in held:
                 rows.append((0, chunk, bucket, back[i : i + len(k)].tobytes(), b""))
@@ -296,9 +314,21 @@ def word_classes(counts: DataFrame) -> Model:
         for batch in batches:
             for sums, own in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 sums, own = np.frombuffer(sums, np.int64), np.frombuffer(own, np.int64)
-                yield pa.RecordBatch.from_arrays([pa.array([own[sums >= OWN_COUNT].tobytes()], pa.binary()), pa.array([sums[sums >= OWN_COUNT].tobytes()], pa.binary())], ["k", "c"])
+                some = (sums >= OWN_COUNT) & (_level(sums) >= least)
+                yield pa.RecordBatch.from_arrays([pa.array([own[some].tobytes()], pa.binary()), pa.array([sums[some].tobytes()], pa.binary())], ["k", "c"])
+
+    def levels(batches):
+        seen = np.zeros(256, np.int64)
+        for batch in batches:
+            for sums in batch.column(0).to_pylist():
+                sums = np.frombuffer(sums, np.int64)
+                seen += np.bincount(_level(sums[sums >= OWN_COUNT]), minlength=256)
+        yield pa.RecordBatch.from_arrays([pa.array([seen.tobytes()], pa.binary())], ["n"])
 
     lists = counts.filter("kind = 1").select("c", "k")
+    seen = _summed(lists.mapInArrow(levels, "n binary"), ["n"], np.int64) or [np.zeros(256, np.int64)]
+    above = seen[0][::-1].cumsum()[::-1]  # words of a level or more
+    least = int((above > OWN_MOST).sum())
     top = lists.mapInArrow(words, "key long, c long").orderBy(F.desc("c"), "key").limit(OWN).collect()
     packed = lists.mapInArrow(frequent, "k binary, c binary").collect()
     keys = np.concatenate([np.array([r["key"] for r in top], np.int64), *(np.frombuffer(r["k"], np.int64) for r in packed)])
@@ -389,7 +419,7 @@ def score(docs: DataFrame, held_out) -> DataFrame:
                 if c != chunk:
                     chunk, held_counts = c, []
                 if b < 1 << 30:
-                    held_counts.append(np.frombuffer(batch.column(2)[r].as_py(), "<u4"))
+                    held_counts.append(np.frombuffer(batch.column(2)[r].as_py(), "<u8"))
                     continue
                 ids, held, n, numbers, keys, null = _arrays(batch, r, names)
                 count = np.concatenate(held_counts).astype(np.float64)

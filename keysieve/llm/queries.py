@@ -18,7 +18,7 @@ def vocabulary(name: str) -> str:
 
 def op1_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir).select("doc_id", "text", "lang")
-    held = F.crc32(F.col("doc_id").cast("string")) % 5 == 0
+    held = F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 5 == 0, F.lit(False))
     model = language_id.fit(language_id.sample(docs.filter(~held), "text", "lang", "doc_id"))
     named = language_id.predict(docs.select("doc_id", held.alias("held_out"), "text"), model)
     return named.select("doc_id", "held_out", "lang_pred", "score")

@@ -211,6 +211,49 @@ def test_forward_recursion_is_exact():
     assert abs(one[3].sum() - counts.sum()) < 1e-6 and abs(one[0].sum() - len(counts)) < 1e-6
 
 
+def test_expected_counts_equal_a_plain_forward_backward():
+    rng = np.random.default_rng(8)
+    k, counts = 3, np.array([4, 1, 7, 2])
+    model = hidden_markov.Model(np.arange(5, dtype=np.uint64), np.ones(5, np.int64), np.zeros(hidden_markov.SHARED, np.int64), np.zeros(hidden_markov.SHARED, np.int64), 5, 5)
+    model.set(rng.random(k), rng.random(k), rng.random((k, k)), rng.random((k, model.n)))
+    cls, starts = rng.integers(0, 5, counts.sum()), counts.cumsum() - counts
+    start, move, emit, logs = np.zeros(k), np.zeros((k, k)), np.zeros((k, model.n)), 0.0
+    for s, c in zip(starts, counts, strict=True):
+        x = cls[s : s + c]
+        f, b = np.zeros((c, k)), np.ones((c, k))
+        f[0] = model.start * model.emit[x[0]]
+        for t in range(1, c):
+            f[t] = (f[t - 1] @ model.move) * model.emit[x[t]]
+        for t in range(c - 2, -1, -1):
+            b[t] = model.move @ (model.emit[x[t + 1]] * b[t + 1])
+        total = f[-1].sum()
+        logs += np.log10(total)
+        start += f[0] * b[0] / total
+        for t in range(c):
+            emit[:, x[t]] += f[t] * b[t] / total
+            if t:
+                move += np.outer(f[t - 1], model.emit[x[t]] * b[t]) * model.move / total
+    got = hidden_markov.expected(model, cls, starts, counts)
+    assert all(np.allclose(g, w) for g, w in ((got[0], start), (got[2], move), (got[3], emit), (got[4], [logs])))
+
+
+def test_counts_beyond_32_bits(spark):
+    word = np.array([77], "<u8")
+    rows = [(i, bytearray(word.tobytes()), bytearray(np.array([2**32 - 1], "<u4").tobytes())) for i in range(3)]
+    counts = hidden_markov.word_counts(spark.createDataFrame(rows, "chunk long, keys binary, train binary"), 2)
+    assert {int(np.frombuffer(r.c, "<u8")[0]) for r in counts.filter("kind = 0").collect()} == {3 * (2**32 - 1)}
+    assert hidden_markov.word_classes(counts).tokens == 3 * (2**32 - 1)
+
+
+def test_own_classes_are_bounded(spark, monkeypatch):
+    rows = spark.createDataFrame([(i, " ".join(f"w{j}" for j in range(40) if j % 4 or i < 100)) for i in range(400)], "doc_id long, text string")
+    counts = hidden_markov.word_counts(hidden_markov.chunks(rows, F.lit(False)), 2)
+    monkeypatch.setattr(hidden_markov, "OWN", 4)
+    assert len(hidden_markov.word_classes(counts).own) == 41
+    monkeypatch.setattr(hidden_markov, "OWN_MOST", 35)
+    assert len(hidden_markov.word_classes(counts).own) == 31
+
+
 def test_states_are_trained_on_all_texts_until_they_settle(spark):
     H = hidden_markov
     texts = [prose(60) for _ in range(900)]
