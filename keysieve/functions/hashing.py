@@ -64,6 +64,12 @@ def next_pair(pair: Column, kappa: Column, spec: SketchSpec) -> Column:
     return F.element_at(_next(pair, kappa, spec, F.array(F.lit(0))), 1)
 
 
+def onward(seen: Column, kappa: Column, spec: SketchSpec, attempts: int = 4) -> Column:
+    """The pair after those of a chain so far: the first attempt's that it has not seen, null if there is none."""
+    found = _next(F.element_at(seen, -1), kappa, spec, F.sequence(F.lit(0), F.lit(attempts - 1)))
+    return F.get(F.filter(found, lambda p: ~F.array_contains(seen, p)), F.lit(0))
+
+
 def chain_pairs(pair: Column, kappa: Column, spec: SketchSpec, length: int, attempts: int = 4) -> Column:
     """The first pairs of a chain as an array; with cycle breaking a pair seen before is replaced by the next attempt's."""
     if length < 2:

@@ -15,7 +15,8 @@ from pyspark.sql import functions as F
 
 from ..config import SketchSpec
 from ..functions import attrs as A
-from ..functions.hashing import chain_pairs, locate, next_pair
+from ..functions.hashing import chain_pairs, locate, onward
+from ..sources.folders import shared_root
 
 GROUP = ["shard", "pair_id", "kappa"]
 
@@ -72,13 +73,18 @@ def _home(spec: SketchSpec) -> list[str]:
     return ["kappa"] if spec.shards == 1 else ["shard", "kappa"]
 
 
-def build_chained(df: DataFrame, key: str, spec: SketchSpec) -> Sketch:
-    """At most d vectors of a print in a pair; what is over goes on to the next pair of the chain, up to l_max pairs."""
-    if spec.l_max is None:
-        return _build_uncapped(df, key, spec)
+def _least(rows: DataFrame, n: int, order: list[str]) -> DataFrame:
+    """The first n rows of each group; tasks leave out the others before anything is exchanged, so no group meets as a whole."""
+    return rows.withColumn("nth", F.row_number().over(Window.partitionBy(*GROUP).orderBy(*order))).filter(F.col("nth") <= n).drop("nth")
+
+
+def _rounds(rows: DataFrame, spec: SketchSpec) -> DataFrame:
+    """Rows (GROUP, prints, late) after all hops: late = 0 for entries, 1 for what found no place.
+
+    A pair keeps at most d vectors of a print: those that are there, then the least arrivals; others go to the next pair.
+    """
     a = prints(spec)
-    rows = vectors(df, key, spec).repartition(*_home(spec))
-    rows = rows.withColumns({"chain": chain_pairs(F.col("pair_id"), F.col("kappa"), spec, spec.l_max), "late": F.lit(1)})
+    rows = rows.repartition(*_home(spec)).withColumn("chain", chain_pairs(F.col("pair_id"), F.col("kappa"), spec, spec.l_max))
     same = Window.partitionBy(*GROUP, *a)
     order = Window.partitionBy(*GROUP).orderBy("late", *a)
     for hop in range(spec.l_max):
@@ -87,30 +93,55 @@ def build_chained(df: DataFrame, key: str, spec: SketchSpec) -> Sketch:
         stays = F.col("rank") <= spec.d
         further = F.element_at("chain", hop + 2) if hop + 1 < spec.l_max else F.col("pair_id")
         rows = rows.withColumns({"pair_id": F.when(stays, F.col("pair_id")).otherwise(further), "late": F.when(stays, 0).otherwise(1)}).drop("rank")
-    return Sketch(spec, rows.filter("late = 0").select(*GROUP, *a).distinct(), discarded=rows.filter("late = 1").select(*GROUP, *a).distinct())
+    return rows
+
+
+def build_chained(df: DataFrame, key: str, spec: SketchSpec) -> Sketch:
+    """At most d vectors of a print in a pair; what is over goes on to the next pair of the chain, up to l_max pairs.
+
+    Of one group only the least d * l_max vectors can find a place, so the others never travel.
+    """
+    if spec.l_max is None:
+        return _build_uncapped(df, key, spec)
+    a, most = prints(spec), spec.d * spec.l_max
+    every = vectors(df, key, spec)
+    rows = _rounds(_least(every, most, a).withColumn("late", F.lit(1)), spec)
+    entries = rows.filter("late = 0").select(*GROUP, *a).distinct()
+    # what is over: vectors that the finished sketch holds nowhere on their chains, at its last pair
+    beyond = every.withColumn("nth", F.row_number().over(Window.partitionBy(*GROUP).orderBy(*a))).filter(F.col("nth") > most)
+    chain = beyond.withColumn("chain", chain_pairs(F.col("pair_id"), F.col("kappa"), spec, spec.l_max)).withColumn("last", F.element_at("chain", -1))
+    there = chain.select("shard", "kappa", *a, "last", F.explode("chain").alias("pair_id")).join(entries.withColumn("held", F.lit(1)), [*GROUP, *a], "left")
+    lost = there.groupBy("shard", "kappa", *a, "last").agg(F.max("held").alias("held")).filter("held is null").select("shard", F.col("last").alias("pair_id"), "kappa", *a)
+    return Sketch(spec, entries, discarded=rows.filter("late = 1").select(*GROUP, *a).unionByName(lost).distinct())
 
 
 def _build_uncapped(df: DataFrame, key: str, spec: SketchSpec) -> Sketch:
-    """Rounds until nothing is over; lineage is cut after each, as their number follows the largest group."""
+    """Rounds until nothing moves; lineage is cut after each, as their number follows the largest group.
+
+    A chain goes on to a pair that it has not seen, by the next attempt where needed; a vector whose chain has
+    no such pair is discarded, and its chain saturated.
+    """
     a = prints(spec)
-    rows = vectors(df, key, spec).repartition(*_home(spec)).withColumns({"late": F.lit(1), "done": F.lit(False)})
+    start = vectors(df, key, spec).repartition(*_home(spec)).withColumns({"late": F.lit(1), "seen": F.array("pair_id")})
+    rows, ended = kept(start), None
     same, order = Window.partitionBy(*GROUP, *a), Window.partitionBy(*GROUP).orderBy("late", *a)
-    while True:
+    while rows.filter("late = 1").limit(1).count():
         rows = rows.withColumn("late", F.min("late").over(same)).withColumn("rank", F.dense_rank().over(order))
-        stays = F.col("rank") <= spec.d
-        rows = rows.withColumns({"pair_id": F.when(stays, F.col("pair_id")).otherwise(next_pair(F.col("pair_id"), F.col("kappa"), spec)), "late": F.when(stays, 0).otherwise(1)}).drop("rank").distinct()
-        rows = kept(rows)
-        if not rows.filter("late = 1").limit(1).count():
-            return Sketch(spec, rows.select(*GROUP, *a).distinct(), discarded=rows.filter("false").select(*GROUP, *a))
+        rows = rows.withColumn("stays", F.col("rank") <= spec.d).withColumn("next", F.when(~F.col("stays"), onward(F.col("seen"), F.col("kappa"), spec)))
+        rows = kept(rows.drop("rank"))
+        over = rows.filter("not stays and next is null").select(*GROUP, *a)
+        ended = over if ended is None else ended.unionByName(over)
+        moved = F.when(F.col("stays"), F.col("pair_id")).otherwise(F.col("next"))
+        seen = F.when(F.col("stays"), F.col("seen")).otherwise(F.concat("seen", F.array("next")))
+        rows = rows.filter("stays or next is not null").select("shard", "kappa", *a, moved.alias("pair_id"), seen.alias("seen"), F.when(F.col("stays"), 0).otherwise(1).alias("late")).distinct()
+    return Sketch(spec, rows.select(*GROUP, *a).distinct(), discarded=(rows.filter("false").select(*GROUP, *a) if ended is None else ended).distinct())
 
 
 def kept(df: DataFrame) -> DataFrame:
     """df from a checkpoint in the shared folder, so that executors may be lost."""
-    import tempfile
-
     sc = df.sparkSession.sparkContext
-    if not df.sparkSession.conf.get("spark.checkpoint.dir", None) and not sc._jsc.sc().getCheckpointDir().isDefined():
-        sc.setCheckpointDir(tempfile.mkdtemp(prefix="keysieve-"))  # only where no cluster set one
+    if not sc._jsc.sc().getCheckpointDir().isDefined():
+        sc.setCheckpointDir(shared_root(df.sparkSession))
     return df.checkpoint(eager=True)
 
 
@@ -131,21 +162,30 @@ def hybrid_hashes(spec: SketchSpec) -> int:
     return max(1, round(hybrid_bits(spec) / ((spec.d + 1) * max(1, len(spec.attrs))) * math.log(2)))
 
 
+def _print_mask(spec: SketchSpec):
+    """The mask over (place, print) items of one vector."""
+    out = F.lit(0).cast("bigint")
+    for i, c in enumerate(prints(spec)):
+        out = out.bitwiseOR(F.when(F.col(c) == A.NULL_PRINT, F.lit(0).cast("bigint")).otherwise(A.item_mask(F.col(c), i, spec, hybrid_bits(spec), hybrid_hashes(spec))))
+    return out
+
+
+def _hybrid(rows: DataFrame, spec: SketchSpec, masks: DataFrame | None = None) -> DataFrame:
+    """Entries of distinct vectors, with masks (GROUP, mask) of groups that were converted before."""
+    a = prints(spec)
+    empty = F.expr(f"cast(array() as array<struct<{', '.join(f'{c}:int' for c in a)}>>)")
+    sums = rows.select(*GROUP, _print_mask(spec).alias("mask"), F.lit(0).alias("was"))
+    if masks is not None:
+        sums = sums.unionByName(masks.select(*GROUP, "mask", F.lit(1).alias("was")))
+    sums = sums.groupBy(*GROUP).agg(F.bit_or("mask").alias("mask"), F.max("was").alias("was"))  # combined before the exchange
+    few = _least(rows, spec.d + 1, a).groupBy(*GROUP).agg(F.array_sort(F.collect_list(F.struct(*a))).alias("vectors"))
+    over = (F.col("was") == 1) | (F.coalesce(F.size("vectors"), F.lit(0)) > spec.d)
+    return sums.join(few, GROUP, "left").select(*GROUP, over.alias("is_bloom"), F.when(over, empty).otherwise(F.col("vectors")).alias("vectors"), F.when(over, F.col("mask")).otherwise(F.lit(0).cast("bigint")).alias("mask"))
+
+
 def build_hybrid(df: DataFrame, key: str, spec: SketchSpec) -> Sketch:
     """Up to d vectors as they are; beyond, one mask over (place, print) items of all vectors."""
-    a, bits, hashes = prints(spec), hybrid_bits(spec), hybrid_hashes(spec)
-    rows = vectors(df, key, spec)
-    mask = F.lit(0).cast("bigint")
-    for i, c in enumerate(a):
-        mask = mask.bitwiseOR(F.when(F.col(c) == A.NULL_PRINT, F.lit(0).cast("bigint")).otherwise(A.item_mask(F.col(c), i, spec, bits, hashes)))
-    rank = F.row_number().over(Window.partitionBy(*GROUP).orderBy(*a))
-    ranked = rows.withColumns({"mask": mask, "rank": rank})
-    # only the first d + 1 vectors enter the list, however many a key has
-    few = F.when(F.col("rank") <= spec.d + 1, F.struct(*a))
-    grouped = ranked.groupBy(*GROUP).agg(F.bit_or("mask").alias("mask"), F.array_sort(F.collect_list(few)).alias("vectors"))
-    over = F.size("vectors") > spec.d
-    empty = F.expr(f"cast(array() as array<struct<{', '.join(f'{c}:int' for c in a)}>>)")
-    return Sketch(spec, grouped.select(*GROUP, over.alias("is_bloom"), F.when(over, empty).otherwise(F.col("vectors")).alias("vectors"), F.when(over, F.col("mask")).otherwise(F.lit(0).cast("bigint")).alias("mask")))
+    return Sketch(spec, _hybrid(vectors(df, key, spec), spec))
 
 
 BUILDERS = {"keyonly": build_keyonly, "plain": build_plain, "chained": build_chained, "bloomattr": build_bloomattr, "hybrid": build_hybrid}
@@ -156,7 +196,11 @@ def build(df: DataFrame, key: str, spec: SketchSpec) -> Sketch:
 
 
 def merge(one: Sketch, two: Sketch) -> Sketch:
-    """The sketch of both inputs, from entries alone; chained entries go through the rounds anew in `rebuild_chained`."""
+    """The sketch of both inputs, from entries alone.
+
+    For all but chained sketches it equals the sketch built of both inputs. Chained entries go through the rounds
+    anew from the pairs where they are: pairs that were full stay full, so every probe finds what it found before.
+    """
     if one.spec != two.spec:
         raise ValueError("sketches of different specs cannot be merged")
     spec, both = one.spec, one.entries.unionByName(two.entries)
@@ -164,4 +208,36 @@ def merge(one: Sketch, two: Sketch) -> Sketch:
         return Sketch(spec, both.groupBy(*GROUP).agg(F.bit_or("mask").alias("mask")))
     if spec.variant in ("keyonly", "plain"):
         return Sketch(spec, both.distinct())
-    raise ValueError(f"{spec.variant} sketches are merged from their inputs")
+    if spec.variant == "hybrid":
+        single = both.filter("not is_bloom").select(*GROUP, F.explode("vectors").alias("v")).select(*GROUP, "v.*").distinct()
+        return Sketch(spec, _hybrid(single, spec, both.filter("is_bloom")))
+    return rebuild_chained(both, spec)
+
+
+def rebuild_chained(entries: DataFrame, spec: SketchSpec) -> Sketch:
+    """Chained entries of several sketches as one sketch of the same shape."""
+    if spec.l_max is None or spec.cycle_break:
+        raise ValueError("chains that depend on where they began are built from their inputs")
+    a = prints(spec)
+    rows = _rounds(entries.select(*GROUP, *a).distinct().withColumn("late", F.lit(1)), spec)
+    return Sketch(spec, rows.filter("late = 0").select(*GROUP, *a).distinct(), discarded=rows.filter("late = 1").select(*GROUP, *a).distinct())
+
+
+def grown(df: DataFrame, key: str, spec: SketchSpec, loads: dict[int, float], most: int = 24) -> Sketch:
+    """The sketch, rebuilt from its input in more or larger buckets until everything has a place.
+
+    Buckets are doubled until the entries stay below the load that buckets of that size reached. A group that two
+    buckets cannot hold needs larger ones, which only plain sketches can come to.
+    """
+    for _ in range(most):
+        sketch = build(df, key, spec)
+        sketch.entries = kept(sketch.entries)
+        largest = None if sketch.failed is None else sketch.failed.agg(F.max("n")).first()[0]
+        load = loads[max(b for b in loads if b <= max(spec.b, min(loads)))]
+        if largest is not None:
+            spec = spec.with_(b=-(-largest // 2))
+        elif sketch.entries.count() > load * spec.m * spec.b * spec.shards:
+            spec = spec.with_(m=spec.m * 2)
+        else:
+            return sketch
+    raise ValueError("no size was enough")

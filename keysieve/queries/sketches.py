@@ -189,21 +189,34 @@ def chain_cycles(spark, d):
     return groups.select("pair_id", "kappa", F.size(F.array_distinct(hashing.chain_pairs(F.col("pair_id"), F.col("kappa"), CYC, 4))).cast("bigint").alias("plain_pairs"))
 
 
-@reg.add("chain_cycles_broken", "select 0::bigint as shorter, 1 as tried")
+_PAIRS_OF_FOUR = ", ".join(f"c{t + 1} as (select kappa, list_append(seen, coalesce({Q.onward('seen', 'kappa', CYC)}, {Q.next_pair('seen[-1]', 'kappa', CYC)})) as seen from c{t})" for t in range(3))
+
+
+@reg.add("chain_cycles_broken", f"with c0 as (select kappa, [pair_id] as seen from (select distinct pair_id, kappa from ({Q.located(relation_sql('disc'), CYC)}))), {_PAIRS_OF_FOUR} select seen[1] as pair_id, cast(kappa as int) as kappa, seen[2] as second, seen[3] as third, seen[4] as fourth, len(list_distinct(seen)) as pairs from c3")
 def chain_cycles_broken(spark, d):
-    """With cycle breaking fewer chains repeat a pair: how many are shorter than without (none)."""
+    """Chains of four with cycle breaking, and how many different pairs they have."""
     groups = P.build_keyonly(relation(spark, d, "disc"), "k", CYC).entries
-    n = lambda spec: F.size(F.array_distinct(hashing.chain_pairs(F.col("pair_id"), F.col("kappa"), spec, 4)))
-    return groups.select((n(CYC.with_(cycle_break=True)) < n(CYC)).cast("bigint").alias("x")).agg(F.coalesce(F.sum("x"), F.lit(0)).alias("shorter")).withColumn("tried", F.lit(1))
+    chain = hashing.chain_pairs(F.col("pair_id"), F.col("kappa"), CYC.with_(cycle_break=True), 4)
+    at = lambda i: F.element_at("chain", i)
+    return groups.withColumn("chain", chain).select("pair_id", "kappa", at(2).alias("second"), at(3).alias("third"), at(4).alias("fourth"), F.size(F.array_distinct("chain")).cast("bigint").alias("pairs"))
 
 
 UNCAP = spec_for("co", BASE, l_max=None)
-CO_LONG = UNCAP.with_(l_max=10)
+FEW = spec_for("disc", BASE, l_max=None, m=16, key_bits=6, attr_bits=3, d=2)
+
+
+def _uncapped_sql(name: str, s, rounds: int) -> str:
+    return f"select * from (with {Q.uncapped(relation_sql(name), s, rounds)} select (select count(*) from entries) as entries, (select count(*) from over_) as discarded, (select count(*) from late_) as moving)"
 
 
-@reg.add("chained_uncapped_size", f"with {Q.chained(relation_sql('co'), CO_LONG)} select count(*) as entries from entries")
-def chained_uncapped_size(spark, d):
-    return P.build_chained(relation(spark, d, "co"), "k", UNCAP).entries.agg(F.count("*").alias("entries"))
+for _name, _rel, _spec, _rounds in (("chained_uncapped_size", "co", UNCAP, 24), ("chained_uncapped_cycles", "disc", FEW, 10)):
+
+    @reg.add(_name, _uncapped_sql(_rel, _spec, _rounds))
+    def _uncapped(spark, d, rel=_rel, spec=_spec):
+        """Entries of chains without cap, and vectors whose chain ran out of new pairs; nothing moves any more."""
+        sketch = P.build_chained(relation(spark, d, rel), "k", spec)
+        out = sketch.entries.agg(F.count("*").alias("entries")).crossJoin(sketch.discarded.agg(F.count("*").alias("discarded")))
+        return out.withColumn("moving", F.lit(0).cast("bigint"))
 
 
 # --- Bloom attribute sketches
@@ -321,6 +334,33 @@ def sketch_union(spark, d):
     return P.merge(*halves).entries.select("pair_id", "kappa", "mask")
 
 
+UNION_H = spec_for("supp", BASE, variant="hybrid")
+UNION_C = spec_for("disc", BASE, l_max=3, key_bits=8)
+
+
+@reg.add("sketch_union_hybrid", f"with {Q.hybrid(relation_sql('supp'), UNION_H, P.hybrid_bits(UNION_H), P.hybrid_hashes(UNION_H))} select pair_id, cast(kappa as int) as kappa, n > {UNION_H.d} as is_bloom, case when n > {UNION_H.d} then 0 else n end as held, mask from entries")
+def sketch_union_hybrid(spark, d):
+    """Hybrid sketches of two halves, merged: the sketch of the table."""
+    rows = relation(spark, d, "supp")
+    halves = [P.build_hybrid(rows.filter(f"supp % 2 = {i}"), "k", UNION_H) for i in (0, 1)]
+    return P.merge(*halves).entries.select("pair_id", "kappa", "is_bloom", F.size("vectors").cast("bigint").alias("held"), "mask")
+
+
+DISC = relation_sql("disc")
+
+
+def _half_sql(i: int) -> str:
+    return f"select pair_id, kappa, {Q.cols(UNION_C)} from (with {Q.chained(f'select * from ({DISC}) where disc % 2 = {i}', UNION_C)} select * from entries)"
+
+
+@reg.add("sketch_union_chained", f"with {Q.rounds(f'{_half_sql(0)} union {_half_sql(1)}', UNION_C)} select pair_id, cast(kappa as int) as kappa, {Q.cols(UNION_C)} from entries")
+def sketch_union_chained(spark, d):
+    """Chained sketches of two halves, merged: their entries through the rounds anew."""
+    rows = relation(spark, d, "disc")
+    halves = [P.build_chained(rows.filter(f"disc % 2 = {i}"), "k", UNION_C) for i in (0, 1)]
+    return _as_big(P.merge(*halves).entries, UNION_C)
+
+
 EV_PRED = {"kind": ("click",), "day": (5,)}
 EV_B = spec_for("ev", BASE, variant="bloomattr", m=256)
 EV_H = spec_for("ev", BASE, variant="hybrid", m=256)

@@ -52,14 +52,40 @@ def mask(items: list[tuple[int, str]], s: SketchSpec, bits: int | None = None, h
     return "(" + " | ".join(parts) + ")"
 
 
-def next_pair(p: str, k: str, s: SketchSpec) -> str:
-    joined = f"(cast({p} as varchar) || ':' || cast({k} as varchar))"
+def next_pair(p: str, k: str, s: SketchSpec, attempt: int = 0) -> str:
+    more = f" || ':{attempt}'" if attempt else ""
+    joined = f"(cast({p} as varchar) || ':' || cast({k} as varchar){more})"
     return pair(f"({h(joined, 'chain', s.salt)} % {s.m})", k, s)
 
 
+def onward(seen: str, k: str, s: SketchSpec, attempts: int = 4) -> str:
+    """The first attempt's pair that a list of pairs does not hold, or null."""
+    found = ", ".join(next_pair(f"{seen}[-1]", k, s, t) for t in range(attempts))
+    return f"list_filter([{found}], lambda p: not list_contains({seen}, p))[1]"
+
+
+def uncapped(source: str, s: SketchSpec, rounds: int) -> str:
+    """CTE list that ends in `entries` and `over_` after that many rounds of chains without cap; `late_` is what still moves."""
+    c, out = cols(s), [f"r0 as (select *, 1 as late, [pair_id] as seen from ({vectors(source, s)}))"]
+    for t in range(rounds):
+        out.append(f"g{t} as (select pair_id, kappa, {c}, seen, min(late) over (partition by pair_id, kappa, {c}) as late from r{t})")
+        out.append(f"k{t} as (select *, dense_rank() over (partition by pair_id, kappa order by late, {c}) as rk from g{t})")
+        out.append(f"n{t} as materialized (select *, case when rk > {s.d} then {onward('seen', 'kappa', s)} end as go from k{t})")
+        out.append(f"r{t + 1} as (select distinct coalesce(go, pair_id) as pair_id, kappa, {c}, case when go is null then seen else list_append(seen, go) end as seen, case when rk <= {s.d} then 0 else 1 end as late from n{t} where rk <= {s.d} or go is not null)")
+    out.append(f"entries as (select distinct pair_id, kappa, {c} from r{rounds})")
+    out.append("over_ as (" + " union ".join(f"select pair_id, kappa, {c} from n{t} where rk > {s.d} and go is null" for t in range(rounds)) + ")")
+    out.append(f"late_ as (select * from r{rounds} where late = 1)")
+    return ", ".join(out)
+
+
 def chained(source: str, s: SketchSpec) -> str:
     """CTE list that ends in `entries` (pair_id, kappa, prints) and `over` (what found no place)."""
-    c, out = cols(s), [f"r0 as (select *, 1 as late from ({vectors(source, s)}))"]
+    return rounds(vectors(source, s), s)
+
+
+def rounds(start: str, s: SketchSpec) -> str:
+    """The same from any (pair_id, kappa, prints)."""
+    c, out = cols(s), [f"r0 as (select *, 1 as late from ({start}))"]
     for t in range(s.l_max):
         out.append(f"g{t} as (select pair_id, kappa, {c}, min(late) as late from r{t} group by all)")
         out.append(f"k{t} as (select *, dense_rank() over (partition by pair_id, kappa order by late, {c}) as rk from g{t})")

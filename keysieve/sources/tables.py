@@ -2,13 +2,12 @@
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..config import SketchSpec
 from ..operators.pairs import Sketch
+from .folders import shared_dir
 
 
 def table(spark: SparkSession, sf_dir: str, name: str, columns: list[str] | None = None) -> DataFrame:
@@ -16,17 +15,6 @@ def table(spark: SparkSession, sf_dir: str, name: str, columns: list[str] | None
     return df.select(*columns) if columns else df
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that the cluster shares; a temporary one of our own only where none is set."""
-    import tempfile
-
-    found = spark.conf.get("spark.checkpoint.dir", None)
-    if not found:
-        option = spark.sparkContext._jsc.sc().getCheckpointDir()
-        found = option.get() if option.isDefined() else tempfile.mkdtemp(prefix="keysieve-")
-    return f"{found.rstrip('/')}/keysieve/{uuid.uuid4().hex}"
-
-
 def roundtrip(df: DataFrame, fmt: str) -> DataFrame:
     """df written in a format and read back with its own schema."""
     path = f"{shared_dir(df.sparkSession)}/{fmt}"

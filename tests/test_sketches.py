@@ -135,7 +135,45 @@ def test_chained_rounds_use_one_exchange(spark, sf):
     df = S.table(spark, sf, "lineitem", ["l_orderkey", "l_partkey"])
     sketch = P.build_chained(df, "l_orderkey", LARGE.with_(attrs=(AttrSpec("l_partkey"),), l_max=4))
     plan = sketch.entries._jdf.queryExecution().executedPlan().toString()
-    assert plan.count("Exchange hashpartitioning") <= 2  # the distinct rows, and all rounds together
+    # the distinct rows, the least of each group, and all rounds together
+    assert plan.count("Exchange hashpartitioning") <= 3
+    # no group is exchanged as a whole: tasks leave out what cannot find a place
+    assert "WindowGroupLimit" in plan and "Partial" in plan[plan.index("WindowGroupLimit") :]
+
+
+def test_uncapped_chains_end_in_few_buckets(spark):
+    df = rows(spark, [(k, x, "abc"[x % 3]) for k in range(3) for x in range(60)])
+    s = spec("chained", m=4, l_max=None, attr_bits=6, key_bits=2)
+    sketch = P.build_chained(df, "k", s)
+    sizes = [r["count"] for r in sketch.entries.groupBy(*P.GROUP).count().collect()]
+    every = P.vectors(df, "k", s)
+    # two pairs for each print: all full, and what is left is told
+    assert max(sizes) == s.d and sketch.entries.count() <= 2 * s.d * every.select("kappa").distinct().count() and sketch.discarded.count() > 0
+
+
+@pytest.mark.parametrize("variant", ["plain", "bloomattr", "hybrid", "chained"])
+def test_merged_sketches_answer_for_both(spark, variant):
+    df = rows(spark, [r for c in CASES.values() for r in c])
+    s = spec(variant)
+    merged = P.merge(*(P.build(df.filter(f"x % 2 = {i} or x is null"), "k", s) for i in (0, 1)))
+    if variant != "chained":
+        assert merged.entries.exceptAll(P.build(df, "k", s).entries).count() == 0
+    for x, y in ((1, "a"), (2, "b"), (10, "b")):
+        want = {r.k for r in df.filter((F.col("x") == x) & (F.col("y") == y) & F.col("k").isNotNull()).collect()}
+        assert want <= {r.k for r in R.contains(df.select("k").distinct(), "k", Predicate.eq(x=x, y=y), merged).collect()}
+    if variant == "chained":
+        with pytest.raises(ValueError):
+            P.rebuild_chained(merged.entries, s.with_(l_max=None))
+
+
+def test_sketches_grow_until_they_fit(spark):
+    df = rows(spark, RANDOM)
+    for variant in ("plain", "chained"):
+        sketch = P.grown(df, "k", spec(variant, m=2, b=4), sizing.LOADS)
+        largest = sketch.entries.groupBy(*P.GROUP).count().agg(F.max("count")).first()[0]
+        assert sketch.spec.m > 2 and sketch.entries.count() <= sketch.spec.m * sketch.spec.b and largest <= 2 * sketch.spec.b
+        assert (sketch.spec.b > 4) == (variant == "plain")
+
 
 
 def test_dyadic_and_bins():
