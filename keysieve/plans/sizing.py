@@ -69,11 +69,21 @@ def choose(entries: int, spec: SketchSpec, loads: dict[int, float] = LOADS) -> S
     return spec.with_(m=m, b=b)
 
 
-def build_with_retry(build, spec: SketchSpec, most: int = 16):
-    """Builds with twice the buckets until nothing fails."""
-    for _ in range(most):
-        out = build(spec)
-        if out is not None:
-            return out
-        spec = spec.with_(m=spec.m * 2)
-    raise ValueError("no size was enough")
+def shape(per: DataFrame, spec: SketchSpec) -> SketchSpec:
+    """The spec in the least shape for the entries that the duplicates of keys (key, dupes) predict.
+
+    A plain sketch has to hold all vectors of the largest key in two buckets, whatever their load.
+    """
+    most = cap(spec)
+    used = F.col("dupes") if math.isinf(most) else F.least("dupes", F.lit(int(most)))
+    entries, largest = per.agg(F.sum(used), F.max("dupes")).first()
+    if not entries:
+        return spec.with_(m=2)
+    if spec.variant == "plain":
+        return choose(entries, spec, {max(min(LOADS), -(-largest // 2)): max(LOADS.values())})
+    return choose(entries, spec)
+
+
+def defaults(spec: SketchSpec) -> SketchSpec:
+    """The rule of thumb: buckets of twice as many slots as a pair may hold copies of one print."""
+    return spec.with_(b=2 * spec.d)

@@ -45,16 +45,66 @@ def star70_binned(spark, d):
 _made: dict = {}
 
 
-def _instances(spark, d, base):
+def _instances(spark, d, base, fitted=False):
     """The instances of a base, written once for a session and read by all summaries of them."""
-    key = (spark.sparkContext.applicationId, d, base)
+    key = (spark.sparkContext.applicationId, d, base, fitted)
     if key not in _made:
         path = f"{S.shared_dir(spark)}/instances"
-        star70.instances(spark, d, base).write.parquet(path)
+        star70.instances(spark, d, star70.sized(spark, d, base) if fitted else base).write.parquet(path)
         _made[key] = path
     return spark.read.parquet(_made[key])
 
 
+#: (variant, preset) -> base; every relation's sketch has the shape that its predicted entries need
+FITTED = {(v, n): base.with_(variant=v) for v in ("chained", "hybrid", "bloomattr", "plain") for n, base in (("large", BIG), ("small", LITTLE))}
+
+for (_v, _n), _base in FITTED.items():
+
+    @reg.add(f"star70_{_v}_{_n}", star70.instances_sql(_base, fitted=True))
+    def _of_variant(spark, d, base=_base):
+        return _instances(spark, d, base, fitted=True)
+
+
+def _shape_sql(v: str, n: str) -> str:
+    base = FITTED[v, n]
+    return " union all ".join(f"(select '{v}' as variant, '{n}' as preset, '{r}' as rel, m, b, entries, round(entries / (m * b), 6) as load, m * b * {bounds.entry_bits(s)} as bits from ({star70.shape_sql(r, s)}))" for r, s in star70.specs(base).items())
+
+
+@reg.add("star70_shapes", " union all ".join(_shape_sql(*k) for k in FITTED))
+def star70_shapes(spark, d):
+    """Buckets, slots, predicted load and size of every relation's sketch, by variant and preset; six aggregates for each come to the driver."""
+    from ..plans import sizing
+
+    out = []
+    for r in star70.ROLES:
+        keys = sizing.per_key(relation(spark, d, star70.fixture(r)), "k", list(FIXTURES[star70.fixture(r)][2])).cache()
+        for (v, n), base in FITTED.items():
+            s = sizing.shape(keys, star70.specs(base)[r])
+            most = sizing.cap(s)
+            entries = keys.agg(F.sum(F.col("dupes") if most == float("inf") else F.least("dupes", F.lit(int(most))))).first()[0]
+            out.append((v, n, r, s.m, s.b, entries, round(entries / (s.m * s.b), 6), bounds.size_bits(s)))
+        keys.unpersist()
+    return spark.createDataFrame(out, "variant string, preset string, rel string, m long, b long, entries long, load double, bits long")
+
+
+def _by_size_sql(v: str, n: str) -> str:
+    t = f"select sum(m_pred) as p, sum(m_exact) as e, sum(m_binned) as bi, sum(m_keyonly) as ko, sum(m_sketch) as sk from ({star70.instances_sql(FITTED[v, n], fitted=True)})"
+    return f"(select '{v}' as variant, '{n}' as preset, (select sum(bits) from ({_shape_sql(v, n)}))::bigint as bits, round(sk / p, 6) as rf_sketch, round(e / p, 6) as rf_exact, round(bi / p, 6) as rf_binned, round(ko / p, 6) as rf_keyonly, round((sk - e) / (p - e), 6) as fpr_exact, round((sk - bi) / (p - bi), 6) as fpr_binned from ({t}))"
+
+
+@reg.add("rf_by_variant_and_size", " union all ".join(_by_size_sql(*k) for k in FITTED))
+def rf_by_variant_and_size(spark, d):
+    """Pooled reduction factor and false positive rate of the seventy queries, by variant and total size of the sketches."""
+    out = None
+    for (v, n), base in FITTED.items():
+        t = _instances(spark, d, base, fitted=True).agg(*(F.sum(c).alias(c) for c in ("m_pred", *METHODS)))
+        rf = [F.round(F.col(m) / F.col("m_pred"), 6).alias(m.replace("m_", "rf_")) for m in ("m_sketch", "m_exact", "m_binned", "m_keyonly")]
+        fpr = [F.round((F.col("m_sketch") - F.col(e)) / (F.col("m_pred") - F.col(e)), 6).alias(e.replace("m_", "fpr_")) for e in ("m_exact", "m_binned")]
+        one = t.select(F.lit(v).alias("variant"), F.lit(n).alias("preset"), *rf, *fpr)
+        out = one if out is None else out.unionByName(one)
+    return out.join(star70_shapes(spark, d).groupBy("variant", "preset").agg(F.sum("bits").alias("bits")), ["variant", "preset"])
+
+
 METHODS = ["m_exact", "m_binned", "m_keyonly", "m_sketch"]
 
 

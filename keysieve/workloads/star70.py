@@ -81,46 +81,112 @@ def matching(spark, d):
     return out
 
 
-def live_groups(spark, d, base, roles=("orders", *SATELLITES)):
-    """(rel, q, pair_id, kappa): groups that a relation's chained sketch leaves under each query's literals."""
+ROLES = ("orders", *SATELLITES)
+
+
+def fixture(role: str) -> str:
+    return "hdr" if role == "orders" else role
+
+
+def specs(base) -> dict:
+    """The spec of every relation's sketch in a base's variant and widths."""
+    from .fixtures import spec_for
+
+    return {r: spec_for(fixture(r), base, small_values=True) for r in ROLES}
+
+
+def sized(spark, d, base) -> dict:
+    """The same with the least shape for the entries that each relation's duplicates predict."""
+    from ..plans import sizing
+    from .fixtures import FIXTURES, relation
+
+    out = {}
+    for role, spec in specs(base).items():
+        keys = sizing.per_key(relation(spark, d, fixture(role)), "k", list(FIXTURES[fixture(role)][2]))
+        out[role] = sizing.shape(keys, spec)
+    return out
+
+
+def _wanted(spark, d, role, spec):
+    """Parts of (q, codes c_i, mask w) of a relation's literals, each with the places that have a code."""
     from pyspark.sql import functions as F
 
-    from ..functions.attrs import attr_print
-    from ..operators.pairs import build_chained
-    from ..operators.probe import close
-    from .fixtures import relation, spec_for
+    from ..functions.attrs import attr_print, item_mask
+    from ..operators.pairs import hybrid_bits, hybrid_hashes
 
     lit, lits = _literals(spark, d)
+    if role == "orders":
+        bins = F.explode(F.sequence(F.floor(F.coalesce("lo", F.lit(0)) / 5), F.floor(F.coalesce("hi", F.lit(79)) / 5)))
+        values = lit.select("q", F.col("status").alias("v0"), bins.alias("v1")).withColumn("v1", F.col("v1").cast("bigint"))
+        parts = [(values, (0, 1))]
+    elif role == "supp":
+        values = lits[role].select("q", F.col("w_supp").alias("v0"), F.col("w_lstatus").alias("v1"))
+        parts = [(values.filter("v0 is null"), (1,)), (values.filter("v0 is not null"), (0, 1))]
+    else:
+        parts = [(lits[role].select("q", F.col(f"w_{ATTRS[role][0]}").alias("v0")), (0,))]
+    out = []
+    for values, places in parts:
+        code = {i: attr_print(F.col(f"v{i}"), i, spec, spec.attrs[i]) for i in places}
+        mask = F.lit(0).cast("bigint")
+        for i in places:
+            mask = mask.bitwiseOR(item_mask(code[i], i, spec, hybrid_bits(spec), hybrid_hashes(spec)) if spec.variant == "hybrid" else item_mask(F.col(f"v{i}"), i, spec))
+        out.append((values.select("q", *(c.alias(f"c{i}") for i, c in code.items()), mask.alias("w")), places))
+    return out
+
+
+def live_groups(spark, d, chosen: dict):
+    """(rel, q, pair_id, kappa): groups that a relation's sketch leaves under each query's literals.
+
+    Vectors meet the literals by their codes; masks are compared with the literals of the query set one by one.
+    """
+    from pyspark.sql import functions as F
+
+    from ..operators import pairs as P
+    from ..operators.probe import close
+    from .fixtures import relation
+
     out = None
-    for role in roles:
-        name = "hdr" if role == "orders" else role
-        spec = spec_for(name, base, small_values=True, variant="chained")
-        closed = close(build_chained(relation(spark, d, name), "k", spec))
-        rows = closed.select("pair_id", "kappa", "saturated", F.explode("payloads").alias("p"))
-        if role == "orders":
-            bins = F.explode(F.sequence(F.floor(F.coalesce("lo", F.lit(0)) / 5), F.floor(F.coalesce("hi", F.lit(79)) / 5)))
-            want = lit.select("q", F.col("status").alias("w0"), bins.alias("w1"))
-            on = (F.col("p.a_0") == F.col("c0")) & (F.col("p.a_1") == F.col("c1"))
-            want = want.select("q", attr_print(F.col("w0"), 0, spec, spec.attrs[0]).alias("c0"), attr_print(F.col("w1").cast("bigint"), 1, spec, spec.attrs[1]).alias("c1"))
+    for role, spec in chosen.items():
+        sketch = P.build(relation(spark, d, fixture(role)), "k", spec)
+        wanted = _wanted(spark, d, role, spec)
+        coded = masked = always = None
+        if spec.variant == "chained":
+            closed = close(sketch)
+            coded = closed.select("pair_id", "kappa", F.explode("payloads").alias("p")).select("pair_id", "kappa", "p.*")
+            always = closed.filter("saturated").select("pair_id", "kappa")
+        elif spec.variant == "hybrid":
+            coded = sketch.entries.filter("not is_bloom").select("pair_id", "kappa", F.explode("vectors").alias("p")).select("pair_id", "kappa", "p.*")
+            masked = sketch.entries.filter("is_bloom")
+        elif spec.variant == "plain":
+            coded = sketch.entries
         else:
-            cols = [attr_print(F.col(f"w_{a}"), i, spec, spec.attrs[i]).alias(f"c{i}") for i, a in enumerate(ATTRS[role])]
-            want = lits[role].select("q", *cols, *([F.col("w_supp").isNull().alias("any0")] if role == "supp" else []))
-            on = F.col("p.a_0") == F.col("c0")
-            if role == "supp":
-                on = (F.col("any0") | on) & (F.col("p.a_1") == F.col("c1"))
-        hit = rows.join(F.broadcast(want), F.col("saturated") | on).select(F.lit(role).alias("rel"), "q", "pair_id", "kappa").distinct()
-        out = hit if out is None else out.unionByName(hit)
-    return out
+            masked = sketch.entries
+        found = []
+        for want, places in wanted:
+            want = F.broadcast(want)
+            if coded is not None:
+                found.append(coded.join(want, [F.col(f"a_{i}") == F.col(f"c{i}") for i in places]).select("q", "pair_id", "kappa"))
+            if masked is not None:
+                found.append(masked.join(want, F.col("mask").bitwiseAND(F.col("w")) == F.col("w")).select("q", "pair_id", "kappa"))
+            if always is not None:
+                found.append(always.crossJoin(want.select("q").distinct()).select("q", "pair_id", "kappa"))
+        for one in found:
+            one = one.select(F.lit(role).alias("rel"), "q", "pair_id", "kappa")
+            out = one if out is None else out.unionByName(one)
+    return out.distinct()
 
 
 def instances(spark, d, base=None):
-    """One row for each (query, relation): own rows, and what exact, binned, key-only and sketch semi joins leave of them."""
+    """One row for each (query, relation): own rows, and what exact, binned, key-only and sketch semi joins leave of them.
+
+    `base` is a spec, or the specs of all relations.
+    """
     from pyspark.sql import functions as F
 
     from ..functions.hashing import locate
     from ..operators.pairs import build_keyonly
     from ..operators.probe import contains_key
-    from .fixtures import relation, spec_for
+    from .fixtures import relation
 
     found = matching(spark, d)
     exact = found.filter("n > 0").groupBy("q", "n_rel", "k").agg(F.count("*").alias("in_rel")).filter("in_rel = n_rel").select("q", "k", F.lit(1).alias("ex"))
@@ -131,12 +197,20 @@ def instances(spark, d, base=None):
     ex, bi = F.coalesce("ex", F.lit(0)), F.when(F.col("rel") == "orders", F.coalesce("ex", F.lit(0))).otherwise(F.coalesce("wide", F.lit(0)))
     sums = [F.sum("n").alias("m_pred"), F.sum(ex * F.col("n")).alias("m_exact"), F.sum(bi * F.col("n")).alias("m_binned")]
     if base is not None:
-        live = live_groups(spark, d, base)
-        spot = locate(own.select("k").distinct(), "k", base).select("k", "pair_id", "kappa")
-        seen = own.join(spot, "k").alias("o").join(live.alias("l"), (F.col("o.q") == F.col("l.q")) & (F.col("o.pair_id") == F.col("l.pair_id")) & (F.col("o.kappa") == F.col("l.kappa")) & (F.col("o.rel") != F.col("l.rel")))
-        passed = seen.groupBy("o.q", "o.rel", "o.k", "o.n_rel").agg(F.count("*").alias("c")).filter("c = n_rel - 1").select("q", "rel", "k", F.lit(1).alias("sk"))
-        line_keys = contains_key(own.filter("rel = 'orders'").select("k").distinct(), "k", build_keyonly(relation(spark, d, "disc"), "k", base)).select("k", F.lit(1).alias("in_lines"))
-        order_keys = contains_key(own.filter("rel <> 'orders'").select("k").distinct(), "k", build_keyonly(relation(spark, d, "hdr"), "k", base)).select("k", F.lit(1).alias("in_orders"))
+        chosen = base if isinstance(base, dict) else specs(base)
+        live = live_groups(spark, d, chosen)
+        keys, spot = own.select("k").distinct(), None
+        shapes = {}  # relations of one shape share their keys' places
+        for role, spec in chosen.items():
+            shapes.setdefault(spec.m, []).append(role)
+        for m, roles in shapes.items():
+            one = locate(keys, "k", chosen[roles[0]]).select("k", "pair_id", "kappa", F.explode(F.array(*map(F.lit, roles))).alias("rel"))
+            spot = one if spot is None else spot.unionByName(one)
+        holds = live.join(spot, ["rel", "pair_id", "kappa"]).select(F.col("rel").alias("by"), "q", "k")
+        seen = own.join(holds, ["q", "k"]).filter("rel <> by")
+        passed = seen.groupBy("q", "rel", "k", "n_rel").agg(F.count("*").alias("c")).filter("c = n_rel - 1").select("q", "rel", "k", F.lit(1).alias("sk"))
+        line_keys = contains_key(own.filter("rel = 'orders'").select("k").distinct(), "k", build_keyonly(relation(spark, d, "disc"), "k", chosen["disc"])).select("k", F.lit(1).alias("in_lines"))
+        order_keys = contains_key(own.filter("rel <> 'orders'").select("k").distinct(), "k", build_keyonly(relation(spark, d, "hdr"), "k", chosen["orders"])).select("k", F.lit(1).alias("in_orders"))
         rows = rows.join(passed, ["q", "rel", "k"], "left").join(line_keys, "k", "left").join(order_keys, "k", "left")
         ko = F.coalesce(F.when(F.col("rel") == "orders", F.col("in_lines")).otherwise(F.col("in_orders")), F.lit(0))
         sums += [F.sum(ko * F.col("n")).alias("m_keyonly"), F.sum(F.coalesce("sk", F.lit(0)) * F.col("n")).alias("m_sketch")]
@@ -170,9 +244,29 @@ def _literal_sql() -> tuple[str, dict[str, str]]:
     return first, {s: f"lit_{s}(q, n_rel, {', '.join('w_' + a for a in ATTRS[s])}) as (values {', '.join(v)})" for s, v in sats.items()}
 
 
-def instances_sql(base=None) -> str:
+def shape_sql(role: str, spec, extra: str = "") -> str:
+    """(m, b, entries) of the least shape for a relation's predicted entries, as `sizing.shape` chooses it."""
+    import math
+
+    from ..plans import sizing
+    from .fixtures import FIXTURES, relation_sql
+
+    name, most = fixture(role), sizing.cap(spec)
+    per = f"select k, count(*) as n from (select distinct k, {', '.join(FIXTURES[name][2])} from ({relation_sql(name)})) where k is not null group by k"
+    told = f"select sum({'n' if math.isinf(most) else f'least(n, {int(most)})'})::bigint as entries, max(n) as largest from ({per})"
+    if spec.variant == "plain":
+        sizes = f"select greatest({min(sizing.LOADS)}, ceil(largest / 2)::bigint) as b, {max(sizing.LOADS.values())} as top, entries from ({told})"
+    else:
+        sizes = f"select b, top, entries from ({told}), (values {', '.join(f'({b}, {t})' for b, t in sizing.LOADS.items())}) t(b, top)"
+    fits = f"select (1::bigint << j::int) as m, b::bigint as b, entries from ({sizes}), generate_series(1, 30) g(j) where entries / ((1::bigint << j::int) * b) <= top"
+    return f"select m, b, entries{extra} from ({fits}) order by m * b, b limit 1"
+
+
+def instances_sql(base=None, fitted: bool = False) -> str:
+    """`fitted`: every relation's number of buckets is the one that its predicted entries need."""
+    from ..operators.pairs import hybrid_bits, hybrid_hashes
     from ..queries import sql as Q
-    from .fixtures import MONTH, relation_sql, spec_for
+    from .fixtures import MONTH, relation_sql
 
     first, rest = _literal_sql()
     ctes = [first, *rest.values()]
@@ -191,32 +285,52 @@ def instances_sql(base=None) -> str:
     sums = "sum(n)::bigint as m_pred, sum(ex * n)::bigint as m_exact, sum(case when rel = 'orders' then ex else wi end * n)::bigint as m_binned"
     if base is None:
         return f"with {', '.join(ctes)} select q, rel, n_rel, {sums} from own group by all"
-    lives = []
-    for role in ("orders", *SATELLITES):
-        name = "hdr" if role == "orders" else role
-        s = spec_for(name, base, small_values=True, variant="chained")
+    chosen = specs(base)
+    if fitted:
+        for i, (role, s) in enumerate(chosen.items()):
+            ctes.append(f"shape_{role} as materialized ({shape_sql(role, s)})")
+            chosen[role] = s.with_(m=1 << (40 + i))  # stands for the number that the shape has
+    for role, s in chosen.items():
         p = lambda e, i, s=s: Q.a_print(e, i, s, s.attrs[i].exact_ints)
         if role == "orders":
-            want = f"select q, {p('status', 0)} as c0, {p('b', 1)} as c1 from (select q, status, unnest(generate_series(floor(coalesce(lo, 0) / 5)::bigint, floor(coalesce(hi, 79) / 5)::bigint)) as b from lit_orders)"
+            values = "select q, status as v0, unnest(generate_series(floor(coalesce(lo, 0) / 5)::bigint, floor(coalesce(hi, 79) / 5)::bigint)) as v1 from lit_orders"
             on = "e.a_0 = w.c0 and e.a_1 = w.c1"
         elif role == "supp":
-            want = f"select q, w_supp is null as any0, {p('w_supp', 0)} as c0, {p('w_lstatus', 1)} as c1 from lit_supp"
+            values = "select q, w_supp as v0, w_lstatus as v1 from lit_supp"
             on = "(w.any0 or e.a_0 = w.c0) and e.a_1 = w.c1"
         else:
-            want = f"select q, {p('w_' + ATTRS[role][0], 0)} as c0 from lit_{role}"
+            values = f"select q, w_{ATTRS[role][0]} as v0 from lit_{role}"
             on = "e.a_0 = w.c0"
-        lives.append(
-            f"live_{role} as (with {Q.chained(relation_sql(name), s)}, {Q.closed(s)}, want as ({want}) "
-            f"select '{role}' as rel, w.q, r.root as pair_id, r.kappa from reach r join entries e on e.pair_id = r.pair_id and e.kappa = r.kappa join want w on {on} "
-            f"union select '{role}', w.q, root, kappa from saturated, (select distinct q from want) w)"
-        )
-    ctes += lives
-    ctes.append("live as (" + " union all ".join(f"select * from live_{r}" for r in ("orders", *SATELLITES)) + ")")
-    ctes.append(f"spot as ({Q.located('select distinct k from own', base)})")
-    ctes.append("passed as (select o.q, o.rel, o.k from own o join spot s on s.k = o.k join live l on l.q = o.q and l.pair_id = s.pair_id and l.kappa = s.kappa and l.rel <> o.rel group by o.q, o.rel, o.k, o.n_rel having count(*) = o.n_rel - 1)")
-    ctes.append(f"kl as (select distinct pair_id, kappa from ({Q.located(relation_sql('disc'), base)}))")
-    ctes.append(f"ko as (select distinct pair_id, kappa from ({Q.located(relation_sql('hdr'), base)}))")
-    ctes.append("il as (select k from spot s semi join kl on kl.pair_id = s.pair_id and kl.kappa = s.kappa)")
-    ctes.append("io as (select k from spot s semi join ko on ko.pair_id = s.pair_id and ko.kappa = s.kappa)")
+        n = len(s.attrs)
+        codes = ", ".join(f"{p(f'v{i}', i)} as c{i}" for i in range(n))
+        if s.variant == "hybrid":
+            w = " | ".join(f"case when v{i} is null then 0 else {Q.mask([(i, p(f'v{i}', i))], s, hybrid_bits(s), hybrid_hashes(s))} end" for i in range(n))
+        else:
+            w = Q.mask([(i, f"v{i}") for i in range(n)], s)
+        want = f"want as (select q, v0 is null as any0, {codes}, ({w}) as w from ({values}))"
+        rel, hit = relation_sql(fixture(role)), "(e.mask & w.w) = w.w"
+        row = f"select '{role}' as rel, w.q, e.pair_id, e.kappa"
+        if s.variant == "chained":
+            one = f"{Q.chained(rel, s)}, {Q.closed(s)}, {want} select '{role}' as rel, w.q, r.root as pair_id, r.kappa from reach r join entries e on e.pair_id = r.pair_id and e.kappa = r.kappa join want w on {on} union select '{role}', w.q, root, kappa from saturated, (select distinct q from want) w"
+        elif s.variant == "hybrid":
+            few = f"(select v.* from vecs v join entries x on x.pair_id = v.pair_id and x.kappa = v.kappa where x.n <= {s.d})"
+            one = f"{Q.hybrid(rel, s, hybrid_bits(s), hybrid_hashes(s))}, {want} {row} from {few} e join want w on {on} union {row} from entries e join want w on {hit} where e.n > {s.d}"
+        elif s.variant == "plain":
+            one = f"entries as ({Q.vectors(rel, s)}), {want} {row} from entries e join want w on {on}"
+        else:
+            one = f"{Q.bloom(rel, s)}, {want} {row} from entries e join want w on {hit}"
+        ctes.append(f"live_{role} as (with {one})")
+        ctes.append(f"spot_{role} as ({Q.located('select distinct k from own', s)})")
+    holds = " union ".join(f"select '{r}' as by_, l.q, s.k from live_{r} l join spot_{r} s on s.pair_id = l.pair_id and s.kappa = l.kappa" for r in ROLES)
+    ctes.append(f"holds as ({holds})")
+    ctes.append("passed as (select o.q, o.rel, o.k from own o join holds h on h.q = o.q and h.k = o.k and h.by_ <> o.rel group by o.q, o.rel, o.k, o.n_rel having count(*) = o.n_rel - 1)")
+    ctes.append(f"kl as (select distinct pair_id, kappa from ({Q.located(relation_sql('disc'), chosen['disc'])}))")
+    ctes.append(f"ko as (select distinct pair_id, kappa from ({Q.located(relation_sql('hdr'), chosen['orders'])}))")
+    ctes.append("il as (select k from spot_disc s semi join kl on kl.pair_id = s.pair_id and kl.kappa = s.kappa)")
+    ctes.append("io as (select k from spot_orders s semi join ko on ko.pair_id = s.pair_id and ko.kappa = s.kappa)")
     ctes.append("all_ as (select o.*, (p.k is not null)::int as sk, case when o.rel = 'orders' then (il.k is not null)::int else (io.k is not null)::int end as kk from own o left join passed p on p.q = o.q and p.rel = o.rel and p.k = o.k left join il on il.k = o.k left join io on io.k = o.k)")
-    return f"with {', '.join(ctes)} select q, rel, n_rel, {sums}, sum(kk * n)::bigint as m_keyonly, sum(sk * n)::bigint as m_sketch from all_ group by all"
+    out = f"with {', '.join(ctes)} select q, rel, n_rel, {sums}, sum(kk * n)::bigint as m_keyonly, sum(sk * n)::bigint as m_sketch from all_ group by all"
+    if fitted:
+        for role, s in chosen.items():
+            out = out.replace(str(s.m - 1), f"(select m - 1 from shape_{role})").replace(str(s.m), f"(select m from shape_{role})")
+    return out
