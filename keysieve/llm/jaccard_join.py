@@ -10,9 +10,10 @@ rare n-grams first; two sets can only link if they share an n-gram among the fir
    one size. The first of a group that a task meets posts the prefix's repeated n-grams with their places.
 3. Groups that share a posted n-gram are candidates if size and place leave room: where the first n-gram that two
    sets share lies, at least the needed intersection must still follow in both. A group stands for its members
-   by its leader. Every list has a hub, a group that the others are tried with; then some more hubs for what is
-   in other classes; then all group pairs that still hold two classes, expanded to members that parities of 256
-   cells do not prove to differ too much.
+   by its leader. Lists have a few hubs; in each of the first rounds a group is tried with one hub of its lists in
+   another class, the one that parities of 256 cells call nearest. Then all group pairs that still hold two
+   classes are expanded to members, but for pairs that parities prove to differ too much: first the nearest few
+   of two classes, then, of classes that these do not unite, all.
 4. Pairs are verified on whole sets: the texts of partners pass by one held set, and partners of one set are dealt
    into as many seats as they need.
 
@@ -31,15 +32,16 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import U64, bucket_bits, by_bucket, common, components, forget, gathered, having, mix, shingles, text_buffer, written
 
 #: Frequent n-grams that are broadcast, least count of one, and bits of the filter of repeated ones.
 HEAVY, LEAST_HEAVY, FILTER_LOG2 = 1 << 20, 9, 27
-#: Hubs of a list in the rounds before all pairs.
-HUBS = (1, 16)
+#: Hubs of a list, about, in the rounds in which a group is tried with one of them, the first with its lists' least;
+#: then pairs of two classes that are tried in a round, before all pairs.
+HUBS, NEAREST = (1, 4, 16), (1, 4)
 #: N-grams that a task holds before it sends them on, and partners of one seat.
 FLUSH, PARTNERS = 1 << 21, 256
 PARITY = ("p0", "p1", "p2", "p3")
@@ -242,10 +244,14 @@ def _may(a: str, b: str, percent: int):
     return F.expr(f"100 * least({a}.n, {b}.n) >= {percent} * greatest({a}.n, {b}.n) and {a}.n - {a}.place >= {needed} and {b}.n - {b}.place >= {needed}")
 
 
+def _differ(a: str, b: str) -> str:
+    """The parities in which two sets differ: at most the n-grams that only one of them has."""
+    return "(" + " + ".join(f"bit_count({a}.{p} ^ {b}.{p})" for p in PARITY) + ")"
+
+
 def _near(a: str, b: str, percent: int):
     """Whether parities leave room for a link: sets that link differ in at most n + m - 2 * needed n-grams."""
-    differ = " + ".join(f"bit_count({a}.{p} ^ {b}.{p})" for p in PARITY)
-    return F.expr(f"{differ} <= {a}.n + {b}.n - 2 * ({_sql_needed(a, b, percent)})")
+    return F.expr(f"{_differ(a, b)} <= {a}.n + {b}.n - 2 * ({_sql_needed(a, b, percent)})")
 
 
 def _pairs(df: DataFrame, a: str, b: str) -> DataFrame:
@@ -324,49 +330,81 @@ def classes(docs: DataFrame, k: int = 4, percent: int = 85) -> DataFrame:
     texts = written(having(_rows(docs), written(wanted, "wanted")), "texts")
     labels = written(members.select("unit", F.col("unit").alias("label")), "classes")
 
-    # every list's groups with its hub, every group's members with its leader
-    star = posted.select(F.struct("n", "place").alias("x"), F.col("hub").alias("y"), "lead").filter(_may("x", "y", percent)).select(F.col("lead").alias("a"), F.col("y.lead").alias("b"))
+    # every group with a hub of its lists, every member with its group's leader
+    star = posted.select(F.struct("n", "place").alias("x"), F.col("hub").alias("y"), "lead").filter(_may("x", "y", percent) & F.expr("lead <> y.lead"))
+    star = star.groupBy(F.col("lead").alias("a")).agg(F.min("y").alias("y")).select("a", F.col("y.lead").alias("b"))
     within = members.join(groups.filter("held > 1").select("grp", F.col("unit").alias("lead")), "grp").select(F.col("unit").alias("a"), F.col("lead").alias("b"))
     tested = None
-    for turn, hubs in enumerate((*HUBS, None)):
+    for turn in range(len(HUBS) + len(NEAREST) + 1):
         if turn == 0:
             found = _pairs(star.unionByName(within), "a", "b").alias("p")
             found = found.join(members.alias("x"), F.expr("x.unit = p.a")).join(members.alias("y"), F.expr("y.unit = p.b")).filter(_near("x", "y", percent)).select("p.a", "p.b")
+            tested = written(found.filter("false"), "pairs")
         else:
-            found = _open_pairs(members, groups, posted, labels, percent, turn, hubs).join(tested, ["a", "b"], "left_anti")
+            own = written(members.join(labels, "unit"), "own")
+            spread = own.groupBy("grp").agg(F.min("label").alias("low"), F.max("label").alias("high"))
+            rows = written(_open(groups, posted, spread), "open")
+            apart = spread.filter("low <> high")
+            if not rows.limit(1).count() and not apart.limit(1).count():
+                forget(own, rows)
+                break  # no list and no group has two classes
+            if turn < len(HUBS):
+                found = _one_hub(rows, tested, percent, turn)
+            else:
+                found = _members(rows, own, apart, tested, percent, dict(enumerate(NEAREST, len(HUBS))).get(turn))
         pairs = written(found, "pairs")
+        if turn:
+            forget(own, rows)
         if not pairs.limit(1).count():
             forget(pairs)
-            if turn == 0:
-                break
             continue
         links = verify(texts, pairs, k, percent)
-        tested = pairs if tested is None else tested.unionByName(pairs)
+        both = written(tested.unionByName(pairs), "tested")
+        forget(tested, pairs)
+        tested = both
         labels = _united(labels, links)
         forget(links)
+    forget(tested)
     out = units.join(labels, "unit", "left").select("sign", F.coalesce("label", "unit").alias("label"))
     out = written(out, "labelled")
     forget(members, groups, posted, texts, labels)
     told = sets.select("doc_id", "n", "sign").join(out, "sign", "left")
-    return told.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.when(F.col("n") > 0, F.col("label")).otherwise(F.col("doc_id")).alias("component_id"))
+    return told.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.when(F.expr("n > 0 and doc_id is not null"), F.col("label")).otherwise(F.col("doc_id")).alias("component_id"))
 
 
-def _open_pairs(members: DataFrame, groups: DataFrame, posted: DataFrame, labels: DataFrame, percent: int, turn: int, hubs: int | None) -> DataFrame:
-    """Pairs of members of different classes that lists of more than one class leave: those with some hubs, by leaders, or all."""
-    own = members.join(labels, "unit")
-    spread = own.groupBy("grp").agg(F.min("label").alias("low"), F.max("label").alias("high"))
-    shown = groups.join(spread, "grp").withColumnRenamed("unit", "lead")
-    rows = posted.select("gram", "grp", "place", "c").join(shown, "grp")
+def _open(groups: DataFrame, posted: DataFrame, spread: DataFrame) -> DataFrame:
+    """Postings of lists that still hold two classes, with their groups."""
+    rows = posted.select("gram", "grp", "place", "c").join(groups.join(spread, "grp").withColumnRenamed("unit", "lead"), "grp")
     still = rows.groupBy("gram").agg(F.min("low").alias("l"), F.max("high").alias("h")).filter("l <> h").select("gram")
-    rows = written(rows.join(still, "gram", "left_semi"), "open")
-    first, second = rows.alias("x"), rows.alias("y")
-    apart = F.expr("x.gram = y.gram and not (x.low = y.low and x.low = x.high and y.low = y.high)") & _may("x", "y", percent)
-    if hubs is not None:
-        first = rows.filter(F.pmod(F.xxhash64("grp", F.lit(turn)), F.lit(1 << 20)) * F.col("c") < F.lit(hubs << 20)).alias("x")
-        met = first.join(second, apart & F.expr("x.grp <> y.grp and x.low <> y.low") & _near("x", "y", percent))
-        return _pairs(met.select(F.col("x.lead").alias("a"), F.col("y.lead").alias("b")), "a", "b")
+    return rows.join(still, "gram", "left_semi")
+
+
+def _apart(percent: int):
+    """Two groups of a list that hold different classes and leave room for a link."""
+    return F.expr("x.gram = y.gram and x.grp <> y.grp and not (x.low = y.low and x.low = x.high and y.low = y.high)") & _may("x", "y", percent)
+
+
+def _one_hub(rows: DataFrame, tested: DataFrame, percent: int, turn: int) -> DataFrame:
+    """Each group's leader with one hub: of those of its lists in other classes that were not tried, the nearest by parities."""
+    share = F.pmod(F.xxhash64("grp", F.lit(turn)), F.lit(1 << 20)) * F.col("c")
+    hubs = rows.filter(share < F.lit(HUBS[turn] << 20)).alias("y")
+    met = rows.alias("x").join(hubs, _apart(percent) & _near("x", "y", percent) & F.expr("x.low <> y.low"))
+    met = met.select(F.least("x.lead", "y.lead").alias("a"), F.greatest("x.lead", "y.lead").alias("b"), F.col("x.lead").alias("of"), F.expr(f"{_differ('x', 'y')} / (x.n + y.n)").alias("far"))
+    met = met.distinct().join(tested, ["a", "b"], "left_anti")
+    return met.groupBy("of").agg(F.min(F.struct("far", "a", "b")).alias("p")).select("p.a", "p.b").distinct()
+
+
+def _members(rows: DataFrame, own: DataFrame, apart: DataFrame, tested: DataFrame, percent: int, most: int | None) -> DataFrame:
+    """Pairs of members of different classes that group pairs of a list, and groups of two classes, leave room for.
+
+    The nearest `most` of each pair of classes, or all.
+    """
     # a group of one member is bounded by its parities here, others member by member
-    met = first.join(second, apart & F.expr("x.grp < y.grp") & (F.expr("x.held > 1 or y.held > 1") | _near("x", "y", percent)))
-    met = met.select(F.col("x.grp").alias("g"), F.col("y.grp").alias("h")).unionByName(spread.filter("low <> high").select(F.col("grp").alias("g"), F.col("grp").alias("h"))).distinct().alias("m")
+    met = rows.alias("x").join(rows.alias("y"), _apart(percent) & F.expr("x.grp < y.grp") & (F.expr("x.held > 1 or y.held > 1") | _near("x", "y", percent)))
+    met = met.select(F.col("x.grp").alias("g"), F.col("y.grp").alias("h")).unionByName(apart.select(F.col("grp").alias("g"), F.col("grp").alias("h"))).distinct().alias("m")
     both = met.join(own.alias("x"), F.expr("m.g = x.grp")).join(own.alias("y"), F.expr("m.h = y.grp and x.label <> y.label") & _near("x", "y", percent))
-    return _pairs(both.select(F.col("x.unit").alias("a"), F.col("y.unit").alias("b")), "a", "b")
+    named = [F.least("x.unit", "y.unit").alias("a"), F.greatest("x.unit", "y.unit").alias("b"), F.least("x.label", "y.label").alias("low"), F.greatest("x.label", "y.label").alias("high")]
+    both = both.select(*named, F.expr(f"{_differ('x', 'y')} / (x.n + y.n)").alias("far")).distinct().join(tested, ["a", "b"], "left_anti")
+    if most is not None:
+        both = both.withColumn("nth", F.row_number().over(Window.partitionBy("low", "high").orderBy("far", "a", "b"))).filter(F.col("nth") <= most)
+    return both.select("a", "b")

@@ -176,6 +176,42 @@ def test_jaccard_join_on_many_near_copies(spark):
     assert [out[i].component_id for i in range(len(sets))] == [find(i) for i in range(len(sets))]
 
 
+@pytest.mark.parametrize("edits", [4, 9])
+def test_jaccard_join_on_500_near_copies_at_the_threshold(spark, edits):
+    base = prose(160)
+    texts = [near(base, edits) for _ in range(500)] + [base + " " + prose(3), base, base]
+    df = spark.createDataFrame([*enumerate(texts), (None, base), (7, texts[7])], "doc_id long, text string")
+    grams = [{tuple(t.split()[i : i + 4]) for i in range(len(t.split()) - 3)} for t in texts]
+    number = {g: i for i, g in enumerate(set().union(*grams))}
+    table = np.zeros((len(texts), len(number)), np.float32)
+    for i, s in enumerate(grams):
+        table[i, [number[g] for g in s]] = 1
+    both = table @ table.T
+    size = table.sum(1)
+    links = 100 * both >= 85 * (size[:, None] + size - both)
+    label = np.arange(len(texts))
+    while True:
+        low = np.where(links, label, len(texts)).min(1)
+        if (low == label).all():
+            break
+        label = low
+    out = jaccard_join.classes(df).collect()
+    got = {r.doc_id: r.component_id for r in out if r.doc_id is not None}
+    assert [got[i] for i in range(len(texts))] == label.tolist() and len(out) == len(texts) + 2
+    assert [r.component_id for r in out if r.doc_id is None] == [None]
+
+
+def test_order_ranks_by_count(spark):
+    texts = [prose(50) + " " + PASSAGE for _ in range(30)]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    order = jaccard_join.order(df, 4, 3)
+    sets = shingles(*text_buffer(pa.array(texts)), 4)
+    keys, counts = np.unique(np.concatenate(sets), return_counts=True)
+    rank = order.rank(keys)
+    assert (rank[counts > 1] > 0).all() and (rank[counts == 1] == 0).mean() > 0.95
+    assert (rank[counts >= jaccard_join.LEAST_HEAVY] > 1).all() and (np.diff(rank[np.argsort(counts, kind="stable")][-40:]) >= 0).all()
+
+
 def test_hidden_markov(spark, docs, none):
     held = F.col("doc_id") % 7 == 2
     out = by_id(hidden_markov.score(docs, held))
