@@ -5,11 +5,13 @@ string has an anchor: the leftmost least of the hashes of its short substrings.
 at the same place, so only anchors are compared, about one in eighteen bytes.
 
 1. Anchors' hashes are counted; those that occur twice or more fill a filter of bounded size.
-2. Anchors that pass send the bytes around them to the bucket of their hash. Equal surroundings in a task are
-   sent once, with the places of the others.
+2. Anchors that pass send the bytes around them to the bucket of their hash. Of equal surroundings in a task only
+   those of the smallest document are sent; the others are known to repeat it, so a passage that many documents
+   share reaches its bucket once for each task.
 3. A bucket orders the suffixes at its anchors, and the reversed prefixes before them, by deep-shallow sorting:
-   a multikey sort by machine words down to a shallow depth, then blind tries for the groups that still agree.
-   From both orders every string's class is known at each shift, and so the smallest document of the class.
+   multikey quicksort by machine words down to a shallow depth, all groups side by side, then blind tries for
+   those that still agree. From both orders every string's class is known at each shift, and so the smallest
+   document of the class.
 4. Documents with removed bytes meet their places; all others are finished where they are read.
 
 Strings are judged on the input, overlaps count, and matches never cross documents.
@@ -29,12 +31,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import _BYTE, U64, Bits, _power, as_keys, bits_of, bucket_bits, by_bucket, gathered, mix, slices, text_buffer, written
+from .common import _BYTE, U64, Bits, _power, as_keys, bits_of, bucket_bits, by_bucket, forget, gathered, mix, slices, text_buffer, written
 
 LENGTH, GRAM = 50, 16
 #: Largest filter of repeated anchors (2^27 bits), and bytes of text and anchors that a task holds before it sends them on.
 FILTER_LOG2, FLUSH = 27, 1 << 20
-#: Depth that the multikey sort goes to, in bytes; blind tries order what agrees so far.
+#: Depth that the multikey quicksort goes to, in bytes; blind tries order what agrees so far.
 SHALLOW = 24
 
 
@@ -159,14 +161,26 @@ def surroundings(docs: DataFrame, field, log2: int, bits: int, text: str) -> Dat
             order = np.lexsort((places, ids, names, hashes))
             same = np.zeros(len(order), bool)
             same[1:] = (hashes[order][1:] == hashes[order][:-1]) & (names[order][1:] == names[order][:-1])
-            lead, rest = order[~same], order[same]
-            extra = np.bincount(np.cumsum(~same)[same] - 1, minlength=len(lead)).astype("<u4")
+            lead = order[~same]
+            first = lead[np.cumsum(~same)[same] - 1]
+            rest = order[same]
+            # a smaller document of this task has the same bytes around: every string that fits is a repeat
+            sure = rest[ids[rest] > ids[first]]
+            again = ids[rest] == ids[first]
+            rest, of = rest[again], (np.cumsum(~same)[same] - 1)[again]
+            extra = np.bincount(of, minlength=len(lead)).astype("<u4")
             bucket = (hashes[lead] >> U64(64 - bits)).astype(np.int64)
             ends = [*(np.flatnonzero(np.diff(bucket)) + 1).tolist(), len(lead)]
             more = np.concatenate([[0], extra.cumsum()]).astype(np.int64)
             cols = [hashes[lead], ids[lead], places[lead].astype("<u4"), left[lead], right[lead], rows[lead], extra]
             own, at = ids[rest], places[rest].astype("<u4")
             out = [(int(bucket[a]), *(c[a:b].tobytes() for c in cols), own[more[a] : more[b]].tobytes(), at[more[a] : more[b]].tobytes()) for a, b in zip([0, *ends[:-1]], ends, strict=True)]
+            if len(sure):
+                low = np.maximum(0, LENGTH - right[sure].astype(np.int64)).astype(np.uint64)
+                high = np.minimum(left[sure], LENGTH - GRAM).astype(np.uint64)
+                masks = np.where(low <= high, ((U64(2) << high) - U64(1)) & ~((U64(1) << np.minimum(low, U64(63))) - U64(1)), U64(0))
+                told = [masks.astype("<u8").tobytes(), ids[sure].tobytes(), places[sure].astype("<u4").tobytes(), *[b""] * 6]
+                out.append((-1 - int(mix(hashes[sure[:1]])[0] >> U64(44)), *told))
             return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), (pa.int32(), *[pa.binary()] * 9), strict=True)], ["bucket", *(f"c{i}" for i in range(9))])
 
         for ids, data, offsets in _parts(batches):
@@ -235,6 +249,40 @@ def blind_trie_order(strings: list[bytes]) -> list[int]:
     return out
 
 
+def multikey_quicksort(group: np.ndarray, keys: np.ndarray) -> np.ndarray:
+    """The order of rows of words within their groups, by three-way partitions of all unfinished parts at once.
+
+    A part is split by the word at its depth into less, equal and more than the median of three of its rows;
+    the equal ones go on with the next word.
+    """
+    order = group.argsort(kind="stable")
+    new = np.ones(len(order), bool)
+    new[1:] = group[order][1:] != group[order][:-1]
+    start = np.flatnonzero(new)
+    size, depth = np.diff(np.append(start, len(order))), np.zeros(len(start), np.int64)
+    while True:
+        some = (size > 1) & (depth < keys.shape[1])
+        start, size, depth = start[some], size[some], depth[some]
+        if not len(start):
+            return order
+        off = size.cumsum() - size
+        part = np.repeat(np.arange(len(start)), size)
+        rows = order[(start - off)[part] + np.arange(len(part))]
+        word = keys[rows, depth[part]]
+        a, b, c = word[off], word[off + size // 2], word[off + size - 1]
+        pivot = np.maximum(np.minimum(a, b), np.minimum(np.maximum(a, b), c))[part]
+        less, equal = word < pivot, word == pivot
+        before_less, before_equal = less.cumsum() - less, equal.cumsum() - equal
+        before_less -= before_less[off][part]
+        before_equal -= before_equal[off][part]
+        n_less, n_equal = np.add.reduceat(less, off, dtype=np.int64), np.add.reduceat(equal, off, dtype=np.int64)
+        inside = np.arange(len(part)) - off[part]
+        above = n_less[part] + n_equal[part] + inside - before_less - before_equal
+        order[start[part] + np.where(less, before_less, np.where(equal, n_less[part] + before_equal, above))] = rows
+        start = np.concatenate([start, start + n_less, start + n_less + n_equal])
+        size, depth = np.concatenate([n_less, n_equal, size - n_less - n_equal]), np.concatenate([depth, depth + 1, depth])
+
+
 def deep_shallow(group: np.ndarray, rows: np.ndarray, shallow: int = SHALLOW) -> tuple[np.ndarray, np.ndarray]:
     """The order of byte rows within their groups, and what each row in order has in common with the one before it (-1 at a new group)."""
     n, width = rows.shape
@@ -242,7 +290,7 @@ def deep_shallow(group: np.ndarray, rows: np.ndarray, shallow: int = SHALLOW) ->
     wide = np.zeros((n, words * 8), np.uint8)
     wide[:, : min(width, words * 8)] = rows[:, : words * 8]
     keys = wide.view(">u8").astype(np.uint64)
-    order = np.lexsort((*(keys[:, w] for w in range(words - 1, -1, -1)), group))
+    order = multikey_quicksort(group, keys)
     tied = np.zeros(n, bool)
     if width > words * 8 and n > 1:
         tied[1:] = (group[order][1:] == group[order][:-1]) & (keys[order][1:] == keys[order][:-1]).all(1)
@@ -300,7 +348,12 @@ def judge(hashes, ids, left, right, rows, ref, who, length: int = LENGTH, gram:
 def _verdicts(batches):
     """Places of removed strings: (bucket by document, ids, places, masks) as packed bytes."""
     kinds = ["<u8", "<i8", "<u4", np.uint8, np.uint8, np.uint8, "<u4", "<i8", "<u4"]
-    for _, (hashes, ids, places, left, right, rows, extra, own, at) in by_bucket(batches, kinds):
+    for bucket, (hashes, ids, places, left, right, rows, extra, own, at) in by_bucket(batches, kinds):
+        if bucket < 0:  # known where they were read: masks, documents, places
+            some = hashes > 0
+            if some.any():
+                yield pa.RecordBatch.from_arrays([pa.array(ids[some]), pa.array(places[some].astype(np.int64)), pa.array(hashes[some].view(np.int64))], ["doc_id", "place", "mask"])
+            continue
         rows = rows.reshape(len(hashes), -1)
         order = hashes.argsort(kind="stable")
         sorted_, docs = hashes[order], ids[order]
@@ -344,6 +397,7 @@ def places_of(docs: DataFrame, text: str = "text") -> DataFrame:
     keys = written(repeated(docs, bits, text), "repeated")
     log2 = Bits.size_for(keys.count(), FILTER_LOG2)
     field = spark.sparkContext.broadcast(bits_of(keys, "key", log2).data)
+    forget(keys)
     return gathered(surroundings(docs, field, log2, bits, text)).mapInArrow(_verdicts, "doc_id long, place long, mask long")
 
 
@@ -355,6 +409,7 @@ def remove_repeats(docs: DataFrame, text: str = "text", digest: bool = False) ->
     touched = written(found.select("doc_id").distinct(), "touched")
     log2 = Bits.size_for(touched.count(), 25)
     field = spark.sparkContext.broadcast(bits_of(touched, "doc_id", log2).data)
+    forget(touched)
     names = ["doc_id"] if digest else docs.columns
     kind = docs.select(*names).schema
     extra = "n_bytes long, n_removed long, n_spans long, kept_sha256 string"

@@ -334,6 +334,24 @@ def test_suffix_dedup(docs, none):
     assert suffix_dedup.remove_repeats(none).count() == 0
 
 
+def test_suffix_dedup_of_a_passage_that_most_documents_share(spark):
+    texts = [prose(RNG.randrange(3, 9)) + " " + PASSAGE + " " + prose(RNG.randrange(3, 30)) for _ in range(150)] + [PASSAGE * 3, PASSAGE[:60]] * 10
+    RNG.shuffle(texts)
+    first, want = set(), []
+    for t in texts:
+        b = t.encode()
+        gone, new = np.zeros(len(b), bool), []
+        for j in range(len(b) - 49):
+            if b[j : j + 50] in first:
+                gone[j : j + 50] = True
+            new.append(b[j : j + 50])
+        first.update(new)
+        want.append(hashlib.sha256(bytes(x for x, g in zip(b, gone, strict=True) if not g)).hexdigest())
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    out = by_id(suffix_dedup.remove_repeats(df))
+    assert [out[i].kept_sha256 for i in range(len(texts))] == want
+
+
 def test_deep_shallow_order():
     rng = np.random.default_rng(1)
     rows = rng.integers(0, 2, (300, 40)).astype(np.uint8)
@@ -343,6 +361,11 @@ def test_deep_shallow_order():
     keys = [(int(group[i]), rows[i].tobytes()) for i in order]
     assert keys == sorted(keys)
     assert all(c == next((k for k in range(40) if a[1][k] != b[1][k]), 40) for a, b, c in zip(keys, keys[1:], common[1:], strict=False) if a[0] == b[0])
+    for n in (0, 1, 2, 500):
+        keys, group = rng.integers(0, 3, (n, 3)).astype(np.uint64), rng.integers(0, 5, n)
+        got = suffix_dedup.multikey_quicksort(group, keys)
+        told = [(int(group[i]), *keys[i].tolist()) for i in got]
+        assert sorted(got.tolist()) == list(range(n)) and told == sorted(told)
     strings = [rng.integers(0, 3, 12).astype(np.uint8).tobytes() for _ in range(200)]
     assert [strings[i] for i in suffix_dedup.blind_trie_order(strings)] == sorted(strings)
 
