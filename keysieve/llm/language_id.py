@@ -8,7 +8,8 @@ batches: presence matrix x landmark matrix x weights.
 
 Defined results: a null text, or one without any letter, is `und` with score 0. Repeated rows, ties and
 very long texts are scored like any other; the winner of an exact tie is the first language in order.
-Without labelled rows every text is `und`. Rows with a null lang are never learned from.
+Without labelled rows every text is `und`. Rows with a null lang are never learned from; rows without the key
+column's value are sampled by their text.
 """
 
 from __future__ import annotations
@@ -22,8 +23,8 @@ from pyspark.sql import functions as F
 
 from .common import LOWER, slices, text_buffer
 
-#: Most labelled texts that a model is fitted on, and how many of them are landmarks.
-SAMPLE, LANDMARKS = 2400, 160
+#: Labelled texts that a model is fitted on, about, their bytes at most, and how many of them are landmarks.
+SAMPLE, SAMPLE_BYTES, LANDMARKS = 2400, 64 << 20, 160
 _PLACES = 18
 
 
@@ -60,24 +61,33 @@ def _grams(text: np.ndarray, longest: int) -> list[np.ndarray]:
     return out
 
 
-def sample(labelled: DataFrame, text: str, lang: str, key: str, size: int = SAMPLE) -> list:
-    """About `size` labelled texts at most, balanced over languages, the same ones at each run.
+def sample(labelled: DataFrame, text: str, lang: str, key: str, size: int = SAMPLE, most_bytes: int = SAMPLE_BYTES) -> list:
+    """About `size` labelled texts at most, of `most_bytes` in all, balanced over all languages, the same ones at each run.
 
     Each language gives the rows whose hashed key lies below one common count over its own row count, so only
-    the chosen rows leave their tasks.
+    the chosen rows leave their tasks; what comes to the driver besides is one row for each language. A text of
+    more than a sixteenth of the bytes is no example.
     """
+    spark = labelled.sparkSession
     rows = labelled.filter(F.col(lang).isNotNull() & F.col(text).rlike(r"\p{L}")).select(F.col(text).alias("text"), F.col(lang).alias("lang"), F.col(key).alias("key"))
-    totals = [(r["lang"], r["n"]) for r in rows.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(256).collect()]
+    totals = [(r["lang"], r["n"]) for r in rows.groupBy("lang").agg(F.count("*").alias("n")).collect()]
     if not totals:
         return []
     low, high = 0.0, float(max(n for _, n in totals))
     for _ in range(60):
         middle = (low + high) / 2
         low, high = (middle, high) if sum(min(n, middle) for _, n in totals) <= size else (low, middle)
-    each = {name: (low if low > 0 else high) / n for name, n in totals}
-    share = F.create_map(*(x for name, s in each.items() for x in (F.lit(name), F.lit(s))))[F.col("lang")]
-    place = F.pmod(F.xxhash64(F.col("key").cast("string")), F.lit(1 << 40)) / (1 << 40)
-    found = rows.select("text", "lang", (place / share).alias("place")).filter("place <= 1").collect()
+    each = F.broadcast(spark.createDataFrame([(name, (low if low > 0 else high) / n) for name, n in totals], "lang string, share double"))
+    place = F.pmod(F.xxhash64(F.coalesce(F.col("key").cast("string"), F.col("text"))), F.lit(1 << 40)) / (1 << 40)
+    near = rows.join(each, "lang").select("text", "lang", (place / F.col("share")).alias("place")).filter((F.col("place") <= 1) & (F.octet_length("text") <= most_bytes // 16))
+    order = sorted(near.select("place", F.octet_length("text").alias("n")).collect())
+    cut, total = 0.0, 0
+    for r in order[: 2 * size]:
+        total += r["n"]
+        if total > most_bytes:
+            break
+        cut = r["place"]
+    found = near.filter(F.col("place") <= cut).collect()
     return [(r["text"], r["lang"]) for r in sorted(found, key=lambda r: (r["place"], r["lang"], r["text"]))][: 2 * size]
 
 
