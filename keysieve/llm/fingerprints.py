@@ -24,6 +24,8 @@ from pyspark.sql import functions as F
 from .common import common, shingles, text_buffer
 
 WORDS, FRACTION = 5, 1 / 8
+#: Stands for a null doc_id, which comes after all others.
+LAST = 2**63 - 1
 
 
 def sketch(hashes: np.ndarray, fraction: float = FRACTION) -> np.ndarray:
@@ -78,12 +80,11 @@ def with_successor(docs: DataFrame, parts: int | None = None) -> DataFrame:
     Only ids are read to find the ranges and their first rows; each text moves once. Equal ids stand in the order of their texts.
     """
     spark = docs.sparkSession
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
-    rows = rows.filter("doc_id is not null")
+    rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(LAST)).alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
     n = rows.count()
     parts = parts or max(1, min(1 << 16, max(n // 4000, int(spark.conf.get("spark.sql.shuffle.partitions")))))
-    cuts = sorted(set(rows.approxQuantile("doc_id", [i / parts for i in range(1, parts)], 0.25 / parts))) if n and parts > 1 else []
-    cuts = [int(c) for c in cuts]
+    cuts = sorted(set(rows.filter(F.col("doc_id") < LAST).approxQuantile("doc_id", [i / parts for i in range(1, parts)], 0.25 / parts))) if n and parts > 1 else []
+    cuts = [min(int(c), LAST) for c in cuts]
     seat = F.expr(f"size(filter(array({','.join(f'{c}L' for c in cuts)}), c -> doc_id >= c))") if 0 < len(cuts) <= 16 else None
     if seat is None:
         shared = spark.sparkContext.broadcast(np.array(cuts, np.int64))
@@ -122,7 +123,7 @@ def compare_with_successor(docs: DataFrame) -> DataFrame:
     """For every document: its fingerprint, that of its text with the second half replaced by the next document's beginning, and both likenesses.
 
     The next document is that with the next larger doc_id (rows of equal id by text); the last one's is the first.
-    Rows without doc_id have no place in the order and are left out.
+    Rows without doc_id come after all others, by text; inside, the largest number stands for their doc_id.
     """
 
     def run(batches):
@@ -137,7 +138,7 @@ def compare_with_successor(docs: DataFrame) -> DataFrame:
             follow = [*own[1:], sketch(after[0])]
             return pa.RecordBatch.from_arrays(
                 [
-                    pa.array([d[0] for d in done], pa.int64()),
+                    pa.array([None if d[0] == LAST else d[0] for d in done], pa.int64()),
                     pa.array([len(t) for t in texts], pa.int64()),
                     pa.array([hashlib.sha256(t.encode()).hexdigest() for t in edited], pa.string()),
                     pa.array(map(to_text, own), pa.string()),
