@@ -3,15 +3,15 @@
 A record is: payload length (8 bytes), its masked checksum (4), the payload, the payload's masked checksum (4),
 and one end byte 0x0A. A payload is the doc_id (8 bytes, signed), the bytes per id (1: 2 or 4) and the ids; all
 numbers are little-endian. Checksums are CRC-32 rotated right by 15 bits plus a fixed number, so that a checksum
-of data that holds checksums stays useful. Files are in ascending doc_id order by name; the index table has
-file, offset, length, doc_id, n_tokens, start (ids of all documents before it) and ids_crc32 of each record, so
-that a shuffled reader can seek to any record.
+of data that holds checksums stays useful. Files are in ascending doc_id order by the numbers of part and file in
+their names; the index table has file, offset, length, doc_id, n_tokens, start (ids of all documents before it)
+and ids_crc32 of each record, so that a shuffled reader can seek to any record and read it alone.
 
 Records reach storage through Spark's own writer, so any file system of the cluster serves and a lost executor's
 attempt leaves nothing behind.
 
 Defined results: null texts are empty (their record holds only the end id). Rows of equal doc_id stand in the
-order of their texts. A null doc_id cannot be framed and is an error of the caller: such rows are left out.
+order of their texts. Rows without doc_id come last, by text; in a record the largest number stands for none.
 """
 
 from __future__ import annotations
@@ -34,6 +34,8 @@ from .common import shared_dir
 MASK = 0xA282EAD8
 #: Pieces whose ids a worker remembers, and most documents in a file.
 MEMO, PER_FILE = 1_300_000, 4000
+#: Stands for a null doc_id.
+LAST = 2**63 - 1
 _NARROW = 0x250
 
 
@@ -166,10 +168,10 @@ def write(docs: DataFrame, path: str, out: str, end_id: int = 2, text: str = "te
                 got = e.encode(texts.slice(i, 256).to_pylist())
                 yield pa.RecordBatch.from_arrays([pa.array([frame(pack(d, x + end, e.width))[:-1] for d, x in zip(ids[i : i + 256], got, strict=True)], pa.binary())], ["record"])
 
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text")).filter("doc_id is not null")
+    rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(LAST)).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("text"))
     n = int(spark.conf.get("spark.sql.shuffle.partitions"))
     # cuts from the ids alone, so that choosing them reads no text
-    cuts = sorted({int(c) for c in rows.approxQuantile("doc_id", [i / n for i in range(1, n)], 0.1 / n)}) if n > 1 else []
+    cuts = sorted({min(int(c), LAST) for c in rows.filter(F.col("doc_id") < LAST).approxQuantile("doc_id", [i / n for i in range(1, n)], 0.1 / n)}) if n > 1 else []
     seat = F.size(F.filter(F.lit(cuts), lambda c: F.col("doc_id") >= c)) if cuts else F.lit(0)
     ranged = rows.repartitionById(len(cuts) + 1, seat).sortWithinPartitions("doc_id", "text")
     framed = ranged.mapInArrow(run, "record binary").select(F.col("record").cast("string").alias("value"))
@@ -187,7 +189,7 @@ def read(spark: SparkSession, path: str) -> DataFrame:
                 while at < len(data):
                     payload, after = unframe(data, at)
                     doc_id, ids = unpack(payload)
-                    rows.append((at, after - at, doc_id, before, len(ids), zlib.crc32(ids.astype("<u4").tobytes())))
+                    rows.append((at, after - at, None if doc_id == LAST else doc_id, before, len(ids), zlib.crc32(ids.astype("<u4").tobytes())))
                     at, before = after, before + len(ids)
                 columns = list(zip(*rows, strict=True)) or [()] * 6
                 yield pa.RecordBatch.from_arrays([pa.array([name] * len(rows), pa.string()), *(pa.array(c, pa.int64()) for c in columns)], ["file", "offset", "length", "doc_id", "before", "n_tokens", "ids_crc32"])
@@ -196,22 +198,39 @@ def read(spark: SparkSession, path: str) -> DataFrame:
     return files.mapInArrow(run, "file string, offset long, length long, doc_id long, before long, n_tokens long, ids_crc32 long")
 
 
+def in_order(files: DataFrame) -> DataFrame:
+    """(file, begin) of (file, ids): ids of all files before, by the numbers of part and file in a name.
+
+    Sums run within each part; only one row for each part is brought into one order.
+    """
+    number = lambda p: F.regexp_extract("file", p, 1).cast("long")
+    named = files.withColumns({"part": number(r"^part-(\d+)"), "nth": F.coalesce(number(r"-c(\d+)[^/]*$"), F.lit(0))})
+    before = Window.rowsBetween(Window.unboundedPreceding, -1)
+    inside = named.withColumn("inside", F.coalesce(F.sum("ids").over(before.partitionBy("part").orderBy("nth")), F.lit(0)))
+    parts = named.groupBy("part").agg(F.sum("ids").alias("all")).withColumn("earlier", F.coalesce(F.sum("all").over(before.orderBy("part")), F.lit(0)))
+    return inside.join(parts, "part").select("file", (F.col("inside") + F.col("earlier")).alias("begin"))
+
+
 def index(spark: SparkSession, path: str, out: str) -> DataFrame:
-    """Writes the offset index of the files and returns it; only one row for each file is brought into order."""
+    """Writes the offset index of the files and returns it."""
     read(spark, path).write.parquet(out)
     found = spark.read.parquet(out)
-    sizes = found.groupBy("file").agg(F.sum("n_tokens").alias("ids"))
-    order = Window.orderBy("file").rowsBetween(Window.unboundedPreceding, -1)
-    begins = sizes.select("file", F.coalesce(F.sum("ids").over(order), F.lit(0)).alias("begin"))
+    begins = in_order(found.groupBy("file").agg(F.sum("n_tokens").alias("ids")))
     return found.join(begins, "file").select("file", "offset", "length", "doc_id", (F.col("begin") + F.col("before")).alias("start"), "n_tokens", "ids_crc32")
 
 
 def fetch(spark: SparkSession, path: str, rows: list) -> list[np.ndarray]:
-    """Ids of some records by index rows (file, offset, length): what a shuffled reader does."""
-    out = []
+    """Ids of some records by index rows (file, offset, length): each record's bytes alone are read."""
+    jvm, out = spark.sparkContext._jvm, []
     for r in rows:
-        content = spark.read.format("binaryFile").load(f"{path}/{r['file']}").select(F.substring("content", r["offset"] + 1, r["length"])).first()[0]
-        out.append(unpack(unframe(bytes(content), 0)[0])[1])
+        file = jvm.org.apache.hadoop.fs.Path(f"{path}/{r['file']}")
+        stream = file.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).open(file)
+        try:
+            stream.seek(r["offset"])
+            content = bytes(jvm.org.apache.commons.io.IOUtils.toByteArray(stream, int(r["length"])))
+        finally:
+            stream.close()
+        out.append(unpack(unframe(content, 0)[0])[1])
     return out
 
 

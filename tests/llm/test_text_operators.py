@@ -67,6 +67,64 @@ def test_language_id(spark, docs, none):
     assert language_id.sample(none, "text", "lang", "doc_id") == []
 
 
+def test_language_model_equals_a_plain_kernel_ridge():
+    words = {"en": "the of and to with house river".split(), "fr": "le la de avec maison fleuve".split(), "de": "der die und mit haus fluss".split()}
+    rows = [(" ".join(RNG.choice(words[k]) for _ in range(9)), k) for _ in range(40) for k in words]
+    model = language_id.fit(rows, longest=3, landmarks=30)
+    grams = [{t.encode()[i : i + n] for n in (1, 2, 3) for i in range(len(t.encode()) - n + 1)} for t, _ in rows]
+    held = {}
+    for g in grams[:30]:
+        for x in g:
+            held[x] = held.get(x, 0) + 1
+    sets = [{x for x in g if held.get(x, 0) > 1} for g in grams]
+    kernel = np.array([[len(a & b) / (len(a) * len(b)) ** 0.5 for b in sets[:30]] for a in sets])
+    values, vectors = np.linalg.eigh(kernel[:30])
+    strong = values > values.max() * 1e-6
+    features = kernel @ (vectors[:, strong] / np.sqrt(values[strong]))
+    wide = np.column_stack([features, np.ones(len(rows))])
+    target = np.array([[1.0 if k == lang else -1.0 for lang in sorted(words)] for _, k in rows])
+    penalty = 1e-4 * len(rows) * np.eye(wide.shape[1])
+    penalty[-1, -1] = 0  # the bias is free
+    want = wide @ np.linalg.solve(wide.T @ wide + penalty, wide.T @ target)
+    data, offsets = text_buffer(pa.array([t for t, _ in rows]))
+    got = model.decide(model.presence(data, offsets))
+    assert np.abs(got - want).max() < 0.02 and (got.argmax(1) == want.argmax(1)).all()
+
+
+def test_sample_keeps_all_languages_and_its_bytes(spark):
+    rows = [(i, f"text of {i} " * (1 + i % 5), f"l{i % 300}") for i in range(1500)] + [(None, "no id", "l0"), (9999, "x " * 5000, "l1")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    assert len({k for _, k in language_id.sample(df, "text", "lang", "doc_id")}) == 300
+    some = language_id.sample(df, "text", "lang", "doc_id", most_bytes=20_000)
+    assert 0 < sum(len(t) for t, _ in some) <= 20_000 and all(len(t) < 2000 for t, _ in some)
+
+
+def test_rows_without_or_with_equal_ids(spark):
+    """Null and equal doc_ids, and columns named like results, through every operator that keeps a row for each."""
+    rows = [(1, "one two three four five six seven " * 4, "en", "a"), (1, "one two three four five six seven " * 4, "en", "a"), (None, "other words here", "fr", None), (None, "other words here", "fr", None), (2, None, None, "a")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")
+    for c in ("n_tokens", "lang_pred", "fingerprint", "n_bytes", "component_id", "size", "place"):
+        df = df.withColumn(c, F.lit("clash"))
+    path = vocabulary("byte_bpe_50k.json")
+    found = {
+        "language": language_id.predict(df, language_id.fit([("one two", "en"), ("other words", "fr")] * 5)),
+        "prints": fingerprints.compare_with_successor(df),
+        "records": token_records.tokenize_to_files(df, vocabulary("word_bpe_49k.json")),
+        "counts": token_counts.count_tokens(df, path),
+        "join": jaccard_join.classes(df),
+        "markov": hidden_markov.score(df, F.col("doc_id") % 7 == 2),
+        "repeats": suffix_dedup.remove_repeats(df),
+        "mix": mixing.mix(df),
+        "pieces": piece_dropout.encode(df, vocabulary("piece_bpe_32k.model")),
+    }
+    for name, out in found.items():
+        ids = [r.doc_id for r in out.collect()]
+        assert sorted(ids, key=str) == [1, 1, 2, None, None], name
+    nulls = [r for r in found["prints"].collect() if r.doc_id is None]
+    assert {r.fingerprint for r in nulls} == {nulls[0].fingerprint}
+    assert [r.held_out for r in found["markov"].collect() if r.doc_id is None] == [False, False]
+
+
 def test_fingerprints(docs, none):
     out = by_id(fingerprints.compare_with_successor(docs))
     texts = [t or "" for t in TEXTS]
@@ -95,6 +153,12 @@ def test_token_counts(docs, none):
     assert token_counts.count_tokens(none, path).count() == 0
 
 
+def rows_files(spark, name):
+    from pathlib import Path
+
+    return [str(p) for p in Path(spark.conf.get("spark.checkpoint.dir")).rglob(name)]
+
+
 def test_token_records(spark, docs, none):
     from tokenizers import Tokenizer
 
@@ -107,6 +171,15 @@ def test_token_records(spark, docs, none):
         assert (out[i].start, out[i].n_tokens, out[i].ids_crc32) == (start, len(ids), zlib.crc32(ids.tobytes()))
         start += len(ids)
     assert token_records.tokenize_to_files(none, path).count() == 0
+    where = next(f.rsplit("/", 1)[0] for f in rows_files(spark, out[6].file))
+    got = token_records.fetch(spark, where, [out[6], out[16]])
+    assert [zlib.crc32(g.astype("<u4").tobytes()) for g in got] == [out[6].ids_crc32, out[16].ids_crc32]
+    names = [(f"part-{p:05d}-x-c{c:03d}.txt", p * 10000 + c) for p in (0, 2, 100000) for c in (0, 99, 100, 999, 1000, 1001)]
+    begins = dict(token_records.in_order(spark.createDataFrame(names, "file string, ids long")).collect())
+    total = 0
+    for name, n in names:
+        assert begins[name] == total
+        total += n
     record = token_records.frame(token_records.pack(7, np.array([1, 10, 2], "<u2").tobytes(), 2))
     payload, after = token_records.unframe(record, 0)
     assert token_records.unpack(payload)[0] == 7 and token_records.unpack(payload)[1].tolist() == [1, 10, 2] and after == len(record)
