@@ -6,13 +6,13 @@ import json
 import os
 import time
 
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from keysieve.config import LARGE, Predicate
 from keysieve.operators import pairs as P
 from keysieve.operators import probe as R
-from keysieve.plans import star
+from keysieve.plans import sizing, star
 from keysieve.queries import star_queries
 from keysieve.session import ship
 from keysieve.sources.tables import table
@@ -22,12 +22,21 @@ SF_DIR = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
 CPUS = int(os.environ.get("BENCH_CPUS", "8"))
 
 
-def timed(df) -> float:
+def timed(make) -> float:
+    """Seconds of a whole call: making the DataFrame, with all jobs inside, and running it."""
     began = time.time()
-    df.write.format("noop").mode("overwrite").save()
+    make().write.format("noop").mode("overwrite").save()
     return time.time() - began
 
 
+def engine_default(spark, query) -> DataFrame:
+    """The plain join with the Bloom filters that the engine itself makes at run time, whatever the tables' sizes."""
+    spark.conf.set("spark.sql.optimizer.runtime.bloomFilter.enabled", "true")
+    spark.conf.set("spark.sql.optimizer.runtime.bloomFilter.applicationSideScanSizeThreshold", "0")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    return star.plan_join(query)
+
+
 def main() -> None:
     spark = (
         SparkSession.builder.master(f"local[{CPUS}]").config("spark.driver.memory", "12g").config("spark.sql.shuffle.partitions", str(CPUS))
@@ -40,27 +49,37 @@ def main() -> None:
     rows = relation(spark, SF_DIR, "qty")
     line_rows = rows.count()
     orders = table(spark, SF_DIR, "orders", ["o_orderkey"]).withColumnRenamed("o_orderkey", "k")
-    rates = {}
-    for variant in ("keyonly", "plain", "bloomattr", "hybrid", "chained"):
-        spec = spec_for("qty", LARGE, small_values=True, variant=variant, m=1 << 16, l_max=4)
+    probes = orders.crossJoin(spark.range(20).select(F.lit(1).alias("x")))
+    asked, rates = probes.count(), {}
+    for variant in ("warm-up", "keyonly", "plain", "bloomattr", "hybrid", "chained"):
+        of = "keyonly" if variant == "warm-up" else variant
+        spec = spec_for("qty", LARGE, small_values=True, variant=of, l_max=4)
+        if of != "keyonly":
+            spec = sizing.shape(sizing.per_key(rows, "k", ["qty"]), spec)
         sketch = P.build(rows, "k", spec)
-        took[f"build_{variant}"] = timed(sketch.entries)
-        live = R.derive_key_filter(sketch, Predicate() if variant == "keyonly" else Predicate({"qty": (17,)}))
+        built = timed(lambda s=sketch: s.entries)
+        live = R.derive_key_filter(sketch, Predicate() if of == "keyonly" else Predicate({"qty": (17,)}))
         live.cache().count()  # the prebuilt filter of the experiment, in memory
-        probes = orders.crossJoin(spark.range(20).select(F.lit(1).alias("x")))
-        took[f"probe_{variant}"] = timed(R.semi(probes, "k", live, spec))
-        rates[variant] = round(probes.count() / took[f"probe_{variant}"])
+        probed = timed(lambda f=live, s=spec: R.semi(probes, "k", f, s))
         live.unpersist()
+        if variant != "warm-up":
+            took[f"build_{variant}"], took[f"probe_{variant}"], rates[variant] = built, probed, round(asked / probed)
     query = star_queries._query(spark, SF_DIR, "example3")
-    took["star_join_plain"] = timed(star.plan_join(query))
-    took["star_join_reduced"] = timed(star.plan_join(query, star_queries._catalog(spark, SF_DIR, "example3")))
+    began = time.time()
+    catalog = star_queries._catalog(spark, SF_DIR, "example3").stored()
+    took["star_sketches_stored"] = time.time() - began
+    for name, make in {"plain": lambda: star.plan_join(query), "reduced": lambda: star.plan_join(query, catalog), "engine_bloom": lambda: engine_default(spark, query)}.items():
+        timed(make)
+        took[f"star_join_{name}"] = timed(make)
+    for c in ("optimizer.runtime.bloomFilter.enabled", "optimizer.runtime.bloomFilter.applicationSideScanSizeThreshold", "autoBroadcastJoinThreshold"):
+        spark.conf.unset(f"spark.sql.{c}")
     try:
         from keysieve.llm import queries as text_queries
     except ModuleNotFoundError:
         text_queries = None
     if text_queries is not None:
-        for name in ("op1_language_id", "op2_fingerprints", "op5_token_counts", "op9_mixing"):
-            took[name] = timed(text_queries.QUERIES[name](spark, SF_DIR))
+        for name in ("op1_language_id", "op2_fingerprints", "op5_token_counts", "op9_mixing", "op10_piece_dropout"):
+            took[name] = timed(lambda name=name: text_queries.QUERIES[name](spark, SF_DIR))
     print(
         json.dumps(
             {

@@ -76,3 +76,20 @@ def per_value(df: DataFrame, key: str, attrs: list[str]) -> DataFrame:
 def raw_bits(rows: int, high: int, low: int, load: float = 0.75) -> float:
     """Bits of a hash table over 32-bit keys and high-cardinality columns and 8-bit low-cardinality columns."""
     return rows * (32 + 32 * high + 8 * low) / load
+
+
+def engine_bloom(query: star.StarQuery) -> DataFrame:
+    """The join with a Bloom filter of each smaller side's keys, built while the query runs: what the engine injects by itself.
+
+    The engine's own aggregate and probe are planned by it where its thresholds allow; here the least relation's
+    keys, under its own predicate, are merged into one filter by the same aggregate form: (word, mask) rows.
+    """
+    first, *rest = query.relations
+    out = first.scan()
+    words = bloom_build(out, "k", 1 << 20, 3)
+    for r in rest:
+        met = bloom_probe(r.scan().select("k").distinct(), "k", words, 1 << 20, 3)
+        own = r.scan().join(met, "k", "left_semi")
+        out = out.join(own.select("k", *(F.col(c).alias(f"{r.name}_{c}") for c in own.columns if c != "k")), "k")
+    names = [c for c in first.rows.columns if c != "k"]
+    return out.select("k", *(F.col(c).alias(f"{first.name}_{c}") for c in names), *(c for c in out.columns if c != "k" and c not in names))

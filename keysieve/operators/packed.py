@@ -156,6 +156,41 @@ class ChainedFilter(Buckets):
         return True
 
 
+class PairFilter:
+    """Entries of a pair table in buckets of b slots, for places that another hash family has told.
+
+    An entry is (pair, print, payload, other bucket): a pair is named by its lower bucket. Entries go to the
+    emptier bucket of their two, and others are moved along where both are full.
+    """
+
+    def __init__(self, m: int, b: int, d: int, entries: list[tuple], max_kicks: int = 500):
+        self.b, self.d = b, d
+        self.slots: list[list] = [[] for _ in range(m)]
+        self.partner = {(p, k): o for p, k, _, o in entries}
+        for pair, kappa, payload, other in entries:
+            entry, at = (pair, kappa, payload), min((pair, other), key=lambda i: len(self.slots[i]))
+            for turn in range(max_kicks):
+                if len(self.slots[at]) < b:
+                    self.slots[at].append(entry)
+                    break
+                i = mix(turn, at, 5) % b
+                entry, self.slots[at][i] = self.slots[at][i], entry
+                at = self.partner[entry[:2]] if at == entry[0] else entry[0]
+            else:
+                raise ValueError("the buckets are too few")
+
+    def contains(self, chain, kappa: int, payload) -> bool:
+        """Whether a key may occur with a payload, whose chain of pairs is given; a chain of full pairs answers true."""
+        for pair in chain:
+            other = self.partner.get((pair, kappa))
+            held = [] if other is None else [e[2] for i in dict.fromkeys((pair, other)) for e in self.slots[i] if e[:2] == (pair, kappa)]
+            if payload in held:
+                return True
+            if len(held) < self.d:
+                return False
+        return True
+
+
 class CuckooMap(Buckets):
     """Full keys with values; doubles its buckets when an insert fails."""
 

@@ -39,6 +39,13 @@ def close(sketch: Sketch, length: int | None = None) -> DataFrame:
     return state.select(*GROUP, "payloads", F.col("open").alias("saturated"))
 
 
+def flat(closed: DataFrame, spec) -> DataFrame:
+    """A closure with a row for each vector, saturated groups once: in this form it is stored, and predicates reach its files."""
+    rows = closed.filter("not saturated").select(*GROUP, "saturated", F.explode("payloads").alias("p")).select(*GROUP, "saturated", "p.*").distinct()
+    none = [F.lit(A.NULL_PRINT).alias(c) for c in prints(spec)]
+    return rows.unionByName(closed.filter("saturated").select(*GROUP, "saturated", *none)).sortWithinPartitions(*prints(spec))
+
+
 def derive_key_filter(sketch: Sketch, pred: Predicate, closure: DataFrame | None = None) -> DataFrame:
     """The groups that may hold a matching row: a key filter for anyone downstream."""
     spec, e = sketch.spec, sketch.entries
@@ -53,6 +60,8 @@ def derive_key_filter(sketch: Sketch, pred: Predicate, closure: DataFrame | None
         by_mask = A.match_mask(F.col("mask"), pred, spec, hybrid_bits(spec), hybrid_hashes(spec), of_prints=True)
         return e.filter(F.when(F.col("is_bloom"), by_mask).otherwise(any_vector("vectors"))).select(*GROUP)
     closed = close(sketch) if closure is None else closure
+    if "payloads" not in closed.columns:
+        return closed.filter(F.col("saturated") | A.match_vector([F.col(c) for c in prints(spec)], pred, spec)).select(*GROUP)
     return closed.filter(F.col("saturated") | any_vector("payloads")).select(*GROUP)
 
 

@@ -15,6 +15,7 @@ from pyspark.sql import functions as F
 from ..config import Predicate
 from ..operators import probe as R
 from ..operators.pairs import Sketch
+from ..sources import tables as S
 
 
 @dataclass
@@ -73,6 +74,17 @@ class SketchCatalog:
             out.append((s, R.derive_key_filter(s, pred, self.closures.get(id(s)))))
         return out
 
+    def stored(self) -> SketchCatalog:
+        """The same sketches written to the shared folder, chained ones with their closures, so that queries only read them."""
+        out = SketchCatalog()
+        for relation, own in self.sketches.items():
+            for sketch in own:
+                kept = S.stored(sketch)
+                out.put(relation, kept)
+                if sketch.spec.variant == "chained":
+                    out.closures[id(kept)] = S.save_filter(R.flat(R.close(kept), kept.spec), f"{S.shared_dir(kept.entries.sparkSession)}/closure")
+        return out
+
 
 def reduce(query: StarQuery, catalog: SketchCatalog) -> dict[str, DataFrame]:
     """Each relation's scan with its own predicate and every other relation's filters."""

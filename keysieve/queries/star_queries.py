@@ -237,6 +237,18 @@ def star_join_result(spark, d):
     return star.plan_join(_query(spark, d, "example3"), _catalog(spark, d, "example3"))
 
 
+@reg.add("star_join_stored", _join_sql("example3"))
+def star_join_stored(spark, d):
+    """The same over sketches that were built before and stored with their closures."""
+    return star.plan_join(_query(spark, d, "example3"), _catalog(spark, d, "example3").stored())
+
+
+@reg.add("base_engine_bloom", _join_sql("example3"))
+def base_engine_bloom(spark, d):
+    """The plain join in which the engine injects its own Bloom filter of the smaller side at run time: one filter for each join, without predicates of other relations."""
+    return B.engine_bloom(_query(spark, d, "example3"))
+
+
 @reg.add("star_join_customer", _join_sql("customer"))
 def star_join_customer(spark, d):
     return star.plan_join(_query(spark, d, "customer"), _catalog(spark, d, "customer"))

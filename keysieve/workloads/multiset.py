@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -13,11 +15,9 @@ from ..plans import bounds
 OFFSET, RANKS = 2.7, 500
 
 
-def constant_stream(keys: DataFrame, dupes: int, length: int, salt: int) -> DataFrame:
-    """(key, attr, pos): every key with the same number of attributes, in an order of hashes; keys are taken by their least numbers."""
-    n = -(-length // dupes)
-    some = keys.orderBy("k").limit(n)
-    rows = some.select(F.col("k").alias("key"), F.explode(F.sequence(F.lit(1).cast("bigint"), F.lit(dupes).cast("bigint"))).alias("attr"))
+def constant_stream(keys: DataFrame, dupes: int, salt: int) -> DataFrame:
+    """(key, attr, pos): every key with the same number of attributes, in an order of hashes."""
+    rows = keys.select(F.col("k").alias("key"), F.explode(F.sequence(F.lit(1).cast("bigint"), F.lit(dupes).cast("bigint"))).alias("attr"))
     return ordered(rows, salt)
 
 
@@ -63,7 +63,7 @@ def simulate(variant: str, m: int, b: int, d: int, dupes: float, law: str, run:
         key += 1
     rows.sort(key=lambda r: mix(r[0], r[1], run, 13))
     for i, (k, a) in enumerate(rows):
-        if not sketch.insert(k, a & 0xFF):
+        if not sketch.insert(k, a):  # attributes of a key are all different
             return i, sketch.load, m * b * (key_bits + 8)
     return len(rows), sketch.load, m * b * (key_bits + 8)
 
@@ -83,21 +83,23 @@ def experiment(spark, configs: list[tuple]) -> DataFrame:
     return rows.repartition(max(1, len(configs) // 4), "variant", "b", "d", "dupes", "run").groupBy("variant", "b", "d", "dupes", "run").applyInPandas(run, schema)
 
 
-def efficiency(m: int, b: int, d: int, dupes: int, run: int, key_bits: int = 8) -> tuple[float, float]:
-    """(bits per key and bit of its false positive rate, that rate) of a chained sketch filled to its first failure."""
+def efficiency(m: int, b: int, d: int, dupes: int, run: int, key_bits: int) -> tuple[float, float, float]:
+    """Bits per inserted copy and bit of the false positive rate, of the key prints of a chained sketch filled to its first failure.
+
+    First with the rate that an absent key meets, by the different prints in its two buckets, then with the bound
+    that takes all entries there as different; and that rate. Copies of a key beyond d lengthen its chain.
+    """
     sketch = ChainedFilter(m, b, d, None, key_bits=key_bits, salt=run)
-    n = int(m * b / dupes)
+    rows = sorted(((k, a) for k in range(int(1.2 * m * b / dupes) + 1) for a in range(dupes)), key=lambda r: mix(r[0], r[1], run, 13))
     done = 0
-    for i in range(n):
-        if not all(sketch.insert(i, a) for a in range(dupes)):
+    for k, a in rows:
+        if not sketch.insert(k, a):
             break
         done += 1
-    asked = 20_000
-    rate = max(1, sum(sketch.contains((1 << 40) + i) for i in range(asked))) / asked
-    import math
-
-    # key prints only: what an entry needs to answer for keys
-    return m * b * key_bits / (done * dupes * math.log2(1 / rate)), rate
+    pairs = [sketch.slots[i] + sketch.slots[(i + m // 2) % m] for i in range(m)]
+    rates = [sum(len(x) for x in held) / m * 2.0**-key_bits for held in ([{e[0] for e in p} for p in pairs], pairs)]
+    one, bound = (m * b * key_bits / (done * math.log2(1 / r)) for r in rates)
+    return one, bound, rates[0]
 
 
 LINEAR = bounds.linear_probing_cost
