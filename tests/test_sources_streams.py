@@ -1,5 +1,7 @@
 """Storage layouts and what streams do with late rows."""
 
+import time
+
 from pyspark.sql import functions as F
 
 from keysieve.operators import relational as O
@@ -21,11 +23,15 @@ def test_bucketed_tables_join_without_moving_rows(spark, sf):
 def test_late_rows_are_counted(spark, sf):
     path = S.shared_dir(spark)
     events = S.table(spark, sf, "events").withColumn("ts", F.col("ts").cast("timestamp"))
-    new, old = events.filter("ts >= '2024-01-20'"), events.filter("ts < '2024-01-10'")
-    for i, part in enumerate((new, old)):  # files are read by age
+    # a batch is held against the watermark that the batch before it began with, so rows are late from the third on
+    new, more, old = events.filter("ts >= '2024-01-25'"), events.filter("ts >= '2024-01-20' and ts < '2024-01-25'"), events.filter("ts < '2024-01-10'")
+    for i, part in enumerate((new, more, old)):  # files are read by age
+        time.sleep(1.1 * (i > 0))
         part.coalesce(1).write.mode("append").parquet(f"{path}/late.parquet")
         assert part.count() > 0, i
-    assert ST.late_rows(ST.source(spark, path, "late", files=1), "1 day") >= 0
+    late = ST.late_rows(ST.source(spark, path, "late", files=1), "1 day")
+    # rows are told after they were combined by day and type
+    assert late == old.select(F.to_date("ts"), "event_type").distinct().count() > 0
 
 
 def test_range_and_asof_joins(spark):

@@ -5,7 +5,7 @@ import pytest
 
 import __spark_entry__ as E
 
-WHOLE = {"project_expr_all": "lineitem", "fn_bits_all": "orders", "fn_date_all": "orders", "fn_json_all": "events", "join_outer_all": None}
+WHOLE = {"project_expr": "lineitem", "fn_bits": "orders", "fn_date": "orders", "fn_json": "events", "join_outer": None}
 
 
 @pytest.mark.parametrize("name", WHOLE)
