@@ -11,7 +11,7 @@ rare n-grams first; two sets can only link if they share an n-gram among the fir
 3. Groups that share a posted n-gram are candidates if size and place leave room: where the first n-gram that two
    sets share lies, at least the needed intersection must still follow in both. A group stands for its members
    by its leader. Lists have a few hubs; in each of the first rounds a group is tried with one hub of its lists in
-   another class, the one that parities of 256 cells call nearest. Then all group pairs that still hold two
+   another class, the one that parities of their n-grams call nearest. Then all group pairs that still hold two
    classes are expanded to members, but for pairs that parities prove to differ too much: first the nearest few
    of two classes, then, of classes that these do not unite, all.
 4. Pairs are verified on whole sets: the texts of partners pass by one held set, and partners of one set are dealt
@@ -41,10 +41,11 @@ from .common import U64, bucket_bits, by_bucket, common, components, forget, gat
 HEAVY, LEAST_HEAVY, FILTER_LOG2 = 1 << 20, 9, 27
 #: Hubs of a list, about, in the rounds in which a group is tried with one of them, the first with its lists' least;
 #: then pairs of two classes that are tried in a round, before all pairs.
-HUBS, NEAREST = (1, 4, 16), (1, 4)
+HUBS, NEAREST = (1, 4, 8, 16), (1, 4)
 #: N-grams that a task holds before it sends them on, and partners of one seat.
 FLUSH, PARTNERS = 1 << 21, 256
-PARITY = ("p0", "p1", "p2", "p3")
+#: Parities in 512 cells, 64 to a number.
+PARITY = tuple(f"p{i}" for i in range(8))
 
 
 def _needed(n: np.ndarray, m: np.ndarray, percent: int) -> np.ndarray:
@@ -62,8 +63,10 @@ def _sign(s: np.ndarray) -> int:
 
 
 def _parity(s: np.ndarray) -> np.ndarray:
-    """Parities of a set's n-grams in 256 cells: each n-gram that only one of two sets has flips one."""
-    return np.packbits(np.bincount((mix(s) >> U64(56)).astype(np.int64), minlength=256).astype(np.uint8) & 1).view(np.int64)
+    """Parities of a set's n-grams in cells: an n-gram that only one of two sets has flips one."""
+    cells = 64 * len(PARITY)
+    odd = np.bincount((mix(s) & U64(cells - 1)).astype(np.int64), minlength=cells).astype(np.uint8) & 1
+    return np.packbits(odd, bitorder="little").view(np.int64)
 
 
 # --- the order
@@ -197,7 +200,7 @@ def _told(sets: list[np.ndarray], known: set, order: Order, percent: int):
         rank = ranks[end - n : end]
         length = n + (-percent * n) // 100 + 1 if n else 0
         if n - np.count_nonzero(rank) >= length:  # a prefix of n-grams that nothing else has, or an empty set
-            out.append((n, _sign(s), 0, False, None, None, None, None, [], []))
+            out.append((n, _sign(s), 0, False, *[None] * len(PARITY), [], []))
             continue
         sort = rank.argsort(kind="stable")[:length]
         own, posted = s[sort], np.flatnonzero(rank[sort] > 0)
@@ -209,13 +212,13 @@ def _told(sets: list[np.ndarray], known: set, order: Order, percent: int):
     return out
 
 
-SETS = "doc_id long, n int, sign long, grp long, shared boolean, p0 long, p1 long, p2 long, p3 long, grams array<long>, places array<int>"
+SETS = f"doc_id long, n int, sign long, grp long, shared boolean, {', '.join(f'{p} long' for p in PARITY)}, grams array<long>, places array<int>"
 
 
 def read_sets(docs: DataFrame, k: int, percent: int, order: Order) -> DataFrame:
     """What every row's set is, and the postings of its group where a task met it first."""
     shared = docs.sparkSession.sparkContext.broadcast(order)
-    kinds = [pa.int32(), pa.int64(), pa.int64(), pa.bool_(), *[pa.int64()] * 4, pa.list_(pa.int64()), pa.list_(pa.int32())]
+    kinds = [pa.int32(), pa.int64(), pa.int64(), pa.bool_(), *[pa.int64()] * len(PARITY), pa.list_(pa.int64()), pa.list_(pa.int32())]
 
     def run(batches):
         known: set[int] = set()
