@@ -44,13 +44,18 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return out
 
 
+def sweep(spark: SparkSession) -> None:
+    """Lets Spark drop the shuffle files of plans that are gone: its cleaner waits for the driver's garbage collector."""
+    spark.sparkContext._jvm.System.gc()
+
+
 def forget(*tables: DataFrame) -> None:
-    """Deletes written tables that nothing reads any more, and lets Spark drop the shuffle files behind them."""
+    """Deletes written tables that nothing reads any more, and the shuffle files behind them."""
     for t in tables:
         jvm, conf = t.sparkSession.sparkContext._jvm, t.sparkSession.sparkContext._jsc.hadoopConfiguration()
         path = jvm.org.apache.hadoop.fs.Path(t._written)
         path.getFileSystem(conf).delete(path, True)
-    jvm.System.gc()  # the driver's cleaner removes shuffles whose plans are gone
+    sweep(tables[0].sparkSession)
 
 
 def mix(x: np.ndarray) -> np.ndarray:

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import U64, bucket_bits, gathered, mix, slices, text_buffer, word_hashes, written
+from .common import U64, bucket_bits, gathered, mix, slices, sweep, text_buffer, word_hashes, written
 
 STATES, OWN, OWN_COUNT, SHARED, OWN_MOST = 8, 4096, 64, 1024, 1 << 20
 #: Words of a chunk, tokens of a stretch, and the gain of log likelihood, as a part of it, under which training ends.
@@ -391,6 +391,7 @@ def train(table: DataFrame, counts: DataFrame, states: int = STATES) -> Model:
     model.history = []
     while model.tokens:
         *sums, logs = corpus_expected(model, table)
+        sweep(table.sparkSession)  # a round's tables are on disk until then
         model.set(*sums)
         model.history.append(float(logs[0]))
         if len(model.history) > 1 and model.history[-1] - model.history[-2] < SETTLED * abs(model.history[-2]):
