@@ -242,3 +242,14 @@ def test_loads_follow_the_experiments():
     assert load("plain", 4, 8) < load("chained", 4, 8) - 0.2
     zipf = {v: sum(multiset.simulate(v, 256, 6, 3, 6, "zipf", r)[1] for r in range(3)) / 3 for v in ("plain", "chained")}
     assert zipf["plain"] < 0.6 < 0.85 < zipf["chained"]
+
+
+def test_large_sketches_are_cut_into_shards(spark):
+    df = rows(spark, [(k, k % 5, "a") for k in range(3000)])
+    keys = sizing.per_key(df, "k", ["x", "y"])
+    s = sizing.shape(keys, spec("chained", m=2, b=4), shard=500)
+    assert s.shards == 6 and s.m * s.b * s.shards >= 3000 and sizing.shape(keys, spec("chained")).shards == 1
+    sketch = P.build(df, "k", s)
+    assert sketch.entries.select("shard").distinct().count() == 6
+    hit = R.contains(df.select("k"), "k", Predicate.eq(x=2, y="a"), sketch)
+    assert {k for k in range(3000) if k % 5 == 2} <= {r.k for r in hit.collect()} and hit.count() < 2500
