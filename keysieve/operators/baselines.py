@@ -79,10 +79,10 @@ def raw_bits(rows: int, high: int, low: int, load: float = 0.75) -> float:
 
 
 def engine_bloom(query: star.StarQuery) -> DataFrame:
-    """The join with a Bloom filter of each smaller side's keys, built while the query runs: what the engine injects by itself.
+    """The join with a Bloom filter that is built of the first relation's rows while the query runs and probed by the others.
 
-    The engine's own aggregate and probe are planned by it where its thresholds allow; here the least relation's
-    keys, under its own predicate, are merged into one filter by the same aggregate form: (word, mask) rows.
+    It has the form of the filter that the engine injects by itself where its thresholds allow (bench.py times that
+    one): no stored sketch, one filter for a join, and nothing of the other relations' predicates.
     """
     first, *rest = query.relations
     out = first.scan()

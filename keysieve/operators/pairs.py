@@ -224,7 +224,7 @@ def rebuild_chained(entries: DataFrame, spec: SketchSpec) -> Sketch:
 
 
 def grown(df: DataFrame, key: str, spec: SketchSpec, loads: dict[int, float], most: int = 24) -> Sketch:
-    """The sketch, rebuilt from its input in more or larger buckets until everything has a place.
+    """The sketch, rebuilt from its input in more or larger buckets until all its entries have a place.
 
     Buckets are doubled until the entries stay below the load that buckets of that size reached. A group that two
     buckets cannot hold needs larger ones, which only plain sketches can come to.

@@ -167,7 +167,7 @@ def test_merged_sketches_answer_for_both(spark, variant):
 
 
 def test_sketches_grow_until_they_fit(spark):
-    df = rows(spark, RANDOM)
+    df = rows(spark, [*RANDOM, *((k, x, "a") for k in range(60) for x in range(3))])
     for variant in ("plain", "chained"):
         sketch = P.grown(df, "k", spec(variant, m=2, b=4), sizing.LOADS)
         largest = sketch.entries.groupBy(*P.GROUP).count().agg(F.max("count")).first()[0]
