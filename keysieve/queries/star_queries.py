@@ -29,12 +29,12 @@ def star70_instances(spark, d):
 
 @reg.add("star70_large", star70.instances_sql(BIG))
 def star70_large(spark, d):
-    return star70.instances(spark, d, BIG)
+    return _instances(spark, d, BIG)
 
 
 @reg.add("star70_small", star70.instances_sql(LITTLE))
 def star70_small(spark, d):
-    return star70.instances(spark, d, LITTLE)
+    return _instances(spark, d, LITTLE)
 
 
 @reg.add("star70_binned", f"select q, rel, m_exact, m_binned, round(m_binned / m_pred, 6) as rf_binned from ({star70.instances_sql()})")
@@ -49,8 +49,12 @@ def _instances(spark, d, base, fitted=False):
     """The instances of a base, written once for a session and read by all summaries of them."""
     key = (spark.sparkContext.applicationId, d, base, fitted)
     if key not in _made:
+        rows = (spark.sparkContext.applicationId, d, "own")
+        if rows not in _made:
+            _made[rows] = f"{S.shared_dir(spark)}/own"
+            star70.own_rows(spark, d).write.parquet(_made[rows])
         path = f"{S.shared_dir(spark)}/instances"
-        star70.instances(spark, d, star70.sized(spark, d, base) if fitted else base).write.parquet(path)
+        star70.instances(spark, d, star70.sized(spark, d, base) if fitted else base, spark.read.parquet(_made[rows])).write.parquet(path)
         _made[key] = path
     return spark.read.parquet(_made[key])
 

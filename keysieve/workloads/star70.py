@@ -143,11 +143,14 @@ def live_groups(spark, d, chosen: dict):
 
     from ..operators import pairs as P
     from ..operators.probe import close
+    from ..sources import tables as S
     from .fixtures import relation
 
     out = None
     for role, spec in chosen.items():
         sketch = P.build(relation(spark, d, fixture(role)), "k", spec)
+        if spec.variant == "chained":
+            sketch = S.stored(sketch)  # its closure reads the entries once for each hop
         wanted = _wanted(spark, d, role, spec)
         coded = masked = always = None
         if spec.variant == "chained":
@@ -176,10 +179,23 @@ def live_groups(spark, d, chosen: dict):
     return out.distinct()
 
 
-def instances(spark, d, base=None):
+def own_rows(spark, d):
+    """(q, rel, n_rel, k, n, ex, bi): rows of each instance's own predicate by key, and whether exact and binned semi joins keep them."""
+    from pyspark.sql import functions as F
+
+    found = matching(spark, d)
+    exact = found.filter("n > 0").groupBy("q", "n_rel", "k").agg(F.count("*").alias("in_rel")).filter("in_rel = n_rel").select("q", "k", F.lit(1).alias("ex"))
+    # all satellites hold the key, and orders holds it by bins: what a satellite scan sees of orders
+    wide = found.groupBy("q", "n_rel", "k").agg(F.count("*").alias("in_rel")).filter("in_rel = n_rel").select("q", "k", F.lit(1).alias("wide"))
+    rows = found.filter("n > 0").join(exact, ["q", "k"], "left").join(wide, ["q", "k"], "left")
+    bi = F.when(F.col("rel") == "orders", F.coalesce("ex", F.lit(0))).otherwise(F.coalesce("wide", F.lit(0)))
+    return rows.select("q", "rel", "n_rel", "k", "n", F.coalesce("ex", F.lit(0)).alias("ex"), bi.alias("bi"))
+
+
+def instances(spark, d, base=None, own=None):
     """One row for each (query, relation): own rows, and what exact, binned, key-only and sketch semi joins leave of them.
 
-    `base` is a spec, or the specs of all relations.
+    `base` is a spec, or the specs of all relations; `own` is what `own_rows` gives, where it is at hand.
     """
     from pyspark.sql import functions as F
 
@@ -188,14 +204,9 @@ def instances(spark, d, base=None):
     from ..operators.probe import contains_key
     from .fixtures import relation
 
-    found = matching(spark, d)
-    exact = found.filter("n > 0").groupBy("q", "n_rel", "k").agg(F.count("*").alias("in_rel")).filter("in_rel = n_rel").select("q", "k", F.lit(1).alias("ex"))
-    # all satellites hold the key, and orders holds it by bins: what a satellite scan sees of orders
-    wide = found.groupBy("q", "n_rel", "k").agg(F.count("*").alias("in_rel")).filter("in_rel = n_rel").select("q", "k", F.lit(1).alias("wide"))
-    own = found.filter("n > 0")
-    rows = own.join(exact, ["q", "k"], "left").join(wide, ["q", "k"], "left")
-    ex, bi = F.coalesce("ex", F.lit(0)), F.when(F.col("rel") == "orders", F.coalesce("ex", F.lit(0))).otherwise(F.coalesce("wide", F.lit(0)))
-    sums = [F.sum("n").alias("m_pred"), F.sum(ex * F.col("n")).alias("m_exact"), F.sum(bi * F.col("n")).alias("m_binned")]
+    own = own_rows(spark, d) if own is None else own
+    rows = own
+    sums = [F.sum("n").alias("m_pred"), F.sum(F.col("ex") * F.col("n")).alias("m_exact"), F.sum(F.col("bi") * F.col("n")).alias("m_binned")]
     if base is not None:
         chosen = base if isinstance(base, dict) else specs(base)
         live = live_groups(spark, d, chosen)
