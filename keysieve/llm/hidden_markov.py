@@ -359,7 +359,7 @@ def corpus_expected(model: Model, table: DataFrame) -> list[np.ndarray]:
             met = np.flatnonzero(total[3].any(0))
             for p in range(parts):
                 some = met[(met >= cuts[p]) & (met < cuts[p + 1])]
-                cells = [small if p == 0 else b"", some.tobytes(), np.ascontiguousarray(total[3][:, some]).tobytes()]
+                cells = [small if p == 0 else b"", some.astype("<u4").tobytes(), np.ascontiguousarray(total[3][:, some], "<f4").tobytes()]
                 yield pa.RecordBatch.from_arrays([pa.array([p], pa.int32()), *(pa.array([c], pa.binary()) for c in cells)], ["part", "small", "classes", "e"])
 
     def add(batches):
@@ -370,7 +370,7 @@ def corpus_expected(model: Model, table: DataFrame) -> list[np.ndarray]:
                     small += np.frombuffer(few, np.float64)
                 if p not in tables:
                     tables[p] = np.zeros((k, cuts[p + 1] - cuts[p]))
-                tables[p][:, np.frombuffer(classes, np.int64) - cuts[p]] += np.frombuffer(e, np.float64).reshape(k, -1)
+                tables[p][:, np.frombuffer(classes, "<u4").astype(np.int64) - cuts[p]] += np.frombuffer(e, "<f4").reshape(k, -1)
         for p, x in tables.items():
             yield pa.RecordBatch.from_arrays([pa.array([p], pa.int32()), pa.array([small.tobytes() if p == 0 else b""], pa.binary()), pa.array([x.tobytes()], pa.binary())], ["part", "small", "e"])
 
