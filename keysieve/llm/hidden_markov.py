@@ -10,7 +10,8 @@ words' log10 shares of their classes; every class keeps the mass of one unseen w
 The corpus is tokenized once into chunks: distinct word hashes, their training counts, and the words as
 numbers. Distinct words of chunks meet by ranges of their hash, where counts are added up and go back to each
 chunk in the order of its words. Training starts from a seeded random table; each round goes over all training
-texts and sends, for each task, the expected counts of the classes it met, which meet by ranges of classes.
+texts in as many tasks as run at once, twice over, and sends, for each task, the expected counts of the classes it
+met, which meet by ranges of classes; a round's shuffle files go with it.
 Rounds go on until the corpus likelihood settles. For training, texts are cut into stretches of `STRETCH` tokens; likelihoods are of whole texts.
 
 Defined results: null and empty texts have one token, the end. A row without doc_id is not held out. Without training texts every token is unknown
@@ -26,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import U64, bucket_bits, gathered, mix, slices, sweep, text_buffer, word_hashes, written
+from .common import U64, bucket_bits, gathered, mix, released, slices, text_buffer, word_hashes, written
 
 STATES, OWN, OWN_COUNT, SHARED, OWN_MOST = 8, 4096, 64, 1024, 1 << 20
 #: Words of a chunk, tokens of a stretch, and the gain of log likelihood, as a part of it, under which training ends.
@@ -374,9 +375,13 @@ def corpus_expected(model: Model, table: DataFrame) -> list[np.ndarray]:
         for p, x in tables.items():
             yield pa.RecordBatch.from_arrays([pa.array([p], pa.int32()), pa.array([small.tobytes() if p == 0 else b""], pa.binary()), pa.array([x.tobytes()], pa.binary())], ["part", "small", "e"])
 
-    sent = table.select("counts", "held", "words", "keys").mapInArrow(count, "part int, small binary, classes binary, e binary")
     small, emit = np.zeros(2 * k + k * k + 1), np.zeros((k, model.n))
-    for r in sent.repartition(8, "part").mapInArrow(add, "part int, small binary, e binary").collect():
+    with released(spark):  # a round's tables are on disk until its sums are here
+        # as many tasks as run at once, twice over, so that what they send follows the machines and not the texts
+        few = table.select("counts", "held", "words", "keys").coalesce(2 * spark.sparkContext.defaultParallelism)
+        sent = few.mapInArrow(count, "part int, small binary, classes binary, e binary")
+        rows = sent.repartition(8, "part").mapInArrow(add, "part int, small binary, e binary").collect()
+    for r in rows:
         emit[:, cuts[r["part"]] : cuts[r["part"] + 1]] = np.frombuffer(r["e"], np.float64).reshape(k, -1)
         if r["part"] == 0:
             small = np.frombuffer(r["small"], np.float64)
@@ -391,7 +396,6 @@ def train(table: DataFrame, counts: DataFrame, states: int = STATES) -> Model:
     model.history = []
     while model.tokens:
         *sums, logs = corpus_expected(model, table)
-        sweep(table.sparkSession)  # a round's tables are on disk until then
         model.set(*sums)
         model.history.append(float(logs[0]))
         if len(model.history) > 1 and model.history[-1] - model.history[-2] < SETTLED * abs(model.history[-2]):

@@ -1,5 +1,6 @@
 """The ten operators on small fixtures against brute force, the libraries, exact round trips and held-out accuracy."""
 
+import time
 import hashlib
 import random
 import re
@@ -547,3 +548,23 @@ def test_pipeline_keeps_rows_without_labels_or_ids(spark):
     want = sum(r.copies for r in P.mixing.mix(docs).collect())
     got = P.mix_sources(spark, docs, "").collect()
     assert len(got) == want and any(r.doc_id is None for r in got) and {r.text for r in got} <= {r[1] for r in rows}
+
+
+def test_rounds_of_training_leave_no_shuffle_files(spark):
+    from pathlib import Path
+
+    from keysieve.llm import hidden_markov
+
+    docs = spark.createDataFrame([(i, f"word{i % 7} word{i % 5} other") for i in range(60)], "doc_id long, text string").repartition(3)
+    table = hidden_markov.chunks(docs, F.lit(False))
+    model = hidden_markov.word_classes(hidden_markov.word_counts(table, 5))
+    hidden_markov._begin(model, 2)
+    folder = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().localDirsString()
+    held = lambda: {f.name for d in folder for f in Path(d).rglob("shuffle_*.data")}
+    before = held()
+    for _ in range(3):
+        hidden_markov.corpus_expected(model, table)
+    end = time.time() + 20
+    while held() - before and time.time() < end:
+        time.sleep(0.2)
+    assert not held() - before
