@@ -253,3 +253,19 @@ def test_large_sketches_are_cut_into_shards(spark):
     assert sketch.entries.select("shard").distinct().count() == 6
     hit = R.contains(df.select("k"), "k", Predicate.eq(x=2, y="a"), sketch)
     assert {k for k in range(3000) if k % 5 == 2} <= {r.k for r in hit.collect()} and hit.count() < 2500
+
+
+def test_discarded_vectors_of_chains_that_end_at_one_pair(spark):
+    """A vector that one chain holds is still discarded from another one with the same last pair."""
+    import duckdb
+
+    from keysieve.queries import sql as Q
+
+    draw = random.Random(2)
+    data = [(draw.randrange(300), draw.randrange(12)) for _ in range(1500)]
+    own = spec("chained", attrs=(AttrSpec("v"),), m=32, key_bits=3, attr_bits=8, d=1, hash_family="portable")
+    sketch = P.build_chained(spark.createDataFrame(data, "k long, v long"), "k", own)
+    source = "select * from (values " + ", ".join(map(str, data)) + ") t(k, v)"
+    for name, found in (("entries", sketch.entries), ("over_", sketch.discarded)):
+        want = duckdb.sql(f"with {Q.chained(source, own)} select pair_id, kappa, a_0 from {name}").fetchall()
+        assert sorted(want) == sorted((r.pair_id, r.kappa, r.a_0) for r in found.collect())
