@@ -126,7 +126,8 @@ class Encoder:
                 out[i] = self.raw(self.library.encode(t, add_special_tokens=False).ids)
         if len(memo) > MEMO:
             memo.clear()
-        new = list(set().union(*(p for _, p in near)) - memo.keys())
+        # asked piece by piece: a difference of sets would walk through the whole memo
+        new = [p for p in set().union(*(p for _, p in near)) if p not in memo]
         for i in range(0, len(new), 2000):
             self._learn(new[i : i + 2000])
         get = memo.__getitem__

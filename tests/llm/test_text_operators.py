@@ -160,6 +160,21 @@ def rows_files(spark, name):
     return [str(p) for p in Path(spark.conf.get("spark.checkpoint.dir")).rglob(name)]
 
 
+def test_encoder_asks_its_memo_for_single_pieces():
+    """A batch costs what its own pieces cost, whatever a worker remembers."""
+
+    class Memo(dict):
+        def keys(self):
+            raise AssertionError("the whole memo is walked through")
+
+        __iter__ = items = values = keys
+
+    e = token_records.Encoder(vocabulary("word_bpe_49k.json"))
+    e.memo = Memo()
+    for texts in (["a small text", ""], ["another small text's 12"]):
+        assert e.encode(texts) == [e.raw(e.library.encode(t, add_special_tokens=False).ids) for t in texts]
+
+
 def test_token_records(spark, docs, none):
     from tokenizers import Tokenizer
 
