@@ -583,3 +583,23 @@ def test_rounds_of_training_leave_no_shuffle_files(spark):
     while held() - before and time.time() < end:
         time.sleep(0.2)
     assert not held() - before
+
+
+def test_mixing_deals_texts_once(spark):
+    import corpus_pipeline as P
+
+    rows = [(i // 2 if i % 5 else None, f"one two {i}", "en", "ab"[i % 2], 9) for i in range(40)]
+    mixed = P.mix_sources(spark, spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long"), "")
+    plan = mixed._jdf.queryExecution().executedPlan().toString()
+    assert sum("Exchange hashpartitioning" in line for line in plan.splitlines()) == 1
+
+
+def test_batches_are_bounded_by_bytes(spark):
+    """A task's batch has some 4 MB at most, however many rows that are, or one row."""
+
+    def sizes(batches):
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([pa.array([b.nbytes], pa.int64())], ["n"])
+
+    wide = spark.range(0, 24, 1, 1).select(F.repeat(F.lit("abcdefgh"), 1 << 17).alias("text"))
+    assert max(r.n for r in wide.mapInArrow(sizes, "n long").collect()) < 6 << 20
