@@ -54,10 +54,10 @@ def vectors(slot: np.ndarray, prints: list[np.ndarray], slots: int, spec: Sketch
     return places[number // max(1, len(codes))], told(codes[number % max(1, len(codes))])
 
 
-def chained_entries(slot: np.ndarray, prints: list[np.ndarray], kappas: np.ndarray, spec: SketchSpec) -> tuple[np.ndarray, list[np.ndarray]]:
+def chained_entries(slot: np.ndarray, prints: list[np.ndarray], kappas: np.ndarray, spec: SketchSpec, onward: chains.Onward | None = None) -> tuple[np.ndarray, list[np.ndarray]]:
     """(slots, prints) of what has a place after all rounds."""
     code, _, told = _coded(prints, len(slot), spec)
-    slot, code, late = chains.settled(slot, code, np.ones(len(slot), np.int64), kappas, spec)
+    slot, code, late = chains.settled(slot, code, np.ones(len(slot), np.int64), kappas, spec, onward)
     return slot[late == 0], told(code[late == 0])
 
 
@@ -91,14 +91,14 @@ def _met_by_bits(masks: np.ndarray, asked: Asked) -> list[np.ndarray]:
     return out
 
 
-def live(slot: np.ndarray, prints: list[np.ndarray], masks: np.ndarray | None, asked: Asked, kappas: np.ndarray, spec: SketchSpec) -> tuple[np.ndarray, list[np.ndarray]]:
+def live(slot: np.ndarray, prints: list[np.ndarray], masks: np.ndarray | None, asked: Asked, kappas: np.ndarray, spec: SketchSpec, onward: chains.Onward | None = None) -> tuple[np.ndarray, list[np.ndarray]]:
     """(slots, masks of queries) of the groups of the sketch of rows with these prints, or Bloom masks, at these slots."""
     if spec.variant == "bloomattr":
         slot, masks = bloom_entries(slot, masks)
         return slot, _met_by_bits(masks, asked)
     if spec.variant == "chained":
-        slot, prints = chained_entries(slot, prints, kappas, spec)
-        return chains.closed(slot, chains.met(prints, len(slot), asked.by_prints), asked.always, kappas, spec)
+        slot, prints = chained_entries(slot, prints, kappas, spec, onward)
+        return chains.closed(slot, chains.met(prints, len(slot), asked.by_prints), asked.always, kappas, spec, onward)
     slot, prints = vectors(slot, prints, len(kappas) * spec.m, spec)
     own, starts = chains.met(prints, len(slot), asked.by_prints), _groups(slot)
     if not len(starts):

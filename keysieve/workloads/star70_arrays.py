@@ -11,6 +11,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import functions as F
 
+from ..functions import md5
 from ..operators import arrays, chains, places
 from ..operators.pairs import hybrid_bits, hybrid_hashes
 from . import star70 as W
@@ -104,12 +105,16 @@ class Part:
 
         return self._once(("distinct", role), make)
 
+    def _h60(self, role: str, column: str):
+        """Hashes of a column's different values, each role's taken once for prints and masks of all widths."""
+        return lambda before, values: self._once(("h60", role == "orders", column, before), lambda: md5.column(before, values))
+
     def prints(self, role: str, spec) -> list[np.ndarray]:
         """The prints of `distinct`."""
         out = []
         for i, (column, at) in enumerate(zip(W.VALUES[role], self.distinct(role)[1], strict=True)):
             values = self._column(role, column)[0]
-            make = lambda i=i, values=values, at=at: np.r_[places.prints(values, i, spec), places.A.NULL_PRINT][at].astype(np.int64)
+            make = lambda i=i, values=values, at=at, h60=self._h60(role, column): np.r_[places.prints(values, i, spec, h60), places.A.NULL_PRINT][at].astype(np.int64)
             out.append(self._once(("print", role, i, spec.attrs[i].exact_ints, spec.attr_bits, spec.salt), make))
         return out
 
@@ -117,7 +122,7 @@ class Part:
         """The Bloom bits of `distinct`."""
         out = np.zeros(len(self.distinct(role)[0]), np.int64)
         for i, (column, at) in enumerate(zip(W.VALUES[role], self.distinct(role)[1], strict=True)):
-            out |= np.r_[places.mask(self._column(role, column)[0], i, spec, spec.bloom_bits, spec.bloom_hashes), 0][at]
+            out |= np.r_[places.mask(self._column(role, column)[0], i, spec, spec.bloom_bits, spec.bloom_hashes, self._h60(role, column)), 0][at]
         return out
 
     def slots(self, spec) -> tuple[np.ndarray, np.ndarray]:
@@ -131,22 +136,33 @@ class Part:
 
         return self._once(("slots", spec.m, spec.key_bits, spec.salt), make)
 
+    def _met(self, spec) -> tuple[np.ndarray, np.ndarray]:
+        """Different slots of the keys in order, and the place of each key's."""
+        return self._once(("met", spec.m, spec.key_bits, spec.salt), lambda: np.unique(self.slots(spec)[0], return_inverse=True))
+
     def held(self, role: str, spec, asked) -> list[np.ndarray]:
         """For each key, the queries under whose literals its group of the relation's sketch is left."""
         slot, kappas = self.slots(spec)
         of = self.distinct(role)[0]
         by_bits = spec.variant == "bloomattr"
-        at, met = arrays.live(slot[of], [] if by_bits else self.prints(role, spec), self.masks(role, spec) if by_bits else None, asked, kappas, spec)
+        onward = self._once(("onward", spec.m, spec.key_bits, spec.salt), lambda: chains.Onward(kappas, spec))
+        at, met = arrays.live(slot[of], [] if by_bits else self.prints(role, spec), self.masks(role, spec) if by_bits else None, asked, kappas, spec, onward)
         if not len(at):
             return [np.zeros(len(self.keys), np.int64) for _ in (0, 1)]
-        there = np.minimum(np.searchsorted(at, slot), len(at) - 1)
-        return [np.where(at[there] == slot, m[there], 0) for m in met]
+        some, back = self._met(spec)
+        there = np.minimum(np.searchsorted(at, some), len(at) - 1)
+        return [np.where(at[there] == some, m[there], 0)[back] for m in met]
 
     def by_key(self, spec, role: str) -> np.ndarray:
         """Keys whose group in a sketch holds any key of a relation."""
-        slot, _ = self.slots(spec)
-        mine = self.of[role]
-        return np.isin(slot, slot[mine[mine < len(self.keys)]])
+
+        def make():
+            (some, back), mine = self._met(spec), self.of[role]
+            there = np.zeros(len(some), bool)
+            there[back[mine[mine < len(self.keys)]]] = True
+            return there[back]
+
+        return self._once(("by", role, spec.m, spec.key_bits, spec.salt), make)
 
     def joined(self, role: str, masks: np.ndarray) -> np.ndarray:
         """For each key, what the masks of a relation's rows hold together."""
@@ -198,6 +214,7 @@ def asked(told: list[dict], role: str, spec) -> arrays.Asked:
 def _count(total: np.ndarray, part: Part, fields: dict, seen: list, sketched: list) -> None:
     """Adds a part's rows to (base, query, relation, measure). `seen`: exact and binned masks of keys; `sketched`: of each base, by relation, what passes and keys known by print alone."""
     place = {f: 8 * i for i, f in enumerate(W.FIELDS)}
+    any_of = {r: [np.bitwise_or.reduce([*(s[h] for s in seen), *(passed[r][h] for passed, _ in sketched)]) for h in (0, 1)] for r in W.ROLES}
     for i, role in enumerate(W.ROLES):
         one, *more = (part.code[role] >> place[f] & 255 for f in W.MATCHED[role])
         kind = (one | more[0] << 8 if more else one).astype(np.uint16)
@@ -209,24 +226,22 @@ def _count(total: np.ndarray, part: Part, fields: dict, seen: list, sketched: li
             if not any(masks):
                 continue
             at = part.of[role][order[lo:hi]]
-            by_key = [int(np.count_nonzero(k[at])) for _, known in sketched for k in [known[role == "orders"]]]
-            for h in (0, 1):
-                if not masks[h]:
-                    continue
+            found = {h: at[any_of[role][h][at] & masks[h] != 0] for h in (0, 1) if masks[h]}
+            by_key = [int(np.count_nonzero(known[role == "orders"][at])) for _, known in sketched]
+            for h, at in found.items():
                 bits = [b for b in range(W.HALF) if masks[h] >> b & 1]
-                exact, wide = (_bits(seen[w][h][at], bits) for w in (0, 0 if role == "orders" else 1))
-                for n in range(len(total)):
-                    total[n, [h * W.HALF + b for b in bits], i, 0] += hi - lo
-                    total[n, [h * W.HALF + b for b in bits], i, 1] += exact
-                    total[n, [h * W.HALF + b for b in bits], i, 2] += wide
+                row = [h * W.HALF + b for b in bits]
+                total[:, row, i, 0] += hi - lo
+                total[:, row, i, 1] += _bits(seen[0][h][at], bits)
+                total[:, row, i, 2] += _bits(seen[0 if role == "orders" else 1][h][at], bits)
                 for n, (passed, _) in enumerate(sketched):
-                    total[n, [h * W.HALF + b for b in bits], i, 3] += by_key[n]
-                    total[n, [h * W.HALF + b for b in bits], i, 4] += _bits(passed[role][h][at], bits)
+                    total[n, row, i, 3] += by_key[n]
+                    total[n, row, i, 4] += _bits(passed[role][h][at], bits)
 
 
-def _bits(masks: np.ndarray, bits: list[int]) -> list[int]:
+def _bits(masks: np.ndarray, bits: list[int]) -> np.ndarray:
     """How many masks have each bit."""
-    return [int(np.count_nonzero(masks & (1 << b))) for b in bits]
+    return np.array([np.count_nonzero(masks & (1 << b)) for b in bits], np.int64)
 
 
 def counter(told: list[dict], fields: dict, bases: list[dict]):
