@@ -19,6 +19,8 @@ from . import star70 as W
 #: Marks of a code: a row of orders, a null key.
 _ORDER, _NULL = 56, 57
 _LEAST_BITS = 7
+#: Rows of a slice of packed rows.
+_SLICE = 1 << 15
 
 
 def whole(spark, d) -> bool:
@@ -54,6 +56,43 @@ def by_prints(spark, d, bits: int = _LEAST_BITS, salt: int = 0):
     return rows.repartition("kappa").sortWithinPartitions("kappa")
 
 
+def _tables(batches):
+    return chains.by_prints(batches, ("kappa",))
+
+
+def packed(rows, most: int | None = _SLICE):
+    """(blob, ends, rel, dupes, n) of `by_prints`: whole prints as Arrow streams, each slice a row, and rows with how many keys of a relation have so many vectors.
+
+    What is read again is read in this form, which takes no turn from row to row; slices of at most so many rows bound what a row holds, and None leaves them out.
+    """
+
+    def run(batches):
+        schema = pa.schema([("blob", pa.binary()), ("ends", pa.bool_()), ("rel", pa.string()), ("dupes", pa.int64()), ("n", pa.int64())])
+        found: dict[tuple, int] = {}
+        for table in _tables(batches):
+            _count_duplicates(found, Part(table))
+            table = table.drop_columns(["kappa"])
+            for at in range(0, len(table), most) if most else ():
+                sink = pa.BufferOutputStream()
+                with pa.ipc.new_stream(sink, table.schema, options=pa.ipc.IpcWriteOptions(compression="lz4")) as stream:
+                    stream.write_table(table.slice(at, most).combine_chunks())
+                yield pa.RecordBatch.from_pylist([{"blob": sink.getvalue().to_pybytes(), "ends": at + most >= len(table)}], schema)
+        yield pa.RecordBatch.from_pylist([{"rel": r, "dupes": x, "n": n} for (r, x), n in found.items()], schema)
+
+    return rows.mapInArrow(run, "blob binary, ends boolean, rel string, dupes long, n long")
+
+
+def _unpacked(batches):
+    """The tables that `packed` made of whole prints."""
+    held = []
+    for batch in batches:
+        for blob, ends in zip(batch.column("blob"), batch.column("ends").to_pylist(), strict=True):
+            held.append(pa.ipc.open_stream(blob.as_buffer()).read_all())
+            if ends:
+                yield pa.concat_tables(held)
+                held = []
+
+
 class Part:
     """All rows of some prints, in order of their keys, lines first; row numbers of keys, the last one for null keys."""
 
@@ -244,8 +283,8 @@ def _bits(masks: np.ndarray, bits: list[int]) -> np.ndarray:
     return np.array([np.count_nonzero(masks & (1 << b)) for b in bits], np.int64)
 
 
-def counter(told: list[dict], fields: dict, bases: list[dict]):
-    """A function over Arrow batches of `by_prints`: counts of every (base, query, relation); no bases give the exact ones alone."""
+def counter(told: list[dict], fields: dict, bases: list[dict], tables=_tables):
+    """A function over Arrow batches of `by_prints`, or of what `tables` reads: counts of every (base, query, relation); no bases give the exact ones alone."""
     literals = [{r: asked(told, r, s) for r, s in chosen.items()} for chosen in bases]
 
     def masks_of(part, role, field, h):
@@ -255,7 +294,7 @@ def counter(told: list[dict], fields: dict, bases: list[dict]):
 
     def run(batches):
         total = np.zeros((max(1, len(bases)), 2 * W.HALF, len(W.ROLES), len(W.MEASURED)), np.int64)
-        for table in chains.by_prints(batches, ("kappa",)):
+        for table in tables(batches):
             part = Part(table)
             n = len(part.keys)
             own = {r: [part.joined(r, np.bitwise_or.reduce([masks_of(part, r, f, h) for f in W.MATCHED[r]])) for h in (0, 1)] for r in W.ROLES}
@@ -276,27 +315,26 @@ def counter(told: list[dict], fields: dict, bases: list[dict]):
 
 
 def instances(spark, d, rows, bases: list[dict]):
-    """(base, q, rel, n_rel, measures) of the bases' specs by relation, numbered from 0."""
-    told = W._told(spark, d)
-    counts = rows.mapInArrow(counter(told, W._fields(told), bases), "base int, q int, rel string, " + ", ".join(f"{m} long" for m in W.MEASURED))
+    """(base, q, rel, n_rel, measures) of the bases' specs by relation, numbered from 0; rows are those of `by_prints`, or packed."""
+    told, tables = W._told(spark, d), _tables
+    if "blob" in rows.columns:
+        rows, tables = rows.filter("blob is not null").select("blob", "ends"), _unpacked
+    counts = rows.mapInArrow(counter(told, W._fields(told), bases, tables), "base int, q int, rel string, " + ", ".join(f"{m} long" for m in W.MEASURED))
     n_rel = F.get(F.array(*(F.lit(t["n_rel"]) for t in told)), F.col("q"))
     return counts.withColumn("n_rel", n_rel).groupBy("base", "q", "rel", "n_rel").agg(*(F.sum(m).alias(m) for m in W.MEASURED))
 
 
-def duplicates(rows) -> dict[str, dict[int, int]]:
-    """relation -> how many keys have so many vectors."""
+def _count_duplicates(found: dict[tuple, int], part: Part) -> None:
+    for r in W.ROLES:
+        many = np.bincount(part.distinct(r)[0])
+        for dupes, n in zip(*(x.tolist() for x in np.unique(many[many > 0], return_counts=True)), strict=True):
+            found[r, dupes] = found.get((r, dupes), 0) + n
 
-    def run(batches):
-        found: dict[tuple, int] = {}
-        for table in chains.by_prints(batches, ("kappa",)):
-            part = Part(table)
-            for r in W.ROLES:
-                many = np.bincount(part.distinct(r)[0])
-                for dupes, n in zip(*(x.tolist() for x in np.unique(many[many > 0], return_counts=True)), strict=True):
-                    found[r, dupes] = found.get((r, dupes), 0) + n
-        yield pa.RecordBatch.from_arrays([pa.array([r for r, _ in found], pa.string()), pa.array([x for _, x in found], pa.int64()), pa.array(list(found.values()), pa.int64())], names=["rel", "dupes", "n"])
 
+def duplicates(rows) -> dict[str, dict[int, int]]:
+    """relation -> how many keys have so many vectors; rows are those of `by_prints`, or packed."""
+    held = rows if "blob" in rows.columns else packed(rows, None)
     out: dict[str, dict[int, int]] = {}
-    for r in rows.mapInArrow(run, "rel string, dupes long, n long").groupBy("rel", "dupes").agg(F.sum("n").alias("n")).collect():
+    for r in held.filter("rel is not null").groupBy("rel", "dupes").agg(F.sum("n").alias("n")).collect():
         out.setdefault(r["rel"], {})[r["dupes"]] = r["n"]
     return out
