@@ -255,6 +255,8 @@ def _count(total: np.ndarray, part: Part, fields: dict, seen: list, sketched: li
     place = {f: 8 * i for i, f in enumerate(W.FIELDS)}
     any_of = {r: [np.bitwise_or.reduce([*(s[h] for s in seen), *(passed[r][h] for passed, _ in sketched)]) for h in (0, 1)] for r in W.ROLES}
     for i, role in enumerate(W.ROLES):
+        if not len(part.code[role]):
+            continue
         one, *more = (part.code[role] >> place[f] & 255 for f in W.MATCHED[role])
         kind = (one | more[0] << 8 if more else one).astype(np.uint16)
         order = np.argsort(kind, kind="stable")
